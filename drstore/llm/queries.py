@@ -5,6 +5,7 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -19,7 +20,34 @@ def op10_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return byte_bpe.digests(table(spark, sf_dir, "documents"), public_tokenizers.path("byte_bpe_multi_50k.tiktoken"), public_tokenizers.PATTERN)
 
 
+def op3_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from . import language_id
+
+    docs = table(spark, sf_dir, "documents")
+    model = language_id.train(docs, fold=5)
+    held = F.coalesce(F.crc32(F.col("doc_id").cast("string")) % 5 == 0, F.lit(False))
+    return language_id.predict(docs, model).withColumn("held_out", held)
+
+
+def op6_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from . import quality_rules, shared
+
+    stats = shared.keep(quality_rules.statistics(table(spark, sf_dir, "documents")), "statistics")
+    rules = quality_rules.learn(stats, table(spark, sf_dir, "labels"))
+    failed = quality_rules.base_failed()
+    return stats.select("doc_id", *quality_rules.COUNTS, failed.alias("base_failed"), (~failed & rules.verdict()).alias("kept"))
+
+
+def op8_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from . import secret_scan
+
+    return secret_scan.digests(secret_scan.scan(table(spark, sf_dir, "documents")))
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "op3_language_id": op3_language_id,
+    "op6_quality_rules": op6_quality_rules,
+    "op8_secret_scan": op8_secret_scan,
     "op10_byte_bpe": op10_byte_bpe,
 }
 
