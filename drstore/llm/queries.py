@@ -12,6 +12,13 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def op9_weak_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from . import weak_quality
+
+    docs = table(spark, sf_dir, "documents")
+    return weak_quality.classify(docs, weak_quality.fit(docs, table(spark, sf_dir, "labels")))
+
+
 def op10_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     import public_tokenizers
 
@@ -35,6 +42,13 @@ def op4_document_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
     return fingerprints.with_edits(table(spark, sf_dir, "documents"))
 
 
+def op5_source_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from . import source_mixing
+
+    mixed = source_mixing.mix(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+    return mixed.drop("tie")
+
+
 def op6_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     from . import quality_rules, shared
 
@@ -53,8 +67,10 @@ def op8_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op3_language_id": op3_language_id,
     "op4_document_fingerprints": op4_document_fingerprints,
+    "op5_source_mixing": op5_source_mixing,
     "op6_quality_rules": op6_quality_rules,
     "op8_secret_scan": op8_secret_scan,
+    "op9_weak_quality": op9_weak_quality,
     "op10_byte_bpe": op10_byte_bpe,
 }
 
