@@ -64,6 +64,12 @@ def op6_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return stats.select("doc_id", *quality_rules.COUNTS, failed.alias("base_failed"), (~failed & rules.verdict()).alias("kept"))
 
 
+def op7_run_length_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from . import run_length_dedup
+
+    return run_length_dedup.deduplicate(table(spark, sf_dir, "documents"))
+
+
 def op8_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     from . import secret_scan
 
@@ -76,6 +82,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op4_document_fingerprints": op4_document_fingerprints,
     "op5_source_mixing": op5_source_mixing,
     "op6_quality_rules": op6_quality_rules,
+    "op7_run_length_dedup": op7_run_length_dedup,
     "op8_secret_scan": op8_secret_scan,
     "op9_weak_quality": op9_weak_quality,
     "op10_byte_bpe": op10_byte_bpe,
