@@ -89,3 +89,13 @@ def view(path: str) -> memoryview:
             shutil.copyfileobj(f, local)
         local.flush()
         return memoryview(mmap.mmap(local.fileno(), 0, access=mmap.ACCESS_READ)) if local.tell() else memoryview(b"")
+
+
+def remove(path: str) -> None:
+    u = urlparse(path)
+    if u.scheme in ("", "file"):
+        if os.path.exists(u.path):
+            os.unlink(u.path)
+        return
+    system, inner = _remote(path)
+    system.delete_file(inner)
