@@ -155,38 +155,40 @@ def model(path: str, pattern: str) -> ByteBPE:
     return _models[path, pattern]
 
 
-def _digests(path: str, pattern: str, want_ids: bool, carry: int):
+def _encoder(path: str, pattern: str, ids: bool, check: bool, carry: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         m = model(path, pattern)
         for b in batches:
-            n_tokens, ids_sha, decoded_sha, lists, decoded = [], [], [], [], []
+            n_tokens, lists, ids_sha, decoded_sha = [], [], [], []
             for t in b.column(carry).to_pylist():
-                ids = m.ids(t or "")
-                packed = np.array(ids, "<u4").tobytes()
-                n_tokens.append(len(ids))
-                if want_ids:
+                got = m.ids(t or "")
+                packed = np.array(got, "<u4").tobytes()
+                n_tokens.append(len(got))
+                if ids:
                     lists.append(packed)
                 else:
                     ids_sha.append(hashlib.sha256(packed).hexdigest())
-                    decoded_sha.append(hashlib.sha256(m.decode(ids)).hexdigest())
-            extra = [pa.array(lists, pa.binary())] if want_ids else [pa.array(ids_sha, pa.string()), pa.array(decoded_sha, pa.string())]
-            names = ["ids_le32"] if want_ids else ["ids_sha256", "decoded_sha256"]
-            yield pa.RecordBatch.from_arrays([*b.columns[:carry], pa.array(n_tokens, pa.int64()), *extra], names=[*b.schema.names[:carry], "n_tokens", *names])
+                if check:
+                    decoded_sha.append(hashlib.sha256(m.decode(got)).hexdigest())
+            extra = {"ids_le32": pa.array(lists, pa.binary())} if ids else {"ids_sha256": pa.array(ids_sha, pa.string())}
+            if check:
+                extra["decoded_sha256"] = pa.array(decoded_sha, pa.string())
+            yield pa.RecordBatch.from_arrays([*b.columns[:carry], pa.array(n_tokens, pa.int64()), *extra.values()], names=[*b.schema.names[:carry], "n_tokens", *extra])
 
     return run
 
 
-def encode(docs: DataFrame, path: str, pattern: str, text: str = "text", carry: Sequence[str] = ("doc_id",)) -> DataFrame:
-    """``carry`` columns, n_tokens LONG and ids_le32 BINARY (little-endian unsigned 32-bit ids)."""
+def encode(docs: DataFrame, path: str, pattern: str, text: str = "text", carry: Sequence[str] = ("doc_id",), check: bool = False) -> DataFrame:
+    """``carry`` columns, n_tokens LONG, ids_le32 BINARY (little-endian unsigned 32-bit ids) and, if ``check``, decoded_sha256 of the bytes they decode to."""
     src = docs.select(*carry, docs[text].cast("string").alias("__text"))
-    schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in src.schema[:-1]) + ", n_tokens long, ids_le32 binary"
-    return src.mapInArrow(_digests(path, pattern, True, len(carry)), schema)
+    schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in src.schema[:-1]) + ", n_tokens long, ids_le32 binary" + (", decoded_sha256 string" if check else "")
+    return src.mapInArrow(_encoder(path, pattern, True, check, len(carry)), schema)
 
 
 def digests(docs: DataFrame, path: str, pattern: str, text: str = "text") -> DataFrame:
     """doc_id, n_tokens, ids_sha256, decoded_sha256: encodes every text and decodes the ids again."""
     src = docs.select(docs["doc_id"].cast("long").alias("doc_id"), docs[text].cast("string").alias("__text"))
-    return src.mapInArrow(_digests(path, pattern, False, 1), "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string")
+    return src.mapInArrow(_encoder(path, pattern, False, True, 1), "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string")
 
 
 def decode(encoded: DataFrame, path: str, pattern: str) -> DataFrame:

@@ -109,8 +109,9 @@ def statistics(docs: DataFrame, text: str = "text") -> DataFrame:
     return docs.select(docs["doc_id"].cast("long").alias("doc_id"), docs[text].cast("string").alias("text")).mapInArrow(_count, SCHEMA)
 
 
-def base_failed() -> Column:
-    return (F.col("n_words") < 20) | (100 * F.col("n_repeat_words") > 30 * F.col("n_words"))
+def base_failed(prefix: str = "") -> Column:
+    n = F.col(f"{prefix}n_words")
+    return (n < 20) | (100 * F.col(f"{prefix}n_repeat_words") > 30 * n)
 
 
 @dataclass(frozen=True)
@@ -119,9 +120,9 @@ class Condition:
     above: bool
     threshold: float
 
-    def column(self) -> Column:
+    def column(self, prefix: str = "") -> Column:
         top, bottom = RATIOS[self.statistic]
-        value = F.col(top).cast("double") if bottom is None else F.col(top) / F.greatest(F.col(bottom), F.lit(1))
+        value = F.col(prefix + top).cast("double") if bottom is None else F.col(prefix + top) / F.greatest(F.col(prefix + bottom), F.lit(1))
         return value >= self.threshold if self.above else value <= self.threshold
 
     def test(self, x: dict[str, np.ndarray]) -> np.ndarray:
@@ -137,13 +138,13 @@ class RuleList:
 
     rules: list[tuple[Condition, ...]] = field(default_factory=list)
 
-    def verdict(self) -> Column:
+    def verdict(self, prefix: str = "") -> Column:
         """True: keep."""
         out = F.lit(True)
         for rule in reversed(self.rules):
-            test = rule[0].column()
+            test = rule[0].column(prefix)
             for c in rule[1:]:
-                test = test & c.column()
+                test = test & c.column(prefix)
             out = F.when(test, F.lit(False)).otherwise(out)
         return out
 
@@ -201,6 +202,27 @@ def learn_rules(x: dict[str, np.ndarray], bad: np.ndarray, part: np.ndarray, min
     return RuleList(rules)
 
 
+PREFIX = "__rule_"
+
+
+def filter_documents(docs: DataFrame, labels: DataFrame, max_labelled: int = 20_000) -> DataFrame:
+    """The rows of docs, with all their columns, that the base test and the learned rules keep."""
+    some = labels.where("quality is not null").select(labels["doc_id"].cast("long").alias("doc_id")).where("doc_id is not null").distinct()
+    some = some.orderBy(F.xxhash64("doc_id"), "doc_id").limit(max_labelled)  # bounded, so it can be sent
+    rules = learn(statistics(docs.join(F.broadcast(some), docs["doc_id"].cast("long") == some["doc_id"], "left_semi")), labels, max_labelled)
+    names, at = docs.columns, docs.columns.index("text")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for i, j, s in tk.slabs(b.column(at).cast(pa.string())):
+                c = slab_counts(s)
+                yield pa.RecordBatch.from_arrays([*(x.slice(i, j - i) for x in b.columns), *(pa.array(np.asarray(c[k], np.int64)) for k in COUNTS)], names=[*names, *(PREFIX + k for k in COUNTS)])
+
+    schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema) + ", " + ", ".join(f"{PREFIX}{c} long" for c in COUNTS)
+    counted = docs.mapInArrow(run, schema)
+    return counted.where(~base_failed(PREFIX) & rules.verdict(PREFIX)).select(*names)
+
+
 def learn(stats: DataFrame, labels: DataFrame, max_labelled: int = 20_000, min_precision: float = 0.9, max_rules: int = 8, max_conditions: int = 3, min_cover: int = 3) -> RuleList:
     marked = labels.select(labels["doc_id"].cast("long").alias("doc_id"), (labels["quality"].cast("int") == 0).alias("__bad")).where("doc_id is not null and __bad is not null")
     marked = marked.orderBy(F.xxhash64("doc_id"), "doc_id", "__bad").limit(max_labelled)

@@ -47,8 +47,7 @@ def anchors(s: tk.Slab) -> tuple[np.ndarray, np.ndarray]:
     n = len(s.data) - GRAM + 1
     if n < WINDOW:
         return np.empty(0, np.int64), np.empty(0, np.uint64)
-    at = np.arange(n)
-    code = s.hash(at, at + GRAM) >> np.uint64(24)
+    code = s.gram_hashes(GRAM) >> np.uint64(24)
     doc_end = np.repeat(s.off[1:], np.diff(s.off))
     found = []
     for low in range(0, n - WINDOW + 1, _PIECE):  # strings that begin in low.. ; places are 24 bits beside the 40 of a hash
@@ -60,8 +59,8 @@ def anchors(s: tk.Slab) -> tuple[np.ndarray, np.ndarray]:
         if WINDOW > step:
             span = np.minimum(span[: step - WINDOW], span[WINDOW - step :])
         first = low + np.arange(len(span))
-        chosen = span[first + REACH <= doc_end[first]]
-        found.append(low + (chosen & np.uint64(0xFFFFFF)).astype(np.int64))
+        place = (span[first + REACH <= doc_end[first]] & np.uint64(0xFFFFFF)).astype(np.int64)
+        found.append(low + place[np.concatenate([[True], place[1:] != place[:-1]])] if len(place) else place)
     position = np.unique(np.concatenate(found))
     return position, code[position]
 
@@ -104,6 +103,7 @@ def _store(folder: str, shards: int, block_bytes: int):
                 order = np.argsort(shard, kind="stable")
                 code, twice, shard = code[order], twice[order], shard[order]
                 cuts = np.searchsorted(shard, np.arange(shards + 1))
+                code = _inside(code, shards)
                 blobs = [_pack(code[x:y], twice[x:y]) for x, y in zip(cuts[:-1].tolist(), cuts[1:].tolist(), strict=True) if y > x]
                 live = np.flatnonzero(np.diff(cuts))
                 yield pa.RecordBatch.from_arrays([pa.array([block] * (len(blobs) + 1)), pa.array(np.append(live, -1 - hash_text(block) % 64).astype(np.int32)), pa.array([*blobs, b""], pa.binary())], names=["block", "shard", "codes"])
@@ -118,24 +118,26 @@ def hash_text(x: str) -> int:
 
 
 def _pack(code: np.ndarray, flag: np.ndarray) -> bytes:
-    """5 bytes each: the code, whose lowest 39 bits are kept, and the flag."""
-    v = ((code & np.uint64((1 << 39) - 1)) << np.uint64(1)) | flag.astype(np.uint64)
-    return v.astype("<u8").view(np.uint8).reshape(-1, 8)[:, :5].tobytes()
+    """4 bytes each: 31 bits of a code and the flag."""
+    return (code.astype(np.uint32) << np.uint32(1) | flag.astype(np.uint32)).tobytes()
 
 
 def _unpack(blob: bytes) -> tuple[np.ndarray, np.ndarray]:
-    a = np.frombuffer(blob, np.uint8).reshape(-1, 5)
-    v = np.zeros((len(a), 8), np.uint8)
-    v[:, :5] = a
-    v = v.view("<u8").ravel()
-    return v >> np.uint64(1), (v & np.uint64(1)).astype(bool)
+    v = np.frombuffer(blob, np.uint32)
+    return v >> np.uint32(1), (v & np.uint32(1)).astype(bool)
+
+
+def _inside(code: np.ndarray, shards: int) -> np.ndarray:
+    """31 bits that tell codes of one shard apart (all but one in some thousands; a mistake costs work, not results)."""
+    return (code // np.uint64(shards)) & np.uint64((1 << 31) - 1)
 
 
 def _shared_codes(table: pa.Table, hot_blocks: int) -> pa.Table:
     """(block, codes): for each block of a shard the codes that two documents share, flagged if hot; rows of a negative shard pass, so every block is known."""
     blocks, blobs = table["block"].to_pylist(), table["codes"].to_pylist()
     if table.num_rows and table["shard"][0].as_py() < 0:
-        return pa.table({"block": pa.array(blocks, pa.string()), "codes": pa.array([b""] * len(blocks), pa.binary())})
+        return pa.table({"block": pa.array(blocks, pa.string()), "shard": table["shard"], "codes": pa.array([b""] * len(blocks), pa.binary())})
+    shard = table["shard"][0].as_py()
     parts = [_unpack(x) for x in blobs]
     code = np.concatenate([p[0] for p in parts])
     flag = np.concatenate([p[1] for p in parts])
@@ -152,7 +154,7 @@ def _shared_codes(table: pa.Table, hot_blocks: int) -> pa.Table:
         if keep.any():
             out_block.append(name)
             out_codes.append(_pack(c[keep], hot[i][keep]))
-    return pa.table({"block": pa.array(out_block, pa.string()), "codes": pa.array(out_codes, pa.binary())})
+    return pa.table({"block": pa.array(out_block, pa.string()), "shard": pa.array([shard] * len(out_block), pa.int32()), "codes": pa.array(out_codes, pa.binary())})
 
 
 def _open(folder: str, block: str) -> tuple[np.ndarray, np.ndarray, tk.Slab]:
@@ -173,85 +175,91 @@ def _snippet_bounds(s: tk.Slab, position: np.ndarray) -> tuple[np.ndarray, np.nd
 
 
 def _snippet_ids(s: tk.Slab, position: np.ndarray, begin: np.ndarray, end: np.ndarray) -> np.ndarray:
-    return tk.mix(s.hash(begin, end) + (position - begin).astype(np.uint64) * np.uint64(0x9E6C63D0876A9A47))
+    return tk.mix(s.hash(begin, end) + (position - begin).astype(np.uint64) * np.uint64(0x9E6C63D0876A9A47)) & ~np.uint64(1)
 
 
-def _flat_ids(s: tk.Slab, begin: np.ndarray) -> np.ndarray:
-    """Identities of single strings."""
-    return tk.mix(s.hash(begin, begin + REACH) ^ np.uint64(0x632BE59BD9B4E019))
+def _flat_ids(hashes: np.ndarray) -> np.ndarray:
+    """Identities of single strings, of their hashes; they are odd and those of snippets even."""
+    return tk.mix(hashes ^ np.uint64(0x632BE59BD9B4E019)) | np.uint64(1)
 
 
 def _snippets(folder: str, shards: int):
-    """Rows (shard, block, blob): for each distinct snippet of a block its anchor, identity, least and greatest doc_id, and bytes."""
+    """Rows (shard, block, blob): for each distinct snippet of a block the anchor's place in it, its bytes, least and greatest doc_id."""
 
     def run(table: pa.Table) -> pa.Table:
         block = table["block"][0].as_py()
-        parts = [_unpack(x) for x in table["codes"].to_pylist() if x]
+        parts = [(k, *_unpack(x)) for k, x in zip(table["shard"].to_pylist(), table["codes"].to_pylist(), strict=True) if x]
         if not parts:
             return pa.table({"shard": pa.array([], pa.int32()), "block": pa.array([], pa.string()), "blob": pa.array([], pa.binary())})
-        wanted = np.concatenate([p[0] for p in parts])
-        hot = np.concatenate([p[1] for p in parts])
+        wanted = np.concatenate([np.uint64(k << 31) | c.astype(np.uint64) for k, c, _ in parts])
+        hot = np.concatenate([p[2] for p in parts])
         order = np.argsort(wanted)
         wanted, hot = wanted[order], hot[order]
         ids, _, s = _open(folder, block)
         position, code = anchors(s)
-        low = code & np.uint64((1 << 39) - 1)
+        low = (code % np.uint64(shards)) << np.uint64(31) | _inside(code, shards)
         i = np.minimum(np.searchsorted(wanted, low), len(wanted) - 1)
         hit = wanted[i] == low
         position, code, is_hot = position[hit], code[hit], hot[i[hit]]
         begin, end = _snippet_bounds(s, position)
-        key, sid = tk.mix(code), _snippet_ids(s, position, begin, end)
+        key, sid, place = code, _snippet_ids(s, position, begin, end), position - begin
         if is_hot.any():
             # single strings in place of the snippets of hot anchors
             b, e = begin[is_hot], end[is_hot]
             count = e - b - REACH + 1
             single = np.repeat(b, count) + np.arange(int(count.sum())) - np.repeat(np.cumsum(count) - count, count)
-            one = _flat_ids(s, single)
+            one = _flat_ids(s.hash(single, single + REACH))
             begin, end = np.concatenate([begin[~is_hot], single]), np.concatenate([end[~is_hot], single + REACH])
-            key, sid = np.concatenate([key[~is_hot], one]), np.concatenate([sid[~is_hot], one])
+            key, sid, place = np.concatenate([key[~is_hot], one]), np.concatenate([sid[~is_hot], one]), np.concatenate([place[~is_hot], np.full(len(one), 255)])
         owner = ids[s.doc_of(begin)] if len(begin) else np.empty(0, np.int64)
         order = np.lexsort((owner, sid))
-        key, sid, begin, end, owner = key[order], sid[order], begin[order], end[order], owner[order]
+        key, sid, place, begin, end, owner = key[order], sid[order], place[order], begin[order], end[order], owner[order]
         first = np.ones(len(sid), bool)
         first[1:] = sid[1:] != sid[:-1]
         last = np.append(first[1:], True)
-        key, sid, begin, end, least, most = key[first], sid[first], begin[first], end[first], owner[first], owner[last]
-        shard = _shard(key, shards)
-        order = np.argsort(shard, kind="stable")
-        key, sid, begin, end, least, most, shard = (x[order] for x in (key, sid, begin, end, least, most, shard))
-        data = np.zeros((len(begin), WIDTH), np.uint8)
-        column = np.arange(WIDTH)
-        inside = column[None, :] < (end - begin)[:, None]
-        if len(begin):
-            data[inside] = s.data[(begin[:, None] + column[None, :])[inside]]
+        shard, place, begin, end, least, most = _shard(key[first], shards), place[first], begin[first], end[first], owner[first], owner[last]
+        order = np.lexsort((begin, shard))  # neighbours share bytes
+        shard, place, begin, end, least, most = (x[order] for x in (shard, place, begin, end, least, most))
+        flat = s.data
         cuts = np.searchsorted(shard, np.arange(shards + 1))
         rows, blobs = np.flatnonzero(np.diff(cuts)), []
         for r in rows.tolist():
             x, y = cuts[r], cuts[r + 1]
-            lengths = (end - begin)[x:y].astype(np.uint8)
-            blobs.append(zstandard.compress(np.int64(y - x).tobytes() + key[x:y].tobytes() + sid[x:y].tobytes() + least[x:y].tobytes() + most[x:y].tobytes() + lengths.tobytes() + data[x:y][inside[x:y]].tobytes(), 1))
+            size = end[x:y] - begin[x:y]
+            at = np.repeat(begin[x:y] - np.cumsum(size) + size, size) + np.arange(int(size.sum()))
+            blobs.append(zstandard.compress(np.int64(y - x).tobytes() + least[x:y].tobytes() + (most[x:y] - least[x:y]).tobytes() + size.astype(np.uint8).tobytes() + place[x:y].astype(np.uint8).tobytes() + flat[at].tobytes(), 1))
         return pa.table({"shard": pa.array(rows.astype(np.int32)), "block": pa.array([block] * len(rows), pa.string()), "blob": pa.array(blobs, pa.binary())})
 
     return run
 
 
+ELSEWHERE = np.uint32(1 << 31)
+
+
 def _verdicts(table: pa.Table) -> pa.Table:
-    """Rows (block, blob): for each snippet of a block that loses bytes its identity, owner and the strings that go in the owner's document."""
+    """Rows (block, blob): for each snippet of a block that loses bytes its identity and the strings that go in the least document, or that all goes."""
     blocks = table["block"].to_pylist()
-    key, sid, least, most, length, data, of = [], [], [], [], [], [], []
+    least, more, length, place, data, of = [], [], [], [], [], []
     for k, blob in enumerate(table["blob"].to_pylist()):
         raw = zstandard.decompress(blob)
         n = int(np.frombuffer(raw, np.int64, 1)[0])
-        for part, kind, at in ((key, np.uint64, 8), (sid, np.uint64, 8 + 8 * n), (least, np.int64, 8 + 16 * n), (most, np.int64, 8 + 24 * n)):
-            part.append(np.frombuffer(raw, kind, n, at))
-        size = np.frombuffer(raw, np.uint8, n, 8 + 32 * n).astype(np.int64)
-        full = np.zeros((n, WIDTH), np.uint8)
-        full[np.arange(WIDTH)[None, :] < size[:, None]] = np.frombuffer(raw, np.uint8, offset=8 + 33 * n)
-        length.append(size)
-        data.append(full)
+        least.append(np.frombuffer(raw, np.int64, n, 8))
+        more.append(np.frombuffer(raw, np.int64, n, 8 + 8 * n))
+        length.append(np.frombuffer(raw, np.uint8, n, 8 + 16 * n).astype(np.int64))
+        place.append(np.frombuffer(raw, np.uint8, n, 8 + 17 * n).astype(np.int64))
+        data.append(np.frombuffer(raw, np.uint8, offset=8 + 18 * n))
         of.append(np.full(n, k))
-    key, sid, least, most, length, of = (np.concatenate(x) for x in (key, sid, least, most, length, of))
-    data = np.concatenate(data)
+    least, more, length, place, of = (np.concatenate(x) for x in (least, more, length, place, of))
+    begin = np.concatenate([[0], np.cumsum(length)])
+    s = tk.Slab(np.concatenate(data), np.array([0, begin[-1]]))
+    begin, end = begin[:-1], begin[1:]
+    single = place == 255
+    position = begin + np.where(single, 0, place)
+    sid = _snippet_ids(s, position, begin, end)
+    key = s.hash(position, position + GRAM) >> np.uint64(24)
+    if single.any():
+        sid[single] = _flat_ids(s.hash(begin[single], end[single]))
+        key[single] = sid[single]
     # one entry for each identity, by owner
     order = np.lexsort((least, sid))
     first = np.ones(len(order), bool)
@@ -266,49 +274,64 @@ def _verdicts(table: pa.Table) -> pa.Table:
     if len(contested):
         by = contested[np.argsort(owner[contested], kind="stable")]
         rows = head[by]
-        symbols = data[rows].astype(np.uint16) + np.uint16(1)
-        symbols[np.arange(WIDTH)[None, :] >= length[rows][:, None]] = 0
+        column = np.arange(WIDTH)
+        inside = column[None, :] < length[rows][:, None]
+        symbols = np.zeros((len(rows), WIDTH), np.uint16)
+        symbols[inside] = s.data[(begin[rows][:, None] + column[None, :])[inside]].astype(np.uint16) + np.uint16(1)
         index = RunLengthIndex(symbols, length[rows], owner[by], REACH)
         found = index.earlier(owner[by])[:, :WINDOW]
         mask[by] = (found.astype(np.uint32) << np.arange(WINDOW, dtype=np.uint32)).sum(1, dtype=np.uint32)
-    tells = (mask[entry] > 0) | (most > owner[entry])
+    told = np.where(owner[entry] < least, ELSEWHERE, mask[entry])
+    tells = (told > 0) | (more > 0)
     out = []
     cuts = np.searchsorted(of, np.arange(len(blocks) + 1))
     for k in range(len(blocks)):
         t = np.arange(cuts[k], cuts[k + 1])[tells[cuts[k] : cuts[k + 1]]]
-        out.append(np.int64(len(t)).tobytes() + sid[t].tobytes() + owner[entry[t]].tobytes() + mask[entry[t]].tobytes() if len(t) else b"")
+        out.append(zstandard.compress(sid[t].tobytes() + told[t].tobytes(), 1) if len(t) else b"")
     keep = [k for k, x in enumerate(out) if x]
     return pa.table({"block": pa.array([blocks[k] for k in keep], pa.string()), "blob": pa.array([out[k] for k in keep], pa.binary())})
 
 
-def removed(s: tk.Slab, ids: np.ndarray, sid: np.ndarray, owner: np.ndarray, mask: np.ndarray) -> np.ndarray:
+def removed(s: tk.Slab, ids: np.ndarray, sid: np.ndarray, told: np.ndarray) -> np.ndarray:
     """Flag of each byte of a block that goes."""
-    change = np.zeros(len(s.data) + 1, np.int64)
+    begins, ends = [], []
     order = np.argsort(sid)
-    sid, owner, mask = sid[order], owner[order], mask[order]
+    sid, told = sid[order], told[order]
 
-    def drop(begin: np.ndarray) -> None:
-        np.add.at(change, begin, 1)
-        np.add.at(change, begin + REACH, -1)
+    def drop(begin: np.ndarray, end: np.ndarray) -> None:
+        begins.append(begin)
+        ends.append(end)
 
     def look(found: np.ndarray, begin: np.ndarray, end: np.ndarray) -> None:
         i = np.minimum(np.searchsorted(sid, found), len(sid) - 1)
         hit = sid[i] == found
         i, begin, end = i[hit], begin[hit], end[hit]
-        later = ids[s.doc_of(begin)] > owner[i] if len(begin) else np.empty(0, bool)
-        np.add.at(change, begin[later], 1)
-        np.add.at(change, end[later], -1)
+        if not len(i):
+            return
+        owner = ids[s.doc_of(begin)]
+        least = np.full(len(sid), np.iinfo(np.int64).max)
+        np.minimum.at(least, i, owner)
+        whole = (told[i] == ELSEWHERE) | (owner > least[i])
+        drop(begin[whole], end[whole])
+        begin, mask = begin[~whole], told[i[~whole]]
         for k in range(WINDOW):
-            drop(begin[~later & ((mask[i] >> np.uint32(k)) & np.uint32(1)).astype(bool)] + k)
+            at = begin[((mask >> np.uint32(k)) & np.uint32(1)).astype(bool)] + k
+            if len(at):
+                drop(at, at + REACH)
 
     position, _ = anchors(s)
     begin, end = _snippet_bounds(s, position)
     look(_snippet_ids(s, position, begin, end), begin, end)
-    if len(s.data) >= REACH:
+    if (sid & np.uint64(1)).any():
         # strings of hot anchors
         at = np.arange(len(s.data) - REACH + 1)
-        at = at[at + REACH <= np.repeat(s.off[1:], np.diff(s.off))[at]]
-        look(_flat_ids(s, at), at, at + REACH)
+        keep = at + REACH <= np.repeat(s.off[1:], np.diff(s.off))[at]
+        at = at[keep]
+        look(_flat_ids(s.gram_hashes(REACH)[keep]), at, at + REACH)
+    if not begins:
+        return np.zeros(len(s.data), bool)
+    n = len(s.data) + 1
+    change = np.bincount(np.concatenate(begins), minlength=n) - np.bincount(np.concatenate(ends), minlength=n)
     return np.cumsum(change)[:-1] > 0
 
 
@@ -322,11 +345,8 @@ def _rebuild(folder: str, full: bool):
         blobs = [x for x in table["blob"].to_pylist() if x]
         gone = np.zeros(len(s.data), bool)
         if blobs:
-            parts = []
-            for x in blobs:
-                n = int(np.frombuffer(x, np.int64, 1)[0])
-                parts.append((np.frombuffer(x, np.uint64, n, 8), np.frombuffer(x, np.int64, n, 8 + 8 * n), np.frombuffer(x, np.uint32, n, 8 + 16 * n)))
-            gone = removed(s, ids, *(np.concatenate([p[k] for p in parts]) for k in range(3)))
+            raws = [zstandard.decompress(x) for x in blobs]
+            gone = removed(s, ids, np.concatenate([np.frombuffer(x, np.uint64, len(x) // 12) for x in raws]), np.concatenate([np.frombuffer(x, np.uint32, offset=len(x) // 12 * 8) for x in raws]))
         begin = gone.copy()
         begin[1:] &= ~gone[:-1]
         starts = s.off[:-1][s.off[:-1] < s.off[1:]]
@@ -351,7 +371,7 @@ def deduplicate(docs: DataFrame, text: str = "text", full: bool = False, hot_blo
     shards = 4 * int(spark.conf.get("spark.sql.shuffle.partitions"))
     src = docs.select(docs["doc_id"].cast("long").alias("doc_id"), docs[text].cast("string").alias("text"))
     sent = src.mapInArrow(_store(folder, shards, block_bytes), "block string, shard int, codes binary")
-    marks = shared.keep(sent.groupBy("shard").applyInArrow(lambda t: _shared_codes(t, hot_blocks), "block string, codes binary"), "marks")
+    marks = shared.keep(sent.groupBy("shard").applyInArrow(lambda t: _shared_codes(t, hot_blocks), "block string, shard int, codes binary"), "marks")
     cut = marks.groupBy("block").applyInArrow(_snippets(folder, shards), "shard int, block string, blob binary")
     told = cut.groupBy("shard").applyInArrow(_verdicts, "block string, blob binary")
     known = marks.where("octet_length(codes) = 0").select("block", F.lit(None).cast("binary").alias("blob"))

@@ -226,3 +226,45 @@ def _joined(spans):
 def digests(scanned: DataFrame) -> DataFrame:
     every = F.array_sort(F.transform(F.concat("base", "extra"), lambda s: F.struct(s["start"].alias("start"), s["kind"].alias("kind"), s["end"].alias("end"))))
     return scanned.select("doc_id", "n_assign", "n_access", "n_hex", F.sha2(_joined(F.col("base")), 256).alias("base_sha256"), _joined(every).alias("spans"))
+
+
+MARK = "[REDACTED]"
+
+
+def redact(docs: DataFrame, fdr: float = 0.05) -> DataFrame:
+    """docs with every span, of the fixed patterns and of the tests, replaced by a mark; n_chars, if there, follows. Null text stays null."""
+    src = docs.select(docs["doc_id"].cast("long").alias("doc_id"), docs["text"].cast("string").alias("text"))
+    scanned = shared.keep(src.mapInArrow(_scan, SCHEMA).select("runs", "decoys").where("size(runs) > 0 or size(decoys) > 0"), "secrets")
+    least = thresholds(scanned, fdr)
+    names = docs.columns
+    at, size_at = names.index("text"), names.index("n_chars") if "n_chars" in names else None
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            found = []
+            plain = b.select([at]).rename_columns(["text"])
+            for x in _scan([pa.RecordBatch.from_arrays([pa.nulls(b.num_rows, pa.int64()), plain.column(0)], names=["doc_id", "text"])]):
+                base, runs = x.column("base").to_pylist(), x.column("runs").to_pylist()
+                found += [[(y["start"], y["end"]) for y in p] + [(y["start"], y["end"]) for y in q if y["score"] >= least.get(y["band"], 2.0)] for p, q in zip(base, runs, strict=True)]
+            if not any(found):
+                yield b
+                continue
+            text = plain.column(0).to_pylist()
+            sizes = None if size_at is None else b.column(size_at).to_pylist()
+            for k, spans in enumerate(found):
+                if spans:
+                    out, done, t = [], 0, text[k]
+                    for p, q in sorted(spans):
+                        if p >= done:
+                            out += [t[done:p], MARK]
+                        done = max(done, q)
+                    text[k] = "".join(out) + t[done:]
+                    if sizes is not None and sizes[k] is not None:
+                        sizes[k] = len(text[k])
+            columns = list(b.columns)
+            columns[at] = pa.array(text, b.schema.field(at).type)
+            if sizes is not None:
+                columns[size_at] = pa.array(sizes, b.schema.field(size_at).type)
+            yield pa.RecordBatch.from_arrays(columns, names=names)
+
+    return docs.mapInArrow(run, docs.schema)

@@ -61,18 +61,18 @@ def posteriors(docs: DataFrame, scorer: hl.Scorer | None, domains: int) -> DataF
     return src.mapInArrow(run, "doc_id long, tie long, tokens long, " + ", ".join(f"p{k} double" for k in range(domains)))
 
 
-def replay(p: np.ndarray, steps: list[tuple[np.ndarray, float]]) -> tuple[np.ndarray, np.ndarray]:
+def replay(p: np.ndarray, steps: list[tuple[np.ndarray, float]], most: float = np.inf) -> tuple[np.ndarray, np.ndarray]:
     """(rates, extrapolated rates) of documents with posteriors p after some steps of (scaled gap, momentum)."""
     r = np.ones(len(p))
     y = r
     for gap, momentum in steps:
-        new = np.maximum(0.0, y - p @ gap)
-        y = np.maximum(0.0, new + momentum * (new - r))
+        new = np.clip(y - p @ gap, 0.0, most)
+        y = np.clip(new + momentum * (new - r), 0.0, most)
         r = new
     return r, y
 
 
-def solve(table: DataFrame, targets: Sequence[float], max_steps: int = 80, tolerance: float = 1e-4) -> tuple[list[tuple[np.ndarray, float]], np.ndarray, np.ndarray]:
+def solve(table: DataFrame, targets: Sequence[float], max_steps: int = 80, tolerance: float = 1e-4, most: float = np.inf) -> tuple[list[tuple[np.ndarray, float]], np.ndarray, np.ndarray]:
     """The steps taken, the target totals and the totals that they reach."""
     d = len(targets)
     names = [f"p{k}" for k in range(d)]
@@ -97,7 +97,7 @@ def solve(table: DataFrame, targets: Sequence[float], max_steps: int = 80, toler
             for b in batches:
                 t = b.column(0).to_numpy().astype(float)
                 p = np.column_stack([b.column(k + 1).to_numpy() for k in range(d)])
-                r, y = replay(p, steps)
+                r, y = replay(p, steps, most)
                 a += (t * r) @ p
                 c += (t * y) @ p
             yield pa.RecordBatch.from_arrays([pa.array(np.arange(d)), pa.array(a), pa.array(c)], names=["k", "r", "y"])
@@ -117,31 +117,61 @@ def solve(table: DataFrame, targets: Sequence[float], max_steps: int = 80, toler
         if worst < tolerance:
             break
         rising = worst > least
+        if worst > least - 1e-9 and k > 20 and steps[-1][1] == 0.0:
+            break
         least = worst
         steps.append((step * gap, 0.0 if rising else k / (k + 3)))
         at_r, at_y = sums(steps)
     return steps, goal, at_r
 
 
-def rates(table: DataFrame, steps: list[tuple[np.ndarray, float]], domains: int) -> DataFrame:
+def _copies(rate: np.ndarray, ident: pa.Array, tie: np.ndarray) -> np.ndarray:
+    known = ident.cast(pa.int64()).fill_null(0).to_numpy().astype(np.uint64)
+    u = (tk.mix(tk.mix(known) ^ tie) >> np.uint64(11)).astype(float) / 2.0**53
+    return np.floor(rate + u).astype(np.int64)
+
+
+def rates(table: DataFrame, steps: list[tuple[np.ndarray, float]], domains: int, most: float = np.inf) -> DataFrame:
     """Adds rate and copies."""
     names = table.columns
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             p = np.column_stack([b.column(names.index(f"p{k}")).to_numpy() for k in range(domains)])
-            t = b.column(names.index("tokens")).to_numpy()
-            r = np.where(t > 0, replay(p, steps)[0], 1.0)
-            ident = b.column(names.index("doc_id")).fill_null(0).to_numpy().astype(np.uint64)
-            u = (tk.mix(tk.mix(ident) ^ b.column(names.index("tie")).to_numpy().view(np.uint64)) >> np.uint64(11)).astype(float) / 2.0**53
-            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(r), pa.array(np.floor(r + u).astype(np.int64))], names=[*names, "rate", "copies"])
+            r = np.where(b.column(names.index("tokens")).to_numpy() > 0, replay(p, steps, most)[0], 1.0)
+            copies = _copies(r, b.column(names.index("doc_id")), b.column(names.index("tie")).to_numpy().view(np.uint64))
+            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(r), pa.array(copies)], names=[*names, "rate", "copies"])
 
     return table.mapInArrow(run, ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in table.schema) + ", rate double, copies long")
 
 
-def mix(docs: DataFrame, labels: DataFrame, targets: Sequence[float] = TARGETS, max_labelled: int = 8000) -> DataFrame:
-    """doc_id, tie, tokens, p0.., rate, copies."""
+def _solved(docs: DataFrame, labels: DataFrame, targets: Sequence[float], max_labelled: int, most: float) -> tuple[hl.Scorer | None, DataFrame, list[tuple[np.ndarray, float]]]:
     scorer = classifier(docs, labels, max_labelled)
     table = shared.keep(posteriors(docs, scorer, len(targets)), "posteriors")
-    steps, _, _ = solve(table, targets)
-    return rates(table, steps, len(targets))
+    return scorer, table, solve(table, targets, most=most)[0]
+
+
+def mix(docs: DataFrame, labels: DataFrame, targets: Sequence[float] = TARGETS, max_labelled: int = 8000, most: float = np.inf) -> DataFrame:
+    """doc_id, tie, tokens, p0.., rate, copies. ``most``: an upper bound of the rates."""
+    _, table, steps = _solved(docs, labels, targets, max_labelled, most)
+    return rates(table, steps, len(targets), most)
+
+
+def resample(docs: DataFrame, labels: DataFrame, targets: Sequence[float] = TARGETS, max_labelled: int = 8000, most: float = np.inf) -> DataFrame:
+    """The rows of docs, with all their columns, each as often as its copies say."""
+    scorer, _, steps = _solved(docs, labels, targets, max_labelled, most)
+    sent = docs.sparkSession.sparkContext.broadcast(scorer)
+    names = docs.columns
+    at, ident, domains = names.index("text"), names.index("doc_id"), len(targets)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for i, j, s, low in hl.both_slabs(b.column(at).cast(pa.string())):
+                cuts, number, counts = hl.features(s, low)
+                p = sent.value.probabilities(cuts, number) if sent.value is not None else np.full((s.n, domains), 1 / domains)
+                r = np.where(counts["n_words"] > 0, replay(p, steps, most)[0], 1.0)
+                c = _copies(r, b.column(ident).slice(i, j - i), s.hash(s.off[:-1], s.off[1:]))
+                part = b.slice(i, j - i)
+                yield part.take(pa.array(np.repeat(np.arange(s.n), c)))
+
+    return docs.mapInArrow(run, docs.schema)

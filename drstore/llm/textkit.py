@@ -85,6 +85,12 @@ class Slab:
         _, inv = _power_tables(len(self.data) + 1)
         return mix((self.sums[end] - self.sums[start]) * inv[start] + (end - start).astype(np.uint64))
 
+    def gram_hashes(self, k: int) -> np.ndarray:
+        """``hash`` of the k-byte substring at every place."""
+        n = max(0, len(self.data) - k + 1)
+        _, inv = _power_tables(len(self.data) + 1)
+        return mix((self.sums[k : k + n] - self.sums[:n]) * inv[:n] + np.uint64(k))
+
     def runs(self, member: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Maximal runs of bytes whose entry of the 256-row table is true; no run crosses documents."""
         m = member[self.data]
