@@ -10,7 +10,8 @@ Weights are 1 (plain Jaccard) and, for documents that repeat shingles, also the
 similarity reaches ``threshold``. Equal texts are one node from the start. Signatures are cut into ``BANDS`` bands of ``ROWS``; for each
 band value the most connected document is compared with all others, exactly, on the sets. Band values whose documents then
 lie in different components get more leaders, eight times as many in each round, until nothing is left to compare: no cap on partners,
-and no pair inside a component is compared in vain. At the threshold a pair shares no band with probability (1 - threshold^ROWS)^BANDS, 3e-6.
+and no pair inside a component is compared in vain. First, though, documents leave such a band value if they have too many shingles to themselves to
+reach the threshold with any other of it, which settles the fringe of a large group of copies without pairs. At the threshold a pair shares no band with probability (1 - threshold^ROWS)^BANDS, 3e-6.
 
 Nodes are 64-bit hashes of texts. Null text is empty text; texts without words are linked to equal texts only. A class is named by its least doc_id (null
 if all are null). Repeated rows and repeated doc_ids are rows of their own; an empty table gives an empty result.
@@ -194,17 +195,48 @@ def rows_of(docs: DataFrame, text: str = "text") -> DataFrame:
     return docs.select(docs["doc_id"].cast("long").alias("doc_id"), F.xxhash64(t).alias("node"), t.alias("text"))
 
 
-def verified(docs: DataFrame, pairs: DataFrame, threshold: float) -> DataFrame:
+def sets_of(docs: DataFrame, nodes: DataFrame) -> DataFrame:
+    """node, set, n: the packed sets of some nodes."""
+    texts = rows_of(docs).select("node", "text").join(nodes, "node", "left_semi")
+    return texts.mapInArrow(_sets, "node long, set binary, n int").groupBy("node").agg(F.first("set").alias("set"), F.first("n").alias("n"))
+
+
+def verified(sets: DataFrame, pairs: DataFrame, threshold: float) -> DataFrame:
     """The pairs (a, b) of nodes whose texts reach the threshold."""
-    wanted = pairs.select(F.col("a").alias("node")).unionByName(pairs.select(F.col("b").alias("node"))).distinct()
-    texts = rows_of(docs).select("node", "text").join(wanted, "node", "left_semi")
-    sets = shared.keep(texts.mapInArrow(_sets, "node long, set binary, n int").groupBy("node").agg(F.first("set").alias("set"), F.first("n").alias("n")), "sets")
     a = sets.select(F.col("node").alias("a"), F.col("set").alias("sa"), F.col("n").alias("na"))
     b = sets.select(F.col("node").alias("b"), F.col("set").alias("sb"), F.col("n").alias("nb"))
     full = pairs.join(a, "a").join(b, "b").select("a", "b", "sa", "na", "sb", "nb")
     return full.mapInArrow(_check(threshold), "a long, b long")
 
 
+def _elements(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """(element, node, distinct): the elements of sets; distinct is false for further copies of a shingle."""
+    for b in batches:
+        for i in range(0, b.num_rows, 256):
+            part = b.slice(i, 256)
+            node, n = part.column(0).to_numpy(), part.column(2).to_numpy()
+            items = [_unpack(x) for x in part.column(1).to_pylist()]
+            size = np.array([len(x) for x in items])
+            flat = np.concatenate(items) if items else np.empty(0, np.uint64)
+            place = np.arange(len(flat)) - np.repeat(np.cumsum(size) - size, size)
+            yield pa.RecordBatch.from_arrays([pa.array(flat.astype(np.int64)), pa.array(np.repeat(node, size)), pa.array(place < np.repeat(n, size))], names=["element", "node", "distinct"])
+
+
+def own_elements(sets: DataFrame) -> DataFrame:
+    """node, n, own (distinct shingles, and those of them that no other of these nodes has), m, own_m (the same with copies counted)."""
+    rows = sets.mapInArrow(_elements, "element long, node long, distinct boolean")
+    single = rows.groupBy("element").agg(F.count("*").alias("c"), F.min("node").alias("node"), F.max("distinct").alias("distinct")).where("c = 1")
+    own = single.groupBy("node").agg(F.count_if("distinct").alias("own"), F.count("*").alias("own_m"))
+    size = sets.select("node", F.col("n").cast("long").alias("n"), (F.octet_length("set") / 5).cast("long").alias("m"))
+    return size.join(own, "node", "left").select("node", "n", "m", F.coalesce("own", F.lit(0)).alias("own"), F.coalesce("own_m", F.lit(0)).alias("own_m"))
+
+
+def _may_link(n1, own1, n2, own2, threshold: float):
+    """Whether two sets can reach the threshold: what both share is at most what each has not for itself."""
+    both = F.least(n1 - own1, n2 - own2)
+    return both >= F.lit(threshold) * (n1 + n2 - both) - 1e-9
+
+
 def classes(docs: DataFrame, threshold: float = 0.8) -> DataFrame:
     """doc_id, node, class_node (least node of the class), class_id (least doc_id of the class), class_size (documents)."""
     signed = shared.keep(rows_of(docs).mapInArrow(_sign, "doc_id long, node long, bands array<long>"), "signatures")
@@ -213,24 +245,35 @@ def classes(docs: DataFrame, threshold: float = 0.8) -> DataFrame:
     size = member.groupBy("key").agg(F.count("*").alias("size")).where("size > 1")
     member = shared.keep(member.join(size, "key"), "members")
     central = member.groupBy("node").agg(F.sum("size").alias("central"))
+    sets = shared.keep(sets_of(docs, central.select("node")), "sets")
     member = shared.keep(member.join(central, "node"), "members")
-    edges, label, leaders = None, None, 1
-    while True:
-        if label is None:
-            live = member.withColumn("label", F.col("node"))
-            lead = live.groupBy("key").agg(F.max(F.struct("central", "node")).alias("m")).select("key", F.col("m.node").alias("leader"), F.col("m.node").alias("leader_label"))
-        else:
-            live = member.where(F.col("size") > leaders // 8 + 1).join(label, "node", "left").withColumn("label", F.coalesce("label", "node"))
-            mixed = live.groupBy("key").agg(F.min("label").alias("x"), F.max("label").alias("y")).where("x <> y").select("key")
-            live = shared.keep(live.join(mixed, "key", "left_semi"), "live")
-            if not live.limit(1).count():
-                break
-            w = Window.partitionBy("key").orderBy(F.desc("central"), "node")
-            lead = live.withColumn("r", F.row_number().over(w)).where((F.col("r") > leaders // 8) & (F.col("r") <= leaders)).select("key", F.col("node").alias("leader"), F.col("label").alias("leader_label"))
-        pairs = live.join(lead, "key").where((F.col("label") != F.col("leader_label")) & (F.col("node") != F.col("leader")))
-        pairs = shared.keep(pairs.select(F.least("node", "leader").alias("a"), F.greatest("node", "leader").alias("b")).distinct(), "pairs")
-        found = shared.keep(verified(docs, pairs, threshold), "links")
-        edges = found if edges is None else edges.unionByName(found)
+    # every member of a band value against the most connected one
+    lead = member.groupBy("key").agg(F.max(F.struct("central", "node")).alias("m")).select("key", F.col("m.node").alias("leader"))
+    pairs = member.join(lead, "key").where("node <> leader").select(F.least("node", "leader").alias("a"), F.greatest("node", "leader").alias("b")).distinct()
+    edges = shared.keep(verified(sets, pairs, threshold), "links")
+    label = components.components(edges)
+    # what is left: band values with members in different components that could still be linked
+    leaders = 8
+    rest = _mixed(member.where("size > 2"), label)
+    if rest is not None:
+        facts = shared.keep(own_elements(sets.join(rest.select("node").distinct(), "node", "left_semi")), "facts")
+        rest = rest.drop("label").join(facts, "node")
+        least = rest.groupBy("key").agg(F.min("n").alias("n0"), F.min("m").alias("m0"))
+        rest = rest.join(least, "key")
+        zero = F.lit(0)
+        can = _may_link(F.col("n"), F.col("own"), F.greatest("n0", F.col("n") - F.col("own")), zero, threshold) | _may_link(F.col("m"), F.col("own_m"), F.greatest("m0", F.col("m") - F.col("own_m")), zero, threshold)
+        rest = shared.keep(rest.where(can).drop("n0", "m0"), "members")
+    while rest is not None:
+        live = _mixed(rest.where(F.col("size") > leaders // 8 + 1), label)
+        if live is None:
+            break
+        w = Window.partitionBy("key").orderBy(F.desc("central"), "node")
+        lead = live.withColumn("r", F.row_number().over(w)).where((F.col("r") > (leaders // 8 if leaders > 8 else 0)) & (F.col("r") <= leaders))
+        lead = lead.select("key", *(F.col(c).alias(f"l_{c}") for c in ("node", "label", "n", "own", "m", "own_m")))
+        can = _may_link(F.col("n"), F.col("own"), F.col("l_n"), F.col("l_own"), threshold) | _may_link(F.col("m"), F.col("own_m"), F.col("l_m"), F.col("l_own_m"), threshold)
+        pairs = live.join(lead, (live["key"] == lead["key"]) & (F.col("label") != F.col("l_label")) & can)
+        pairs = pairs.select(F.least("node", "l_node").alias("a"), F.greatest("node", "l_node").alias("b")).distinct()
+        edges = edges.unionByName(shared.keep(verified(sets, pairs, threshold), "links"))
         label = components.components(edges)
         leaders *= 8
     named = signed.select("doc_id", "node").join(label, "node", "left").withColumn("label", F.coalesce("label", "node"))
@@ -238,6 +281,14 @@ def classes(docs: DataFrame, threshold: float = 0.8) -> DataFrame:
     return named.join(names, "label").select("doc_id", "node", F.col("label").alias("class_node"), "class_id", "class_size")
 
 
+def _mixed(member: DataFrame, label: DataFrame) -> DataFrame | None:
+    """The rows of band values whose members lie in different components, with their label; None if there are none."""
+    live = member.join(label, "node", "left").withColumn("label", F.coalesce("label", "node"))
+    mixed = live.groupBy("key").agg(F.min("label").alias("x"), F.max("label").alias("y")).where("x <> y").select("key")
+    live = shared.keep(live.join(mixed, "key", "left_semi"), "live")
+    return live if live.limit(1).count() else None
+
+
 def keep_one(docs: DataFrame, threshold: float = 0.8) -> DataFrame:
     """The documents less all but one of each class: the one with the least doc_id, then the least text hash; repeated rows once."""
     found = classes(docs, threshold)
