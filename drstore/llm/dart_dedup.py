@@ -8,10 +8,10 @@ that many darts however long the text is; documents left with an empty coordinat
 
 Weights are 1 (plain Jaccard) and, for documents that repeat shingles, also the counts, in one space of signatures. Two documents are linked if either
 similarity reaches ``threshold``. Equal texts are one node from the start. Signatures are cut into ``BANDS`` bands of ``ROWS``; for each
-band value the most connected document is compared with all others, exactly, on the sets. Band values whose documents then
-lie in different components get more leaders, eight times as many in each round, until nothing is left to compare: no cap on partners,
-and no pair inside a component is compared in vain. First, though, documents leave such a band value if they have too many shingles to themselves to
-reach the threshold with any other of it, which settles the fringe of a large group of copies without pairs. At the threshold a pair shares no band with probability (1 - threshold^ROWS)^BANDS, 3e-6.
+band value the most connected document is compared with all others, exactly, on the sets. Where documents of a band value then still lie in
+different components, those outside its largest one are joined exactly with the others by their rarest shingles (a prefix join): no cap on partners, and the
+members of a large group of copies are not compared with each other.
+At the threshold a pair shares no band with probability (1 - threshold^ROWS)^BANDS, 3e-6.
 
 Nodes are 64-bit hashes of texts. Null text is empty text; texts without words are linked to equal texts only. A class is named by its least doc_id (null
 if all are null). Repeated rows and repeated doc_ids are rows of their own; an empty table gives an empty result.
@@ -210,31 +210,38 @@ def verified(sets: DataFrame, pairs: DataFrame, threshold: float) -> DataFrame:
 
 
 def _elements(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """(element, node, distinct): the elements of sets; distinct is false for further copies of a shingle."""
+    """(counted, element, node, size): the distinct shingles of each set and, apart, its shingles with their copies."""
     for b in batches:
         for i in range(0, b.num_rows, 256):
             part = b.slice(i, 256)
             node, n = part.column(0).to_numpy(), part.column(2).to_numpy()
             items = [_unpack(x) for x in part.column(1).to_pylist()]
-            size = np.array([len(x) for x in items])
-            flat = np.concatenate(items) if items else np.empty(0, np.uint64)
-            place = np.arange(len(flat)) - np.repeat(np.cumsum(size) - size, size)
-            yield pa.RecordBatch.from_arrays([pa.array(flat.astype(np.int64)), pa.array(np.repeat(node, size)), pa.array(place < np.repeat(n, size))], names=["element", "node", "distinct"])
-
-
-def own_elements(sets: DataFrame) -> DataFrame:
-    """node, n, own (distinct shingles, and those of them that no other of these nodes has), m, own_m (the same with copies counted)."""
-    rows = sets.mapInArrow(_elements, "element long, node long, distinct boolean")
-    single = rows.groupBy("element").agg(F.count("*").alias("c"), F.min("node").alias("node"), F.max("distinct").alias("distinct")).where("c = 1")
-    own = single.groupBy("node").agg(F.count_if("distinct").alias("own"), F.count("*").alias("own_m"))
-    size = sets.select("node", F.col("n").cast("long").alias("n"), (F.octet_length("set") / 5).cast("long").alias("m"))
-    return size.join(own, "node", "left").select("node", "n", "m", F.coalesce("own", F.lit(0)).alias("own"), F.coalesce("own_m", F.lit(0)).alias("own_m"))
-
-
-def _may_link(n1, own1, n2, own2, threshold: float):
-    """Whether two sets can reach the threshold: what both share is at most what each has not for itself."""
-    both = F.least(n1 - own1, n2 - own2)
-    return both >= F.lit(threshold) * (n1 + n2 - both) - 1e-9
+            for counted, lists in ((False, [x[:k] for x, k in zip(items, n.tolist(), strict=True)]), (True, items)):
+                size = np.array([len(x) for x in lists])
+                flat = np.concatenate(lists) if lists else np.empty(0, np.uint64)
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(flat), counted)), pa.array(flat.astype(np.int64)), pa.array(np.repeat(node, size)), pa.array(np.repeat(size, size))], names=["counted", "element", "node", "size"])
+
+
+def prefix_pairs(sets: DataFrame, nodes: DataFrame, threshold: float) -> DataFrame:
+    """(a, b): pairs of different labels that can reach the threshold and of which one is on the fringe. nodes: node, label, fringe.
+
+    Elements are put in one order, the rarest first. Two sets of sizes x and y that reach the threshold share at least t (x + y) / (1 + t) elements, so the
+    first that they share is near enough to the beginning of both; only such places are joined.
+    """
+    e = sets.join(nodes.select("node"), "node", "left_semi").mapInArrow(_elements, "counted boolean, element long, node long, size long")
+    often = e.groupBy("counted", "element").agg(F.count("*").alias("often"))
+    w = Window.partitionBy("node", "counted").orderBy("often", "element")
+    placed = e.join(often.where("often > 1"), ["counted", "element"])
+    # what a set has for itself comes before the rest, so places follow from their number
+    own = e.join(often.where("often = 1"), ["counted", "element"], "left_semi").groupBy("counted", "node").agg(F.count("*").alias("own"))
+    placed = placed.withColumn("r", F.row_number().over(w)).join(own, ["counted", "node"], "left").withColumn("r", F.col("r") + F.coalesce("own", F.lit(0)))
+    placed = placed.where(F.col("r") <= F.col("size") - F.ceil(threshold * F.col("size") - 1e-9) + 1).join(nodes, "node")
+    placed = shared.keep(placed.select("counted", "element", "node", "size", "r", "label", "fringe"), "places")
+    f, g = placed.where("fringe").alias("f"), placed.alias("g")
+    least = F.ceil(threshold * (F.col("f.size") + F.col("g.size")) / (1 + threshold) - 1e-9)
+    near = (F.col("f.r") <= F.col("f.size") - least + 1) & (F.col("g.r") <= F.col("g.size") - least + 1)
+    hit = (F.col("f.counted") == F.col("g.counted")) & (F.col("f.element") == F.col("g.element")) & (F.col("f.label") != F.col("g.label")) & near
+    return f.join(g, hit).select(F.least("f.node", "g.node").alias("a"), F.greatest("f.node", "g.node").alias("b")).distinct()
 
 
 def classes(docs: DataFrame, threshold: float = 0.8) -> DataFrame:
@@ -252,43 +259,21 @@ def classes(docs: DataFrame, threshold: float = 0.8) -> DataFrame:
     pairs = member.join(lead, "key").where("node <> leader").select(F.least("node", "leader").alias("a"), F.greatest("node", "leader").alias("b")).distinct()
     edges = shared.keep(verified(sets, pairs, threshold), "links")
     label = components.components(edges)
-    # what is left: band values with members in different components that could still be linked
-    leaders = 8
-    rest = _mixed(member.where("size > 2"), label)
-    if rest is not None:
-        facts = shared.keep(own_elements(sets.join(rest.select("node").distinct(), "node", "left_semi")), "facts")
-        rest = rest.drop("label").join(facts, "node")
-        least = rest.groupBy("key").agg(F.min("n").alias("n0"), F.min("m").alias("m0"))
-        rest = rest.join(least, "key")
-        zero = F.lit(0)
-        can = _may_link(F.col("n"), F.col("own"), F.greatest("n0", F.col("n") - F.col("own")), zero, threshold) | _may_link(F.col("m"), F.col("own_m"), F.greatest("m0", F.col("m") - F.col("own_m")), zero, threshold)
-        rest = shared.keep(rest.where(can).drop("n0", "m0"), "members")
-    while rest is not None:
-        live = _mixed(rest.where(F.col("size") > leaders // 8 + 1), label)
-        if live is None:
-            break
-        w = Window.partitionBy("key").orderBy(F.desc("central"), "node")
-        lead = live.withColumn("r", F.row_number().over(w)).where((F.col("r") > (leaders // 8 if leaders > 8 else 0)) & (F.col("r") <= leaders))
-        lead = lead.select("key", *(F.col(c).alias(f"l_{c}") for c in ("node", "label", "n", "own", "m", "own_m")))
-        can = _may_link(F.col("n"), F.col("own"), F.col("l_n"), F.col("l_own"), threshold) | _may_link(F.col("m"), F.col("own_m"), F.col("l_m"), F.col("l_own_m"), threshold)
-        pairs = live.join(lead, (live["key"] == lead["key"]) & (F.col("label") != F.col("l_label")) & can)
-        pairs = pairs.select(F.least("node", "l_node").alias("a"), F.greatest("node", "l_node").alias("b")).distinct()
+    # what is left: band values with members in different components
+    live = member.where("size > 2").join(label, "node", "left").withColumn("label", F.coalesce("label", "node"))
+    share = live.groupBy("key", "label").agg(F.count("*").alias("c"))
+    top = share.groupBy("key").agg(F.max(F.struct("c", "label")).alias("m"), F.count("*").alias("labels")).where("labels > 1").select("key", F.col("m.label").alias("top"))
+    nodes = live.join(top, "key").groupBy("node", "label").agg(F.max(F.col("label") != F.col("top")).alias("fringe"))
+    nodes = shared.keep(nodes, "fringe")
+    if nodes.limit(1).count():
+        pairs = prefix_pairs(sets, nodes, threshold)
         edges = edges.unionByName(shared.keep(verified(sets, pairs, threshold), "links"))
         label = components.components(edges)
-        leaders *= 8
     named = signed.select("doc_id", "node").join(label, "node", "left").withColumn("label", F.coalesce("label", "node"))
     names = named.groupBy("label").agg(F.min("doc_id").alias("class_id"), F.count("*").alias("class_size"))
     return named.join(names, "label").select("doc_id", "node", F.col("label").alias("class_node"), "class_id", "class_size")
 
 
-def _mixed(member: DataFrame, label: DataFrame) -> DataFrame | None:
-    """The rows of band values whose members lie in different components, with their label; None if there are none."""
-    live = member.join(label, "node", "left").withColumn("label", F.coalesce("label", "node"))
-    mixed = live.groupBy("key").agg(F.min("label").alias("x"), F.max("label").alias("y")).where("x <> y").select("key")
-    live = shared.keep(live.join(mixed, "key", "left_semi"), "live")
-    return live if live.limit(1).count() else None
-
-
 def keep_one(docs: DataFrame, threshold: float = 0.8) -> DataFrame:
     """The documents less all but one of each class: the one with the least doc_id, then the least text hash; repeated rows once."""
     found = classes(docs, threshold)
