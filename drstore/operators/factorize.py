@@ -47,10 +47,22 @@ def decode_range(pos: np.ndarray, length: np.ndarray, d: bytes, start: int, size
     return decode_document(pos[a:b].tolist(), length[a:b].tolist(), d)[skip : skip + size]
 
 
-def _lists(pos: list[list[int]], length: list[list[int]]) -> pa.Array:
-    cuts = np.concatenate([[0], np.cumsum([len(p) for p in pos])]).astype(np.int32)
-    flat = pa.StructArray.from_arrays([pa.array([v for p in pos for v in p], pa.int64()), pa.array([v for k in length for v in k], pa.int32())], names=["pos", "len"])
-    return pa.ListArray.from_arrays(pa.array(cuts), flat)
+def factor_batch(bodies: list[bytes], search: Searcher, tie: str = "first_rank") -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(pos, len, cuts) of the factors of many documents."""
+    from .bulk import Bulk
+
+    if tie == "first_rank":
+        if not hasattr(search, "bulk"):
+            search.bulk = Bulk(search)
+        return search.bulk.factors(bodies)
+    both = [factor_document(x, search, tie) for x in bodies]
+    cuts = np.concatenate([[0], np.cumsum([len(p) for p, _ in both])]).astype(np.int64)
+    return np.array([v for p, _ in both for v in p], np.int64), np.array([v for _, k in both for v in k], np.int64), cuts
+
+
+def _lists(pos: np.ndarray, length: np.ndarray, cuts: np.ndarray) -> pa.Array:
+    flat = pa.StructArray.from_arrays([pa.array(pos, pa.int64()), pa.array(length.astype(np.int32))], names=["pos", "len"])
+    return pa.ListArray.from_arrays(pa.array(cuts.astype(np.int32)), flat)
 
 
 def factorize(coll: DataFrame, dictionary: Dictionary, tie: str = "first_rank") -> DataFrame:
@@ -60,8 +72,7 @@ def factorize(coll: DataFrame, dictionary: Dictionary, tie: str = "first_rank")
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         search = ship.searcher()
         for b in batches:
-            both = [factor_document(x, search, tie) for x in b.column(1).to_pylist()]
-            yield pa.RecordBatch.from_arrays([b.column(0), _lists([p for p, _ in both], [k for _, k in both])], names=["doc_id", "factors"])
+            yield pa.RecordBatch.from_arrays([b.column(0), _lists(*factor_batch(b.column(1).to_pylist(), search, tie))], names=["doc_id", "factors"])
 
     return coll.select("doc_id", "body").mapInArrow(run, "doc_id long, factors array<struct<pos:long,len:int>>")
 
@@ -90,7 +101,8 @@ def factorize_stream(placed: DataFrame, dictionary: Dictionary) -> DataFrame:
                         i += 1
                 out_p.append(ps)
                 out_k.append(ks)
-            yield pa.RecordBatch.from_arrays([b.column(0), _lists(out_p, out_k)], names=["doc_id", "factors"])
+            cuts = np.concatenate([[0], np.cumsum([len(p) for p in out_p])])
+            yield pa.RecordBatch.from_arrays([b.column(0), _lists(np.array([v for p in out_p for v in p], np.int64), np.array([v for k in out_k for v in k], np.int64), cuts)], names=["doc_id", "factors"])
 
     return placed.select("doc_id", "body").mapInArrow(run, "doc_id long, factors array<struct<pos:long,len:int>>")
 
@@ -132,15 +144,14 @@ def encode(coll: DataFrame, dictionary: Dictionary, codec: str, tie: str = "firs
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         search = ship.searcher()
         for b in batches:
-            sizes, counts, ps, ks = [], [], [], []
-            for x in b.column(1).to_pylist():
-                pos, length = factor_document(x, search, tie)
-                p, k = codecs.encode_pairs(np.array(pos, np.int64), np.array(length, np.int64), codec, z_form)
-                sizes.append(len(x))
-                counts.append(len(pos))
+            ps, ks, n = [], [], b.num_rows
+            bodies = b.column(1).to_pylist()
+            pos, length, cuts = factor_batch(bodies, search, tie)
+            for i, j in zip(cuts[:-1].tolist(), cuts[1:].tolist(), strict=True):
+                p, k = codecs.encode_pairs(pos[i:j], length[i:j], codec, z_form)
                 ps.append(p)
                 ks.append(k)
-            n = b.num_rows
+            sizes, counts = [len(x) for x in bodies], np.diff(cuts)
             yield pa.RecordBatch.from_arrays(
                 [b.column(0), pa.array([version] * n, pa.int32()), pa.array([codec] * n), pa.array(sizes, pa.int64()), pa.array(counts, pa.int64()), pa.array(ps, pa.binary()), pa.array(ks, pa.binary())],
                 names=["doc_id", "dict_version", "codec", "n_bytes", "n_factors", "pos_stream", "len_stream"],

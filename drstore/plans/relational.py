@@ -172,7 +172,7 @@ def _salted(spark, sf):
     """Few hot ids: requests are salted and the documents repeated for each salt."""
     n = load(spark, sf, "documents").count()
     e = load(spark, sf, "events").select("event_type", ((F.col("event_id") * rq.STEP) % n % 7).alias("doc_id"), F.pmod(F.xxhash64("event_id"), F.lit(8)).alias("salt"))
-    d = load(spark, sf, "documents").select("doc_id", "lang", F.explode(F.sequence(F.lit(0), F.lit(7))).cast("long").alias("salt"))
+    d = load(spark, sf, "documents").select("doc_id", "lang", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(7).cast("long"))).alias("salt"))
     return e.join(d, ["doc_id", "salt"]).groupBy("event_type", "lang").agg(F.count("*").alias("n"))
 
 
