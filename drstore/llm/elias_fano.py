@@ -8,6 +8,8 @@ from __future__ import annotations
 
 import numpy as np
 
+PIECE = 1 << 14
+
 
 class EliasFano:
     def __init__(self, n: int, low: int, upper: np.ndarray, lower: np.ndarray):
@@ -24,7 +26,8 @@ class EliasFano:
         bits = np.zeros(int(place[-1]) + 1 if n else 0, np.uint8)
         bits[place] = 1
         shifts = np.arange(low, dtype=np.uint64)
-        lower = np.packbits(((values[:, None] >> shifts) & np.uint64(1)).astype(np.uint8)) if low else np.empty(0, np.uint8)
+        lower = [np.packbits(((values[i : i + PIECE, None] >> shifts) & np.uint64(1)).astype(np.uint8)) for i in range(0, n, PIECE)] if low else []
+        lower = np.concatenate(lower) if lower else np.empty(0, np.uint8)
         return cls(n, low, np.packbits(bits), lower)
 
     def to_bytes(self) -> bytes:
@@ -43,9 +46,8 @@ class EliasFano:
             return np.empty(0, np.uint64)
         out = (np.flatnonzero(np.unpackbits(self.upper)) - np.arange(self.n)).astype(np.uint64) << np.uint64(self.low)
         if self.low:
-            width = 1 << 16
-            for i in range(0, self.n, width):  # whole bytes: width is a multiple of 8
-                k = min(width, self.n - i)
+            for i in range(0, self.n, PIECE):  # whole bytes: PIECE is a multiple of 8
+                k = min(PIECE, self.n - i)
                 bits = np.unpackbits(self.lower[i * self.low // 8 : (i + k) * self.low // 8 + 1], count=k * self.low).reshape(k, self.low)
                 for b in range(self.low):
                     out[i : i + k] |= bits[:, b].astype(np.uint64) << np.uint64(b)

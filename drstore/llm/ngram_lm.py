@@ -12,8 +12,8 @@ the order of its questions; blocks put the answers together. So no task or drive
 Contexts that hold more than 1/``HOT_UNIGRAM`` (one word) or 1/``HOT_BIGRAM`` (two words) of the tokens, a list of bounded size, are split by successor: their
 shards answer with counts, and the contexts' totals, one row each, are added up and sent to the blocks.
 
-Codes: contexts and words are hashed (32 + 32 bits, for order 3 32 + 24), so about one unseen n-gram in ten thousand may be taken for a seen one. Counts of single words are exact
-but for collisions of 64-bit hashes.
+Codes: inside a shard contexts have 30 bits and words 28 (20 after two words), so about one unseen n-gram in some thousands may be taken for a seen one. Counts of single words are
+exact but for collisions of hashes of 44 bits inside a shard.
 
 Null text is empty text: its only token is the end. Null doc_id: scored, held_out is false, not learned from. Repeated rows are learned from and scored
 as rows of their own; an empty table gives an empty result.
@@ -37,7 +37,7 @@ from .run_length_dedup import hash_text
 ORDER = 3
 DISCOUNT = (0.5, 0.7, 0.8)
 HOT_UNIGRAM, HOT_BIGRAM = 500, 2000
-BLOCK_BYTES = 1 << 22
+BLOCK_BYTES = 6 << 20
 BEGIN, END = np.uint64(0x5851F42D4C957F2D), np.uint64(0x14057B7EF767814F)
 LOG_STEP = 0.03  # of 8-bit codes of log10 values: code k > 0 is -LOG_STEP (k - 1), 0 is zero probability
 
@@ -140,12 +140,12 @@ class Grams:
         if order == 1:
             full = self.token
             shard = (full % np.uint64(shards)).astype(np.uint64)
-            key = full
+            key = full >> np.uint64(20)
         else:
             bits = word_bits(order)
             c = self.context[order]
             word = self.token >> np.uint64(64 - bits)
-            key = (c >> np.uint64(32)) << np.uint64(bits) | word
+            key = (c >> np.uint64(64 - CONTEXT_BITS)) << np.uint64(bits) | word
             shard = c % np.uint64(shards)
             split = np.isin(c, hot)
             shard[split] = tk.mix(c[split] ^ self.token[split]) % np.uint64(shards)
@@ -162,8 +162,11 @@ class Grams:
         return shard[head].astype(np.int64), key[head], count, is_hot, number
 
 
+CONTEXT_BITS = 30
+
+
 def word_bits(order: int) -> int:
-    return 32 if order == 2 else 24
+    return 28 if order == 2 else 20
 
 
 def _planes(a: np.ndarray, width: int) -> bytes:
@@ -196,15 +199,16 @@ def _read_question(blob: bytes) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
 
 
 def _ask(folder: str, shards: int, hot: np.ndarray, order: int):
+    @tk.tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
 
         name = f"{TaskContext.get().partitionId()}.blocks"
         whole, pieces, at = zstandard.ZstdCompressor(level=3), [], 0
-        for b in batches:
+        for b in tk.blocks(batches, 2, BLOCK_BYTES):
             ids = b.column(0).fill_null(0).to_numpy().astype(np.int64)
             flags = np.asarray(b.column(0).is_null()).astype(np.uint8) | (np.asarray(b.column(1)).astype(np.uint8) << 1)
-            for i, j, s in tk.slabs(b.column(2), lower=True, limit=BLOCK_BYTES):
+            for i, j, s in tk.slabs(b.column(2), lower=True, limit=2 * BLOCK_BYTES):
                 raw = np.int64(j - i).tobytes() + ids[i:j].tobytes() + flags[i:j].tobytes() + s.off.astype(np.int64).tobytes() + s.data.tobytes()
                 piece = whole.compress(raw)
                 block = f"{name}#{at}#{len(piece)}"
@@ -234,6 +238,7 @@ _ANSWER = pa.schema([("block", pa.string()), ("n", pa.int32()), ("shard", pa.int
 def _answer(folder: str, keep_tries: bool):
     """Rows for blocks (block, n, shard, blob) and rows of totals (no block): n = 0 for the corpus, else of split contexts."""
 
+    @tk.tidy
     def run(table: pa.Table) -> pa.Table:
         n, shard = table["n"][0].as_py(), table["shard"][0].as_py()
         blocks = table["block"].to_pylist()
@@ -287,6 +292,7 @@ _RESULT = "doc_id long, held_out boolean, n_tokens long, n_known long, train_tok
 
 
 def _score(folder: str, shards: int, hot: np.ndarray, order: int, tokens: int, kinds: int, totals: dict[int, tuple[np.ndarray, np.ndarray, np.ndarray]]):
+    @tk.tidy
     def run(table: pa.Table) -> pa.Table:
         block = table["block"][0].as_py()
         name, at, size = block.split("#")
@@ -341,6 +347,7 @@ def _score(folder: str, shards: int, hot: np.ndarray, order: int, tokens: int, k
 def _frequent(order: int):
     """(n, code, count): contexts that are frequent inside a slab of training text, so a list of them is short."""
 
+    @tk.tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             train = np.asarray(b.column(0)).astype(bool)

@@ -75,15 +75,16 @@ def _shard(code: np.ndarray, shards: int) -> np.ndarray:
 def _store(folder: str, shards: int, block_bytes: int):
     """Rows (block, shard, codes): distinct 40-bit anchor hashes with a flag for those that two documents of the block share."""
 
+    @tk.tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
 
         name = f"{TaskContext.get().partitionId()}.blocks"
         whole, pieces, at = zstandard.ZstdCompressor(level=1), [], 0
-        for b in batches:
+        for b in tk.blocks(batches, 1, block_bytes):
             ids = b.column(0).fill_null(NULL_ID).to_numpy().astype(np.int64)
             null = np.asarray(b.column(0).is_null())
-            for i, j, s in tk.slabs(b.column(1), limit=block_bytes):
+            for i, j, s in tk.slabs(b.column(1), limit=2 * block_bytes):
                 raw = np.int64(j - i).tobytes() + ids[i:j].tobytes() + null[i:j].astype(np.uint8).tobytes() + s.off.astype(np.int64).tobytes() + s.data.tobytes()
                 piece = whole.compress(raw)
                 block = f"{name}#{at}#{len(piece)}"
@@ -132,6 +133,7 @@ def _inside(code: np.ndarray, shards: int) -> np.ndarray:
     return (code // np.uint64(shards)) & np.uint64((1 << 31) - 1)
 
 
+@tk.tidy
 def _shared_codes(table: pa.Table, hot_blocks: int) -> pa.Table:
     """(block, codes): for each block of a shard the codes that two documents share, flagged if hot; rows of a negative shard pass, so every block is known."""
     blocks, blobs = table["block"].to_pylist(), table["codes"].to_pylist()
@@ -186,6 +188,7 @@ def _flat_ids(hashes: np.ndarray) -> np.ndarray:
 def _snippets(folder: str, shards: int):
     """Rows (shard, block, blob): for each distinct snippet of a block the anchor's place in it, its bytes, least and greatest doc_id."""
 
+    @tk.tidy
     def run(table: pa.Table) -> pa.Table:
         block = table["block"][0].as_py()
         parts = [(k, *_unpack(x)) for k, x in zip(table["shard"].to_pylist(), table["codes"].to_pylist(), strict=True) if x]
@@ -236,6 +239,7 @@ def _snippets(folder: str, shards: int):
 ELSEWHERE = np.uint32(1 << 31)
 
 
+@tk.tidy
 def _verdicts(table: pa.Table) -> pa.Table:
     """Rows (block, blob): for each snippet of a block that loses bytes its identity and the strings that go in the least document, or that all goes."""
     blocks = table["block"].to_pylist()
@@ -339,6 +343,7 @@ _SCHEMA = pa.schema([("doc_id", pa.int64()), ("n_bytes", pa.int64()), ("n_remove
 
 
 def _rebuild(folder: str, full: bool):
+    @tk.tidy
     def run(table: pa.Table) -> pa.Table:
         block = table["block"][0].as_py()
         ids, null, s = _open(folder, block)

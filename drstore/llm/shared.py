@@ -31,6 +31,17 @@ def folder(spark: SparkSession) -> str:
     return root
 
 
+#: Rows of an Arrow batch; documents are large, and a batch is held by both sides at once.
+BATCH_ROWS = 2000
+
+
+def small_batches(spark: SparkSession) -> None:
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    now = int(spark.conf.get(key, "10000"))
+    if now <= 0 or now > BATCH_ROWS:
+        spark.conf.set(key, str(BATCH_ROWS))
+
+
 def fresh(spark: SparkSession, what: str) -> str:
     """A new path under the shared folder, removed when the driver ends."""
     path = f"{folder(spark).rstrip('/')}/{what}-{uuid.uuid4().hex}"
@@ -50,7 +61,17 @@ def keep(df: DataFrame, what: str) -> DataFrame:
     """Cut the lineage: write as Parquet to the shared folder and read it again."""
     spark = df.sparkSession
     path = fresh(spark, what)
-    df.write.parquet(path)
+    key, held = "spark.sql.classic.shuffleDependency.fileCleanup.enabled", None
+    try:  # what was shuffled for the table goes when the table is there
+        held = spark.conf.get(key)
+        spark.conf.set(key, "true")
+    except Exception:  # noqa: BLE001  a Spark without the setting keeps the files until they are collected
+        held = None
+    try:
+        df.write.parquet(path)
+    finally:
+        if held is not None:
+            spark.conf.set(key, held)
     return spark.read.schema(df.schema).parquet(path)
 
 

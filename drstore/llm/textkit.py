@@ -7,10 +7,14 @@ bytes alone (not on its place), computed from one running polynomial sum. Null t
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+import ctypes
+import functools
+import inspect
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 
 SLAB_BYTES = 1 << 20
 _MASK = (1 << 64) - 1
@@ -28,24 +32,45 @@ LEAD_BYTE[0x80:0xC0] = False
 LOWER = np.arange(256, dtype=np.uint8)
 LOWER[65:91] += 32
 
-_powers = np.ones(1, np.uint64), np.ones(1, np.uint64)
+_LOW_BITS = 12
 
 
-def _power_tables(n: int) -> tuple[np.ndarray, np.ndarray]:
-    global _powers
-    if len(_powers[0]) < n:
-        size = 1 << max(21, (n - 1).bit_length())
-        tables = []
-        for b in (_BASE, _BASE_INV):
-            t = np.ones(size, np.uint64)
-            done = 1
-            while done < size:
-                step = np.uint64(pow(b, done, 1 << 64))
-                t[done : 2 * done] = t[: min(done, size - done)] * step
-                done *= 2
-            tables.append(t)
-        _powers = tables[0], tables[1]
-    return _powers
+def _geometric(base: int, n: int) -> np.ndarray:
+    out = np.ones(n, np.uint64)
+    done = 1
+    while done < n:
+        out[done : 2 * done] = out[: min(done, n - done)] * np.uint64(pow(base, done, 1 << 64))
+        done *= 2
+    return out
+
+
+class _Powers:
+    """base^i for places i, as a product of two small tables."""
+
+    def __init__(self, base: int):
+        self.step = pow(base, 1 << _LOW_BITS, 1 << 64)
+        self.low = _geometric(base, 1 << _LOW_BITS)
+        self.high = _geometric(self.step, 1024)
+
+    def _reach(self, top: int) -> None:
+        if top >> _LOW_BITS >= len(self.high):
+            self.high = _geometric(self.step, 2 * (top >> _LOW_BITS) + 2)
+
+    def at(self, i: np.ndarray) -> np.ndarray:
+        if not len(i):
+            return np.empty(0, np.uint64)
+        self._reach(int(i.max()))
+        return self.high[i >> _LOW_BITS] * self.low[i & ((1 << _LOW_BITS) - 1)]
+
+    def span(self, first: int, n: int) -> np.ndarray:
+        """Powers of first, first + 1, ...; first is a multiple of the small table's length."""
+        self._reach(first + n)
+        rows = self.high[first >> _LOW_BITS : (first + n + len(self.low) - 1) >> _LOW_BITS]
+        return (rows[:, None] * self.low[None, :]).ravel()[:n]
+
+
+_FORWARD, _INVERSE = _Powers(_BASE), _Powers(_BASE_INV)
+_CHUNK = 1 << 17
 
 
 def mix(h: np.ndarray) -> np.ndarray:
@@ -61,6 +86,38 @@ def mix_one(x: int) -> int:
     return int(mix(np.array([x & _MASK], np.uint64))[0])
 
 
+def trim() -> None:
+    """Give freed memory back to the system: workers outlive their tasks, and the next task may be another operator's."""
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):  # another C library
+        pass
+
+
+def tidy(run: Callable) -> Callable:
+    """A function over batches, or of a table, that trims memory when it is done."""
+    if inspect.isgeneratorfunction(run):
+
+        @functools.wraps(run)
+        def batches(rows):
+            try:
+                yield from run(rows)
+            finally:
+                trim()
+
+        return batches
+
+    @functools.wraps(run)
+    def whole(table, *more):
+        try:
+            return run(table, *more)
+        finally:
+            trim()
+
+    return whole
+
+
 class Slab:
     """Bytes of documents ``0..n-1`` end to end; ``off`` has n+1 offsets."""
 
@@ -73,23 +130,29 @@ class Slab:
     @property
     def sums(self) -> np.ndarray:
         if self._sums is None:
-            power, _ = _power_tables(len(self.data) + 1)
-            s = np.empty(len(self.data) + 1, np.uint64)
+            n = len(self.data)
+            s = np.empty(n + 1, np.uint64)
             s[0] = 0
-            np.cumsum(_BYTE_CODE[self._hashed] * power[: len(self.data)], out=s[1:])
+            for i in range(0, n, _CHUNK):  # in pieces, so that no long temporary array is made
+                j = min(n, i + _CHUNK)
+                part = _BYTE_CODE[self._hashed[i:j]] * _FORWARD.span(i, j - i)
+                part[:1] += s[i : i + 1]
+                np.cumsum(part, out=s[i + 1 : j + 1])
             self._sums = s
         return self._sums
 
     def hash(self, start: np.ndarray, end: np.ndarray) -> np.ndarray:
         """64-bit hashes of the substrings [start, end)."""
-        _, inv = _power_tables(len(self.data) + 1)
-        return mix((self.sums[end] - self.sums[start]) * inv[start] + (end - start).astype(np.uint64))
+        return mix((self.sums[end] - self.sums[start]) * _INVERSE.at(start) + (end - start).astype(np.uint64))
 
     def gram_hashes(self, k: int) -> np.ndarray:
         """``hash`` of the k-byte substring at every place."""
         n = max(0, len(self.data) - k + 1)
-        _, inv = _power_tables(len(self.data) + 1)
-        return mix((self.sums[k : k + n] - self.sums[:n]) * inv[:n] + np.uint64(k))
+        out = np.empty(n, np.uint64)
+        for i in range(0, n, _CHUNK):
+            j = min(n, i + _CHUNK)
+            out[i:j] = mix((self.sums[k + i : k + j] - self.sums[i:j]) * _INVERSE.span(i, j - i) + np.uint64(k))
+        return out
 
     def runs(self, member: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Maximal runs of bytes whose entry of the 256-row table is true; no run crosses documents."""
@@ -149,6 +212,33 @@ def slabs(column: pa.Array | pa.ChunkedArray, lower: bool = False, limit: int =
         i = j
 
 
+def blocks(batches: Iterator[pa.RecordBatch], text: int, limit: int) -> Iterator[pa.RecordBatch]:
+    """The rows of batches, dealt anew: each batch has texts of about ``limit`` bytes, however the rows came."""
+    held: list[pa.RecordBatch] = []
+    size = 0
+    for b in batches:
+        at = 0
+        lengths = pc.fill_null(pc.binary_length(b.column(text)), 0).to_numpy().astype(np.int64)
+        total = np.cumsum(lengths)
+        while at < b.num_rows:
+            before = int(total[at - 1]) if at else 0
+            to = max(at + 1, int(np.searchsorted(total, before + limit - size, side="right")))
+            held.append(b.slice(at, to - at))
+            size += int(total[to - 1]) - before
+            at = to
+            if size >= limit or (at < b.num_rows and size + lengths[at] > limit):
+                yield _joined(held)
+                held, size = [], 0
+    if held:
+        yield _joined(held)
+
+
+def _joined(parts: list[pa.RecordBatch]) -> pa.RecordBatch:
+    if len(parts) == 1:
+        return parts[0]
+    return pa.Table.from_batches(parts).combine_chunks().to_batches(max_chunksize=None)[0]
+
+
 def rolling(h: np.ndarray, k: int) -> np.ndarray:
     """Hashes of the k-long windows of a sequence of 64-bit codes; len(h)-k+1 of them."""
     n = len(h) - k + 1
