@@ -60,11 +60,11 @@ def _props(spark, sf):
     return load(spark, sf, "events").select("event_id", F.from_json("props", "k int")["k"].alias("k")).where(F.col("k").between(10, 20))
 
 
-def _stream(spark, sf, name: str):
+def _stream(spark, sf, name: str, files: int = 3):
     """The table as a stream of Parquet files."""
     rows = load(spark, sf, name)
     path = scratch(spark, "stream")
-    rows.repartition(3).write.parquet(path)
+    rows.repartition(files).write.parquet(path)
     return rq.read_stream(spark, path, rows.schema)
 
 
@@ -95,6 +95,14 @@ def _stream_dedup(spark, sf):
     return _drain(spark, rq.deduplicated(e, ["event_id"], True).groupBy().agg(F.count("*").alias("requests")), "complete")
 
 
+@query("stream_stream_join", "SELECT event_id, ts, ts + INTERVAL 5 MINUTE AS rts FROM events WHERE event_id % 3 = 0")
+def _stream_stream(spark, sf):
+    """Responses five minutes after every third request, joined within ten minutes."""
+    a = _stream(spark, sf, "events", 1).select("event_id", F.col("ts").cast("timestamp").alias("ts"))
+    b = _stream(spark, sf, "events", 1).where("event_id % 3 = 0").select("event_id", (F.col("ts").cast("timestamp") + F.expr("INTERVAL 5 MINUTES")).alias("rts"))
+    return _drain(spark, rq.answered(a, b), "append")
+
+
 @query("stream_ratio_drift")
 def _drift(spark, sf):
     """The smoothed value of each event type as the stream's state ends."""
