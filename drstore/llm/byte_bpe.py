@@ -9,8 +9,8 @@ fall back to the next shorter token, or undo the previous one. An encoding all o
 are compatible is the one that the merges give, and there is exactly one. Dead positions are remembered, so
 each position is left for good at most once and the work is linear in the piece.
 
-Pairs are judged by walking down the two tokens' own merge trees and are memoised; whole pieces are memoised
-too, in a table of bounded size. Decoding concatenates token bytes.
+Pairs are judged by merging their bytes and are memoised; whole pieces are memoised
+too, in tables of bounded size. Decoding concatenates token bytes.
 
 Null text is empty text and gives no ids. Rows are independent: repeated rows give repeated results, an empty
 table an empty one; other columns are ignored unless ``carry`` names them.
@@ -27,8 +27,10 @@ import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame
 
-#: Bound on the memo tables of one worker (entries, and bytes of a piece that is kept).
-MEMO_ENTRIES, MEMO_PIECE = 400_000, 64
+from . import textkit as tk
+
+#: Bounds of the memo tables of one worker: pieces (and the characters of a piece that is kept), pairs.
+MEMO_ENTRIES, MEMO_PIECE, MEMO_PAIRS = 300_000, 64, 300_000
 
 
 def read_ranks(path: str) -> dict[bytes, int]:
@@ -44,29 +46,20 @@ class ByteBPE:
         self.token = {r: t for t, r in ranks.items()}
         self.automaton = ahocorasick.Automaton()
         for t, r in ranks.items():
-            self.automaton.add_word(t.decode("latin-1"), r)
+            self.automaton.add_word(t.decode("latin-1"), (r, len(t)))
         self.automaton.make_automaton()
-        self._fits: dict[tuple[int, int], bool] = {}
-        self._halves: dict[int, tuple[int, int] | None] = {}
+        self._fits: dict[int, bool] = {}
         self._shorter: dict[int, int] = {}
         self._memo: dict[str, tuple[int, ...]] = {}
 
-    # -- merge trees
-    def halves(self, r: int) -> tuple[int, int] | None:
-        """The two tokens whose merge makes token r, None for a token that no merge makes."""
-        if r not in self._halves:
-            parts = self._merge(self.token[r], r)
-            self._halves[r] = (parts[0], parts[1]) if len(parts) == 2 else None
-        return self._halves[r]
-
-    def _merge(self, piece: bytes, below: int | None = None) -> list[int]:
-        """The defining procedure: again and again merge the leftmost pair of least rank (under ``below``)."""
+    def _merge(self, piece: bytes) -> list[int]:
+        """The defining procedure: again and again merge the leftmost pair of least rank."""
         parts = [piece[i : i + 1] for i in range(len(piece))]
         while len(parts) > 1:
             best, at = None, -1
             for i in range(len(parts) - 1):
                 r = self.ranks.get(parts[i] + parts[i + 1])
-                if r is not None and (best is None or r < best) and (below is None or r < below):
+                if r is not None and (best is None or r < best):
                     best, at = r, i
             if best is None:
                 break
@@ -75,10 +68,10 @@ class ByteBPE:
 
     def fits(self, a: int, b: int) -> bool:
         """Whether tokens a, b side by side survive the merges as they are."""
-        key = (a, b)
+        key = a << 24 | b
         known = self._fits.get(key)
         if known is None:
-            if len(self._fits) >= MEMO_ENTRIES:
+            if len(self._fits) >= MEMO_PAIRS:
                 self._fits.clear()
             known = self._fits[key] = self._merge(self.token[a] + self.token[b]) == [a, b]
         return known
@@ -101,18 +94,16 @@ class ByteBPE:
             return (r,)
         n = len(data)
         longest = [-1] * n
-        for end, r in self.automaton.iter(data.decode("latin-1")):
-            start = end + 1 - len(self.token[r])
-            if longest[start] < 0 or len(self.token[longest[start]]) < end + 1 - start:
-                longest[start] = r
+        for end, (r, k) in self.automaton.iter(data.decode("latin-1")):
+            longest[end + 1 - k] = r  # ends only grow, so the longest is the last
         dead = bytearray(n + 1)
         path: list[int] = []
-        at, r = 0, longest[0]
+        at, r, token, fits = 0, longest[0], self.token, self.fits
         while at < n:
             placed = False
             while r >= 0:
-                to = at + len(self.token[r])
-                if not dead[to] and (not path or self.fits(path[-1], r)):
+                to = at + len(token[r])
+                if not dead[to] and (not path or fits(path[-1], r)):
                     path.append(r)
                     at, placed = to, True
                     r = longest[at] if at < n else -1
@@ -123,7 +114,7 @@ class ByteBPE:
                     raise ValueError("the vocabulary lacks a byte of the text")
                 dead[at] = 1
                 last = path.pop()
-                at -= len(self.token[last])
+                at -= len(token[last])
                 r = self.shorter(last)
         return tuple(path)
 
@@ -141,6 +132,10 @@ class ByteBPE:
             extend(got)
         return out
 
+    def forget(self) -> None:
+        """Empty the memo of pieces."""
+        self._memo.clear()
+
     def decode(self, ids: Iterable[int]) -> bytes:
         return b"".join(map(self.token.__getitem__, ids))
 
@@ -156,6 +151,7 @@ def model(path: str, pattern: str) -> ByteBPE:
 
 
 def _encoder(path: str, pattern: str, ids: bool, check: bool, carry: int):
+    @tk.tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         m = model(path, pattern)
         for b in batches:
@@ -174,6 +170,7 @@ def _encoder(path: str, pattern: str, ids: bool, check: bool, carry: int):
             if check:
                 extra["decoded_sha256"] = pa.array(decoded_sha, pa.string())
             yield pa.RecordBatch.from_arrays([*b.columns[:carry], pa.array(n_tokens, pa.int64()), *extra.values()], names=[*b.schema.names[:carry], "n_tokens", *extra])
+        m.forget()  # workers live on; their next task may be another operator's
 
     return run
 
@@ -196,6 +193,7 @@ def decode(encoded: DataFrame, path: str, pattern: str) -> DataFrame:
     names = encoded.columns
     at = names.index("ids_le32")
 
+    @tk.tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         m = model(path, pattern)
         for b in batches:
