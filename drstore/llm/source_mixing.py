@@ -49,6 +49,7 @@ def posteriors(docs: DataFrame, scorer: hl.Scorer | None, domains: int) -> DataF
     """doc_id, tie (hash of the text), tokens, p0 ... of each document."""
     sent = docs.sparkSession.sparkContext.broadcast(scorer)  # N_FEATURES x domains numbers, whatever the corpus
 
+    @tk.tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             for i, j, s, low in hl.both_slabs(b.column(1)):
@@ -92,6 +93,7 @@ def solve(table: DataFrame, targets: Sequence[float], max_steps: int = 80, toler
     step = 1 / max(np.linalg.eigvalsh(m * root[:, None] * root[None, :]).max(), 1e-12)
 
     def sums(steps: list[tuple[np.ndarray, float]]) -> tuple[np.ndarray, np.ndarray]:
+        @tk.tidy
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             a, c = np.zeros(d), np.zeros(d)
             for b in batches:
@@ -110,17 +112,19 @@ def solve(table: DataFrame, targets: Sequence[float], max_steps: int = 80, toler
 
     steps: list[tuple[np.ndarray, float]] = []
     at_r = at_y = total
-    least = np.inf
-    for k in range(max_steps):
+    least, idle, k = np.inf, 0, 0
+    while len(steps) < max_steps:
         gap = (at_y - goal) / np.maximum(goal, 1e-9)
-        worst = float(np.abs((at_r - goal) / np.maximum(goal, 1e-9)).max())
-        if worst < tolerance:
+        off = (at_r - goal) / np.maximum(goal, 1e-9)
+        cost = float((off * off * goal).sum() / goal.sum())
+        if np.abs(off).max() < tolerance:
             break
-        rising = worst > least
-        if worst > least - 1e-9 and k > 20 and steps[-1][1] == 0.0:
+        idle = 0 if cost < 0.995 * least else idle + 1
+        if idle >= 6:  # the targets are out of reach; this is as near as rates can come
             break
-        least = worst
-        steps.append((step * gap, 0.0 if rising else k / (k + 3)))
+        k = 0 if cost > least else k + 1  # momentum starts anew when the cost rises
+        least = min(least, cost)
+        steps.append((step * gap, k / (k + 3)))
         at_r, at_y = sums(steps)
     return steps, goal, at_r
 
@@ -135,6 +139,7 @@ def rates(table: DataFrame, steps: list[tuple[np.ndarray, float]], domains: int,
     """Adds rate and copies."""
     names = table.columns
 
+    @tk.tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             p = np.column_stack([b.column(names.index(f"p{k}")).to_numpy() for k in range(domains)])
@@ -164,6 +169,7 @@ def resample(docs: DataFrame, labels: DataFrame, targets: Sequence[float] = TARG
     names = docs.columns
     at, ident, domains = names.index("text"), names.index("doc_id"), len(targets)
 
+    @tk.tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             for i, j, s, low in hl.both_slabs(b.column(at).cast(pa.string())):
