@@ -22,6 +22,7 @@ TARGETS = (0.985, 0.005, 0.008, 0.002)
 
 
 def _quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    shared.small_batches(spark)
     return quality_rules.filter_documents(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
 
 

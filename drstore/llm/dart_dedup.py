@@ -131,6 +131,7 @@ def slab_bands(s: tk.Slab) -> list[np.ndarray]:
     return out
 
 
+@tk.tidy
 def _sign(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for b in batches:
         for i, j, s in tk.slabs(b.column(2)):
@@ -140,6 +141,7 @@ def _sign(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             yield pa.RecordBatch.from_arrays([b.column(0).slice(i, j - i), b.column(1).slice(i, j - i), pa.ListArray.from_arrays(pa.array(cuts), pa.array(flat))], names=["doc_id", "node", "bands"])
 
 
+@tk.tidy
 def _sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """node, set: sorted 64-bit shingles (copies of one follow it as hashes of their own, after the distinct ones), n_distinct."""
     for b in batches:
@@ -181,6 +183,7 @@ def similarity(a: bytes, na: int, b: bytes, nb: int) -> float:
 
 
 def _check(threshold: float):
+    @tk.tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             c = [b.column(k).to_pylist() for k in range(6)]
@@ -209,6 +212,7 @@ def verified(sets: DataFrame, pairs: DataFrame, threshold: float) -> DataFrame:
     return full.mapInArrow(_check(threshold), "a long, b long")
 
 
+@tk.tidy
 def _elements(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """(counted, element, node, size): the distinct shingles of each set and, apart, its shingles with their copies."""
     for b in batches:

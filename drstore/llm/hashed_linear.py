@@ -88,6 +88,7 @@ def sample_features(rows: DataFrame, target_columns: list[str]) -> tuple[np.ndar
     """Driver-side (cuts, numbers, targets) of a bounded sample: rows has text and numeric target columns."""
     names = target_columns
 
+    @tk.tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             for i, j, s, low in both_slabs(b.column(0)):

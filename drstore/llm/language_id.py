@@ -214,6 +214,7 @@ def decide(model: Model, sums: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.n
 
 
 def _count(langs: list[str]):
+    @tk.tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             lang = np.array([langs.index(x) for x in b.column(0).to_pylist()], np.int64)
@@ -250,6 +251,7 @@ def train(docs: DataFrame, fold: int = 5, max_rows: int = 1500) -> Model | None:
         return None
     m = fit(counted, langs)
 
+    @tk.tidy
     def held(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         cache = _Cache(m)
         for b in batches:
@@ -289,6 +291,7 @@ def predict(docs: DataFrame, model: Model | None, reject_below: float = 0.5, tex
 
     shipped, ident = src.sparkSession.sparkContext.broadcast(model), uuid.uuid4().hex
 
+    @tk.tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         if ident not in _caches:
             _caches.clear()

@@ -98,6 +98,7 @@ def slab_counts(s: tk.Slab) -> dict[str, np.ndarray]:
     return out
 
 
+@tk.tidy
 def _count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for b in batches:
         for i, j, s in tk.slabs(b.column(1)):
@@ -212,6 +213,7 @@ def filter_documents(docs: DataFrame, labels: DataFrame, max_labelled: int = 20_
     rules = learn(statistics(docs.join(F.broadcast(some), docs["doc_id"].cast("long") == some["doc_id"], "left_semi")), labels, max_labelled)
     names, at = docs.columns, docs.columns.index("text")
 
+    @tk.tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             for i, j, s in tk.slabs(b.column(at).cast(pa.string())):

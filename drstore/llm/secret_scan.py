@@ -154,6 +154,7 @@ _LETTERS = np.zeros(256, bool)
 _LETTERS[[*range(65, 91), *range(97, 123)]] = True
 
 
+@tk.tidy
 def _scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for b in batches:
         for i, j, s in tk.slabs(b.column(1)):
@@ -239,6 +240,7 @@ def redact(docs: DataFrame, fdr: float = 0.05) -> DataFrame:
     names = docs.columns
     at, size_at = names.index("text"), names.index("n_chars") if "n_chars" in names else None
 
+    @tk.tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             found = []

@@ -129,6 +129,7 @@ def word_list(docs: DataFrame, labels: DataFrame, max_labelled: int = 20_000, ra
     if len(size) < 2:
         return np.empty(0, np.uint64)
 
+    @tk.tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             toxic = b.column(0).to_numpy().astype(np.int64)
@@ -174,6 +175,7 @@ N_HEURISTIC = len(LABELLERS)
 
 
 def _patterns(words: np.ndarray):
+    @tk.tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             for i, j, s in tk.slabs(b.column(1)):
@@ -209,6 +211,7 @@ def fit(docs: DataFrame, labels: DataFrame, max_labelled: int = 20_000, max_samp
     sample = src.where(F.pmod(F.xxhash64("doc_id", F.lit(9)), F.lit(1 << 30)) < int(rate * (1 << 30)))
     model = Classifier(words, quality, toxic, None, None)
 
+    @tk.tidy
     def targets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             for i, j, s in tk.slabs(b.column(1)):
@@ -226,6 +229,7 @@ def classify(docs: DataFrame, model: Classifier) -> DataFrame:
     """doc_id, p_bad, p_toxic, scorer_bad, scorer_toxic, kept."""
     sent = docs.sparkSession.sparkContext.broadcast(model)  # its size does not depend on the corpus
 
+    @tk.tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         m = sent.value
         for b in batches:
