@@ -21,13 +21,11 @@ def as_collection(df: DataFrame, id_col: str, body_col: str, keep: tuple[str, ..
 def with_offsets(coll: DataFrame, order_by: list[Column] | None = None) -> DataFrame:
     """Adds ord and start_off. Order: ``order_by``, then doc_id.
 
-    Prefix sums in two levels: keys and sizes are dealt by ranges of the order, each range is summed in its own task, and only the ranges' totals - one
-    row a partition - are summed on the driver. Bodies do not move for it; they are joined to their places by doc_id.
+    Prefix sums in two levels: keys and sizes alone are dealt by ranges of the order, each range is summed in its own task, and only the ranges' totals - one
+    row a partition - are summed on the driver. Bodies are not sorted; they meet their places in one join on doc_id (none moves if both are bucketed by it).
     """
-    order = [*(order_by or []), F.col("doc_id").asc()]
-    keys = coll.select(*(c.alias(f"__k{i}") if i < len(order) - 1 else F.col("doc_id") for i, c in enumerate([*map(_bare, order_by or []), F.col("doc_id")])), "n_bytes")
-    names = [f"__k{i}" for i in range(len(order) - 1)]
-    by = [F.col(n).asc() for n in names] + [F.col("doc_id").asc()]
+    keys = coll.select(*(c.alias(f"__k{i}") for i, c in enumerate(order_by or [])), "doc_id", "n_bytes")
+    by = [F.col(n).asc() for n in keys.columns[:-1]]
     # the same ranges must serve both passes, so they are fixed first
     ranged = cut(keys.repartitionByRange(*by).withColumn("__part", F.spark_partition_id()))
     totals = ranged.groupBy("__part").agg(F.count("*").alias("n"), F.sum("n_bytes").alias("b")).orderBy("__part").collect()
@@ -47,10 +45,6 @@ def with_offsets(coll: DataFrame, order_by: list[Column] | None = None) -> DataF
     return coll.join(placed, "doc_id")
 
 
-def _bare(c: Column) -> Column:
-    return c
-
-
 def total_bytes(coll: DataFrame) -> int:
     return int(coll.agg(F.sum("n_bytes")).first()[0] or 0)
 

@@ -112,3 +112,20 @@ def test_appends_extend_and_restart(spark, tmp_path):
     assert [x["batch"] for x in a.log] == [0, 1, 2] and a.dictionary.version >= 1
     back = {r["doc_id"]: bytes(r["body"]).decode() for r in factorize.decode_encoded(a.store(), a.dictionary).collect()}
     assert len(back) == 12 and back[0] == "plain words only " * 5 and back[21] == "other content 123 " * 5
+
+
+def test_bucketed_stores_join_without_an_exchange(spark, sf):
+    p = inputs.pages(spark, sf)
+    d = dic.Dictionary(b"<html><body><p></p></body></html>")
+    store.write_bucketed(factorize.encode(p, d, "UV"), "drstore_bucketed", 4)
+    store.write_bucketed(p.select("doc_id", F.col("n_bytes").alias("size")), "drstore_sizes", 4)
+    held = spark.conf.get("spark.sql.autoBroadcastJoinThreshold")
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        j = spark.table("drstore_bucketed").join(spark.table("drstore_sizes"), "doc_id")
+        assert "Exchange" not in j._jdf.queryExecution().executedPlan().toString()
+        assert j.where("size <> n_bytes").count() == 0 and j.count() == p.count()
+    finally:
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", held)
+        spark.sql("DROP TABLE drstore_bucketed")
+        spark.sql("DROP TABLE drstore_sizes")
