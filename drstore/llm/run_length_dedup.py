@@ -8,8 +8,8 @@ in equal places. Only anchors that occur in two documents or more can matter.
    which find those that two documents share.
 2. Each block cuts the *snippet* around every shared anchor: all ``REACH``-byte strings that contain it. Equal snippets of a block are combined and sent by
    anchor, with the least and greatest doc_id.
-3. A shard keeps anchors together. A snippet's owner is its least doc_id; in any other document all of it goes. Where an anchor has several snippets, they
-   are put, by owner, into a run-length index and matching statistics of each against the smaller owners mark further strings.
+3. A shard keeps anchors together. A snippet's owner is its least doc_id; in any other document all of it goes. Snippets of an anchor that agree far enough
+   beyond it on a side are put, by owner, into a run-length index and matching statistics of each against the smaller owners mark further strings.
 4. The verdicts return to the blocks, which rebuild their documents.
 
 An anchor in ``HOT_BLOCKS`` blocks or more may have a snippet for every document. Its strings are sent one by one instead, by their own hash, so equal ones are
@@ -92,16 +92,13 @@ def _store(folder: str, shards: int, block_bytes: int):
                 at += len(piece)
                 position, code = anchors(s)
                 owner = ids[i:j][s.doc_of(position)] if len(position) else np.empty(0, np.int64)
-                order = np.lexsort((owner, code))
+                order = np.argsort(code)
                 code, owner = code[order], owner[order]
-                first = np.ones(len(code), bool)
-                first[1:] = code[1:] != code[:-1]
-                group = np.cumsum(first) - 1
-                twice = np.zeros(int(first.sum()), bool)
-                twice[group[1:][(code[1:] == code[:-1]) & (owner[1:] != owner[:-1])]] = True
+                first = np.flatnonzero(np.concatenate([[True], code[1:] != code[:-1]])) if len(code) else np.empty(0, np.int64)
+                twice = np.minimum.reduceat(owner, first) != np.maximum.reduceat(owner, first) if len(first) else np.empty(0, bool)
                 code = code[first]
                 shard = _shard(code, shards)
-                order = np.argsort(shard, kind="stable")
+                order = _by_shard(np.arange(len(code)), shard)
                 code, twice, shard = code[order], twice[order], shard[order]
                 cuts = np.searchsorted(shard, np.arange(shards + 1))
                 code = _inside(code, shards)
@@ -128,6 +125,11 @@ def _unpack(blob: bytes) -> tuple[np.ndarray, np.ndarray]:
     return v >> np.uint32(1), (v & np.uint32(1)).astype(bool)
 
 
+def _by_shard(order: np.ndarray, shard: np.ndarray) -> np.ndarray:
+    """An order, regrouped by shard."""
+    return order[np.argsort(shard[order].astype(np.uint16) if shard.max(initial=0) < 1 << 16 else shard[order], kind="stable")]
+
+
 def _inside(code: np.ndarray, shards: int) -> np.ndarray:
     """31 bits that tell codes of one shard apart (all but one in some thousands; a mistake costs work, not results)."""
     return (code // np.uint64(shards)) & np.uint64((1 << 31) - 1)
@@ -215,13 +217,14 @@ def _snippets(folder: str, shards: int):
             begin, end = np.concatenate([begin[~is_hot], single]), np.concatenate([end[~is_hot], single + REACH])
             key, sid, place = np.concatenate([key[~is_hot], one]), np.concatenate([sid[~is_hot], one]), np.concatenate([place[~is_hot], np.full(len(one), 255)])
         owner = ids[s.doc_of(begin)] if len(begin) else np.empty(0, np.int64)
-        order = np.lexsort((owner, sid))
-        key, sid, place, begin, end, owner = key[order], sid[order], place[order], begin[order], end[order], owner[order]
-        first = np.ones(len(sid), bool)
-        first[1:] = sid[1:] != sid[:-1]
-        last = np.append(first[1:], True)
-        shard, place, begin, end, least, most = _shard(key[first], shards), place[first], begin[first], end[first], owner[first], owner[last]
-        order = np.lexsort((begin, shard))  # neighbours share bytes
+        order = np.argsort(sid)
+        sid = sid[order]
+        first = np.flatnonzero(np.concatenate([[True], sid[1:] != sid[:-1]])) if len(sid) else np.empty(0, np.int64)
+        owner = owner[order]
+        least, most = (np.minimum.reduceat(owner, first), np.maximum.reduceat(owner, first)) if len(first) else (owner, owner)
+        one = order[first]
+        shard, place, begin, end = _shard(key[one], shards), place[one], begin[one], end[one]
+        order = _by_shard(np.argsort(begin), shard)  # neighbours share bytes
         shard, place, begin, end, least, most = (x[order] for x in (shard, place, begin, end, least, most))
         flat = s.data
         cuts = np.searchsorted(shard, np.arange(shards + 1))
@@ -237,6 +240,17 @@ def _snippets(folder: str, shards: int):
 
 
 ELSEWHERE = np.uint32(1 << 31)
+HALF = (REACH - GRAM + 1) // 2
+
+
+def _twice(h: np.ndarray) -> np.ndarray:
+    """Places whose value occurs more than once."""
+    order = np.argsort(h)
+    same = h[order][1:] == h[order][:-1]
+    out = np.zeros(len(h), bool)
+    out[order[1:][same]] = True
+    out[order[:-1][same]] = True
+    return np.flatnonzero(out)
 
 
 @tk.tidy
@@ -260,21 +274,23 @@ def _verdicts(table: pa.Table) -> pa.Table:
     single = place == 255
     position = begin + np.where(single, 0, place)
     sid = _snippet_ids(s, position, begin, end)
-    key = s.hash(position, position + GRAM) >> np.uint64(24)
     if single.any():
         sid[single] = _flat_ids(s.hash(begin[single], end[single]))
-        key[single] = sid[single]
-    # one entry for each identity, by owner
-    order = np.lexsort((least, sid))
-    first = np.ones(len(order), bool)
-    first[1:] = sid[order][1:] != sid[order][:-1]
+    # one entry for each identity
+    order = np.argsort(sid)
+    ranked = sid[order]
+    first = np.concatenate([[True], ranked[1:] != ranked[:-1]])
     head = order[first]
     entry = np.empty(len(order), np.int64)
     entry[order] = np.cumsum(first) - 1
-    owner = least[head]
+    owner = np.minimum.reduceat(least[order], np.flatnonzero(first))
     mask = np.zeros(len(head), np.uint32)
-    _, family, size = np.unique(key[head], return_inverse=True, return_counts=True)
-    contested = np.flatnonzero(size[family] > 1)
+    # strings that two snippets of an anchor share reach HALF bytes or more beyond it on one side
+    h = np.flatnonzero(~single[head])
+    at, near = position[head[h]], np.zeros(len(head), bool)
+    for fits, first_byte, last_byte in ((place[head[h]] >= HALF, at - HALF, at + GRAM), (length[head[h]] - place[head[h]] - GRAM >= HALF, at, at + GRAM + HALF)):
+        near[h[fits][_twice(s.hash(first_byte[fits], last_byte[fits]))]] = True
+    contested = np.flatnonzero(near)
     if len(contested):
         by = contested[np.argsort(owner[contested], kind="stable")]
         rows = head[by]

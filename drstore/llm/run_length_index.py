@@ -17,6 +17,8 @@ PACK = 7  # symbols of 9 bits in the first key
 class RunLengthIndex:
     def __init__(self, symbols: np.ndarray, length: np.ndarray, owner: np.ndarray, reach: int):
         """symbols: (strings, width) of 1..256, 0 beyond the string's length. Strings are in ascending order of owner."""
+        if reach < PACK:
+            raise ValueError(f"strings shorter than {PACK} are not indexed")
         m, width = symbols.shape
         self.m, self.width, self.length, self.reach = m, width, length, reach
         real = np.arange(width + 1)[None, :] <= length[:, None]  # one empty suffix for each string
@@ -37,6 +39,7 @@ class RunLengthIndex:
             depth *= 2
             if depth <= reach:
                 self._levels.append((depth, rank))
+        order = flat[np.argsort(rank[flat].astype(np.uint64) << np.uint64(32) | np.arange(len(flat), dtype=np.uint64))]
         self.suffix = order  # flattened (string, column) by rank
         string, column = order // (width + 1), order % (width + 1)
         before = np.where(column > 0, symbols[string, np.maximum(column - 1, 0)], 0)
@@ -68,9 +71,9 @@ class RunLengthIndex:
 
     @staticmethod
     def _ranks(key: np.ndarray, flat: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Ranks (from 1; 0 elsewhere) of the entries ``flat`` of key, and those entries in order (ties by place)."""
+        """Ranks (from 1; 0 elsewhere) of the entries ``flat`` of key, and those entries in order ."""
         k = key[flat]
-        o = np.argsort(k, kind="stable")
+        o = np.argsort(k)
         new = np.ones(len(o), np.int64)
         new[1:] = k[o][1:] != k[o][:-1]
         rank = np.zeros(len(key), np.int64)
