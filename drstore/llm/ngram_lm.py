@@ -32,7 +32,7 @@ from pyspark.sql import functions as F
 from . import shared
 from . import textkit as tk
 from .elias_fano import EliasFano
-from .run_length_dedup import hash_text
+from .run_length_dedup import _by_shard, hash_text
 
 ORDER = 3
 DISCOUNT = (0.5, 0.7, 0.8)
@@ -149,8 +149,7 @@ class Grams:
             shard = c % np.uint64(shards)
             split = np.isin(c, hot)
             shard[split] = tk.mix(c[split] ^ self.token[split]) % np.uint64(shards)
-        by = np.argsort(key, kind="stable")
-        by = by[np.argsort(shard[by], kind="stable")]
+        by = _by_shard(np.argsort(key), shard)
         k, sh = key[by], shard[by]
         new = np.ones(len(by), bool)
         new[1:] = (k[1:] != k[:-1]) | (sh[1:] != sh[:-1])
