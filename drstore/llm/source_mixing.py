@@ -8,6 +8,11 @@ projected gradient from ``r = 1``: in the metric where a document weighs its tok
 since a step depends only on the document and on one short vector of gaps, tasks replay the earlier steps instead of
 keeping state, so a lost task costs nothing but itself.
 
+The end is the optimum, not a lack of progress: totals within ``tolerance`` of the targets, or rates that a projected step of length one moves by
+at most ``STILL`` in every document (the optimality condition, also where no rates reach the targets). Where such steps get slow, backward steps
+follow: the gap is that of the totals after the step, found by Newton's method on one number a domain, so that a step can be
+of any length. They are replayed like the others. If the bounds on steps are hit, a warning says so and gives the totals.
+
 ``copies`` rounds a rate to whole copies so that its expectation is the rate (by a hash of doc_id and the text).
 
 The classifier sees at most ``max_labelled`` labelled rows; everything else covers all rows. Null text is empty, has no tokens and keeps rate
@@ -17,6 +22,7 @@ total/total = 1. Null doc_id and repeated rows are rows like others. An empty ta
 
 from __future__ import annotations
 
+import warnings
 from collections.abc import Iterator, Sequence
 
 import numpy as np
@@ -31,6 +37,10 @@ from . import textkit as tk
 #: (quality, toxic) of each domain, and the share of tokens that it shall have
 DOMAINS = ((1, 0), (0, 0), (1, 1), (0, 1))
 TARGETS = (0.90, 0.07, 0.02, 0.01)
+#: the most that a projected step may still move a rate at the optimum
+STILL = 1e-4
+BACKWARD_STEPS, NEWTON_STEPS = 24, 40
+_HALVINGS = 0.5 ** np.arange(12)
 
 
 def classifier(docs: DataFrame, labels: DataFrame, max_labelled: int = 8000) -> hl.Scorer | None:
@@ -110,22 +120,87 @@ def solve(table: DataFrame, targets: Sequence[float], max_steps: int = 80, toler
             a[x["k"]], c[x["k"]] = x["r"], x["y"]
         return a, c
 
+    def backward(steps: list[tuple[np.ndarray, float]], rise: np.ndarray, tries: list[np.ndarray]) -> list[tuple[np.ndarray, np.ndarray, float, float]]:
+        """For each vector v: totals at clip(r - p v), their slope (d x d), the sum of the clip's integral, and how far a projected step along p rise moves a rate at r."""
+
+        @tk.tidy
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            got, moved = np.zeros((len(tries), d + d * d + 1)), 0.0
+            for b in batches:
+                t = b.column(0).to_numpy().astype(float)
+                p = np.column_stack([b.column(k + 1).to_numpy() for k in range(d)])
+                p, t = p[t > 0], t[t > 0]
+                r = replay(p, steps, most)[0]
+                if len(r):
+                    moved = max(moved, float(np.abs(r - np.clip(r - p @ rise, 0.0, most)).max()))
+                for i, v in enumerate(tries):
+                    z = r - p @ v
+                    new = np.clip(z, 0.0, most)
+                    free = p[(z > 0) & (z < most)]
+                    got[i, :d] += (t * new) @ p
+                    got[i, d:-1] += ((t[(z > 0) & (z < most)])[:, None] * free).T.dot(free).ravel()
+                    got[i, -1] += float((t * new * (z - new / 2)).sum())
+            flat = got.ravel()
+            yield pa.RecordBatch.from_arrays([pa.array(np.arange(len(flat) + 1)), pa.array(np.append(flat, 0.0)), pa.array(np.append(np.zeros(len(flat)), moved))], names=["k", "x", "moved"])
+
+        rows = table.select("tokens", *names).mapInArrow(run, "k long, x double, moved double").groupBy("k").agg(F.sum("x").alias("x"), F.max("moved").alias("moved")).collect()
+        flat = np.zeros(len(tries) * (d + d * d + 1))
+        for x in rows:
+            if x["k"] < len(flat):
+                flat[x["k"]] = x["x"]
+        moved = max((x["moved"] for x in rows), default=0.0)
+        return [(x[:d], x[d:-1].reshape(d, d), float(x[-1]), moved) for x in flat.reshape(len(tries), -1)]
+
+    floor = np.maximum(goal, 1e-9)
     steps: list[tuple[np.ndarray, float]] = []
     at_r = at_y = total
     least, idle, k = np.inf, 0, 0
     while len(steps) < max_steps:
-        gap = (at_y - goal) / np.maximum(goal, 1e-9)
-        off = (at_r - goal) / np.maximum(goal, 1e-9)
+        gap = (at_y - goal) / floor
+        off = (at_r - goal) / floor
         cost = float((off * off * goal).sum() / goal.sum())
         if np.abs(off).max() < tolerance:
-            break
+            return steps, goal, at_r
         idle = 0 if cost < 0.995 * least else idle + 1
-        if idle >= 6:  # the targets are out of reach; this is as near as rates can come
+        if idle >= 6:  # slow, or near the optimum
             break
         k = 0 if cost > least else k + 1  # momentum starts anew when the cost rises
         least = min(least, cost)
         steps.append((step * gap, k / (k + 3)))
         at_r, at_y = sums(steps)
+
+    if steps:  # from here on without momentum
+        steps[-1] = (steps[-1][0], 0.0)
+    length, moved = 16 * step, np.inf
+    for _ in range(BACKWARD_STEPS):
+        off = (at_r - goal) / floor
+        if np.abs(off).max() < tolerance:
+            return steps, goal, at_r
+        u = off  # the gap after the step; Newton's method on floor u + goal - totals(clip(r - length p u)) = 0, the slope of a convex function
+        (at, slope, area, moved), *_ = backward(steps, off, [length * u])
+        if moved <= STILL:
+            return steps, goal, at_r
+        value = float((floor * u * u / 2 + goal * u).sum() + area / length)
+        for _ in range(NEWTON_STEPS):
+            short = floor * u + goal - at
+            if np.abs(short / floor).max() < tolerance / 10:
+                break
+            way = np.linalg.solve(np.diag(floor) + length * slope, short)
+            tries = [u - h * way for h in _HALVINGS]
+            found = backward(steps, off, [length * x for x in tries])
+            values = [float((floor * x * x / 2 + goal * x).sum() + f[2] / length) for x, f in zip(tries, found, strict=True)]
+            best = int(np.argmin(values))
+            if values[best] > value:
+                break  # no digit left to gain
+            value, u, (at, slope, *_) = values[best], tries[best], found[best]
+        steps.append((length * u, 0.0))
+        at_r = at
+        length *= 8
+    off = (at_r - goal) / floor
+    if np.abs(off).max() >= tolerance:
+        moved = backward(steps, off, [off])[0][3]
+        if moved > STILL:
+            warnings.warn(f"rates are not at their optimum: a projected step still moves one by {moved:.2g}; totals {at_r.tolist()}, targets {goal.tolist()}", RuntimeWarning, stacklevel=2)
     return steps, goal, at_r
 
 

@@ -296,6 +296,23 @@ def test_rates_reach_the_targets(spark):
     assert source_mixing.solve(table.limit(0), (0.5, 0.5, 0, 0))[0] == []
 
 
+@pytest.mark.parametrize("share, targets, most, reached", [((0.85, 0.1, 0.04, 0.01), source_mixing.TARGETS, np.inf, True), ((0.3, 0.6, 0.08, 0.02), (0.985, 0.005, 0.008, 0.002), 2.0, False)])
+def test_rates_end_at_the_optimum(spark, share, targets, most, reached):
+    r = np.random.default_rng(0)
+    x = r.normal(size=(1500, 4))
+    x[np.arange(1500), r.choice(4, 1500, p=share)] += 3
+    p = np.exp(x + np.log(share))
+    p /= p.sum(1, keepdims=True)
+    t = r.integers(20, 800, 1500)
+    table = spark.createDataFrame([(int(a), *map(float, b)) for a, b in zip(t, p, strict=True)], "tokens long, p0 double, p1 double, p2 double, p3 double")
+    steps, goal, got = source_mixing.solve(table, targets, most=most)
+    rate = source_mixing.replay(p, steps, most)[0]
+    gap = (got - goal) / goal
+    assert np.allclose((t * rate) @ p, got)
+    assert np.abs(rate - np.clip(rate - p @ gap, 0, most)).max() <= 2e-4
+    assert (np.abs(gap).max() < 1e-3) == reached
+
+
 # -- 6: quality rules
 
 
