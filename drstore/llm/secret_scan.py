@@ -1,15 +1,17 @@
 """Secret scans: fixed patterns, and a battery of randomness tests under false-discovery control.
 
 Fixed patterns give the base spans. The method then looks at every maximal run of ``[A-Za-z0-9+/_=-]`` of ``MIN_RUN`` or
-more characters that no base span touches. Its encoding is inferred (hex, base32, base64 or decimal), and three tests ask
+more characters, or what base spans leave of it: the part outside, or the whole run where a hex span alone leaves a part shorter
+than that (only the part outside becomes a span). Its encoding is inferred (hex, base32, base64 or decimal), and three tests ask
 whether it looks like uniform draws from that alphabet: chi-squared over the symbols, the number of runs above and
 below the middle of the alphabet, and the lag-one serial correlation. Their tail probabilities are joined into one score; a
 high score means that uniform randomness is not refuted.
 
-What score is rare for ordinary text depends on length, so the control is by bands of length: decoys - runs of
-letters of neighbouring words of the same length band, which are not secrets - are scored too, and the threshold of a band
-is the least score at which the decoys' share among all that pass, with one added, stays under ``fdr``. The
-histograms (bands x score bins) come from all documents and have a fixed size.
+What score is rare for ordinary text depends on length, so the control is by bands of length. Decoys - runs of letters of neighbouring words, which
+are not secrets, up to ``DECOYS`` for each run - are scored too, and ``REFERENCE`` runs of ordinary words a band join them, so that a
+small table has a tail to compare with. The empirical p-value of a score is the decoys' share at or above it, with one added, in its band and the
+two beside it; the Benjamini-Hochberg rule over all runs, at ``fdr``, says which p-values pass. So one clear secret passes by
+itself. The histograms (bands x score bins) come from all documents and have a fixed size.
 
 Null text is empty text and has no spans. Rows are independent of each other but for the thresholds; repeated rows give
 repeated results; an empty table gives an empty one. Spans are in code points, end exclusive.
@@ -17,6 +19,7 @@ repeated results; an empty table gives an empty one. Spans are in code points, e
 
 from __future__ import annotations
 
+import functools
 import hashlib
 import math
 import re
@@ -36,6 +39,8 @@ ACCESS = re.compile(r"AKIA[A-Z0-9]+")
 MIN_ASSIGN, MIN_ACCESS, MIN_HEX, MIN_RUN = 12, 18, 16, 20
 _WORDS = (b"password", b"passwd", b"secret", b"token", b"apikey", b"api_key")
 BINS = 40
+BANDS = 8
+DECOYS, REFERENCE = 32, 1000
 
 _HEX = np.zeros(256, bool)
 _HEX[list(b"0123456789abcdef")] = True
@@ -108,7 +113,39 @@ def score(token: bytes) -> float:
 
 
 def band(n: int) -> int:
-    return min(7, int(math.log2(n / MIN_RUN) * 2))
+    return min(BANDS - 1, int(math.log2(n / MIN_RUN) * 2))
+
+
+def score_bin(x: float) -> int:
+    return min(BINS - 1, int(x * BINS))
+
+
+#: ordinary words of some languages, for decoys that do not depend on the table
+_ORDINARY = """the of and to in that is was for with as on this from they which one would there their about other into more when people
+house water morning between country because different number against government children important question nothing together
+der die und nicht mit eine auch nach werden haben zwischen Zeit Stadt Wasser Regierung le les des une dans pour avec sur plus comme
+tout entre temps ville maison el los las una por con para como pero todo desde tiempo ciudad casa gobierno il che non sono della anche
+Monday London Europe January Internet University President System Research Company""".split()
+
+
+@functools.cache
+def reference() -> np.ndarray:
+    """Histogram (bands x score bins) of runs of ordinary words, half of them with separators and numbers; always the same."""
+    out = np.zeros((BANDS, BINS), np.int64)
+    r = np.random.default_rng(8)
+    for n in range(BANDS):
+        low, high = math.ceil(MIN_RUN * 2 ** (n / 2)), math.ceil(MIN_RUN * 2 ** ((n + 1) / 2))
+        for size in r.integers(low, high, REFERENCE).tolist():
+            words = [w.capitalize() if up else w for w, up in zip(r.choice(_ORDINARY, size // 3 + 1).tolist(), (r.random(size // 3 + 1) < 0.1).tolist(), strict=True)]
+            if r.random() < 0.5:  # names of files and pages: separators and numbers
+                words = [str(r.integers(1, 2100)) if r.random() < 0.2 else w for w in words]
+                letters = str(r.choice(["-", "_", "/"])).join(words)
+            else:
+                letters = "".join(words)
+            while len(letters) < size:
+                letters += letters
+            out[n, score_bin(score(letters[:size].encode()))] += 1
+    return out
 
 
 def base_spans(text: str) -> list[tuple[int, int, int]]:
@@ -154,6 +191,21 @@ _LETTERS = np.zeros(256, bool)
 _LETTERS[[*range(65, 91), *range(97, 123)]] = True
 
 
+def _outside(p: int, q: int, spans: list[tuple[int, int, int]]) -> tuple[list[tuple[int, int]], bool]:
+    """(the parts of p..q outside the spans, whether the whole of p..q is to be scored); no parts if too little is left."""
+    touching = [x for x in spans if x[0] < q and p < x[1]]
+    pieces, at = [], p
+    for u, v, _ in touching:
+        if u > at:
+            pieces.append((at, u))
+        at = max(at, v)
+    if at < q:
+        pieces.append((at, q))
+    if sum(v - u for u, v in pieces) >= MIN_RUN:
+        return pieces, False
+    return (pieces, True) if all(k == 2 for *_, k in touching) else ([], False)
+
+
 @tk.tidy
 def _scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for b in batches:
@@ -166,17 +218,26 @@ def _scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             a, e = a[keep], e[keep]
             docs = s.doc_of(a)
             points = tk.code_points(s) if len(a) else None
+            words = _LETTERS[s.data]  # letters of words, without those of runs
+            for x, y in zip(a.tolist(), e.tolist(), strict=True):
+                words[x:y] = False
             for x, y, d in zip(a.tolist(), e.tolist(), docs.tolist(), strict=True):
                 begin = int(points[s.off[d]])
                 p, q = int(points[x]) - begin, int(points[y]) - begin
-                if any(u < q and p < v for u, v, _ in spans[d]):
+                pieces, whole = _outside(p, q, spans[d])
+                if not pieces:
                     continue
-                token = s.data[x:y].tobytes()
-                found[d].append({"start": p, "end": q, "band": band(y - x), "score": score(token)})
-                letters = s.data[max(x - 8 * (y - x), int(s.off[d])) : x]
-                letters = letters[_LETTERS[letters]][-(y - x) :].tobytes()
-                if len(letters) >= MIN_RUN:
-                    decoys[d].append(band(len(letters)) * BINS + min(BINS - 1, int(score(letters) * BINS)))
+                token = s.data[x:y].tobytes()  # one byte a code point
+                if not whole:
+                    token = b"".join(token[u - p : v - p] for u, v in pieces)
+                n, w = len(token), score(token)
+                found[d] += [{"start": u, "end": v, "band": band(n), "score": w} for u, v in pieces]
+                u, v = max(x - 40 * n, int(s.off[d])), min(y + 40 * n, int(s.off[d + 1]))
+                letters = s.data[u:v][words[u:v]]
+                size = min(n, len(letters))
+                if size >= MIN_RUN:
+                    for at in range(0, min(len(letters) - size + 1, DECOYS * size), size):
+                        decoys[d].append(band(size) * BINS + score_bin(score(letters[at : at + size].tobytes())))
             yield pa.RecordBatch.from_arrays(
                 [
                     b.column(0).slice(i, j - i),
@@ -196,17 +257,22 @@ def thresholds(scanned: DataFrame, fdr: float) -> dict[int, float]:
     """For each band of lengths the least score that passes; bands without one are absent."""
     target = scanned.select(F.explode("runs").alias("r")).select((F.col("r.band") * BINS + F.least(F.lit(BINS - 1), F.floor(F.col("r.score") * BINS))).cast("int").alias("k"), F.lit(0).alias("decoy"))
     decoy = scanned.select(F.explode("decoys").alias("k"), F.lit(1).alias("decoy"))
-    hist = np.zeros((2, 8 * BINS), np.int64)
-    for r in target.unionByName(decoy).groupBy("decoy", "k").count().collect():  # 2 x 8 x BINS rows at most
+    hist = np.zeros((2, BANDS * BINS), np.int64)
+    for r in target.unionByName(decoy).groupBy("decoy", "k").count().collect():  # 2 x bands x BINS rows at most
         hist[r["decoy"], r["k"]] = r["count"]
-    out = {}
-    for n in range(8):
-        t, d = (hist[i, n * BINS : (n + 1) * BINS][::-1].cumsum()[::-1] for i in (0, 1))
-        scale = t[0] / d[0] if d[0] else 1.0
-        ok = [k for k in range(1, BINS) if t[k] and (1 + d[k] * scale) / t[k] <= fdr]
-        if ok:
-            out[n] = ok[0] / BINS
-    return out
+    runs, decoys = hist.reshape(2, BANDS, BINS)
+    if not runs.any():
+        return {}
+    decoys = decoys + reference()
+    p = np.empty((BANDS, BINS))
+    for n in range(BANDS):
+        pool = decoys[max(0, n - 1) : n + 2].sum(0)
+        p[n] = (1 + pool[::-1].cumsum()[::-1]) / (1 + pool.sum())
+    p[:, 0] = 1.0  # plainly not random
+    order = np.sort(np.unique(p))
+    below = np.array([runs[p <= x].sum() for x in order])
+    ok = order[(below > 0) & (order * runs.sum() <= fdr * below)]
+    return {n: int(np.flatnonzero(p[n] <= ok[-1])[0]) / BINS for n in range(BANDS) if len(ok) and (p[n] <= ok[-1]).any()}
 
 
 def scan(docs: DataFrame, text: str = "text", fdr: float = 0.05) -> DataFrame:

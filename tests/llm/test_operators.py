@@ -425,6 +425,20 @@ def test_secrets(spark):
     assert out[0] == "[REDACTED] end".replace("[REDACTED]", "[REDACTED]\"") and out[2] == texts[2]
 
 
+def test_one_clear_secret_is_enough(spark):
+    key = "kB8vzzQ1xT+0fJmWnR5yPdA7sLhUcE2gQx4Z"
+    assert secret_scan.score(key.encode()) > 0.4
+    words = "plain words of an ordinary text without any key in them "
+    around = "qzBzegoS+DRYkaICADJxMpwP" + "0123456789abcdef" + "SbQ+L5z2HZofqrqD9j5RX4LE"
+    texts = [words + key + " and more", words + "antidisestablishmentarianism", words + "some/long-path/of_words/without-digits", *[words] * 5]
+    got = {r["doc_id"]: r["extra"] for r in secret_scan.scan(frame(spark, texts)).collect()}
+    assert [(x["start"], x["end"]) for x in got[0]] == [(len(words), len(words) + len(key))]
+    assert not any(got[k] for k in got if k)
+    out = {r["doc_id"]: r["text"] for r in secret_scan.redact(frame(spark, texts)).collect()}
+    assert out[0] == words + "[REDACTED] and more" and out[1] == texts[1]
+    assert secret_scan.redact(frame(spark, [words + around + " x"])).first()["text"].endswith("them [REDACTED][REDACTED][REDACTED] x")
+
+
 # -- 9: weak labels
 
 
