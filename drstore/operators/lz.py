@@ -11,7 +11,7 @@ def window_lz(x: bytes, window: int = 1 << 15, longest: int = 258) -> list[tuple
     out, i, n = [], 0, len(x)
     while i < n:
         best, where = 0, 0
-        for p in reversed(chains.get(x[i : i + 3], [])[-64:]):
+        for p in reversed(chains.get(x[i : i + 3], [])):
             if i - p > window:
                 break
             k = 3
@@ -19,6 +19,8 @@ def window_lz(x: bytes, window: int = 1 << 15, longest: int = 258) -> list[tuple
                 k += 1
             if k > best:
                 best, where = k, i - p
+                if best == longest:
+                    break
         after = i + best
         out.append((where, best, x[after] if after < n else -1))
         for j in range(i, min(after + 1, n)):
@@ -43,20 +45,23 @@ def end_aligned(x: bytes) -> list[tuple[int, int, int]]:
     Needs all of the text at once; for small texts.
     """
     out: list[tuple[int, int, int]] = []
-    ends: list[int] = []
+    by_last: dict[int, list[tuple[int, int]]] = {}  # (phrase, where it ends) by the last byte
     i, n = 0, len(x)
     while i < n:
-        best, phrase = 0, 0
-        for number, e in enumerate(ends):
-            # the longest k with x[e-k:e] == x[i:i+k]
-            for k in range(min(e, n - i - 1), best, -1):
-                if x[e - k : e] == x[i : i + k]:
-                    best, phrase = k, number
-                    break
+        best, phrase, most = 0, 0, 0
+        while i + most < n - 1 and x.find(x[i : i + most + 1], 0, i) >= 0:  # no copy is longer than one that ends anywhere
+            most += 1
+        for k in range(most, 0, -1):
+            s = x[i : i + k]
+            number = next((j for j, e in by_last.get(s[-1], ()) if e >= k and x[e - k : e] == s), None)
+            if number is not None:
+                best, phrase = k, number
+                break
         c = x[i + best] if i + best < n else -1
         out.append((phrase, best, c))
         i += best + 1
-        ends.append(min(i, n))
+        e = min(i, n)
+        by_last.setdefault(x[e - 1], []).append((len(out) - 1, e))
     return out
 
 

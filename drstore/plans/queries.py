@@ -232,6 +232,13 @@ def _small_factors(spark, sf):
     return d, factorize.factorize(inputs.ascii_documents(spark, sf, 400), d)
 
 
+def _all_factors(spark, sf, **spec):
+    """Of all documents, whole and in bytes, as the queries without ``small`` have them."""
+    p = inputs.placed(spark, sf, "documents")
+    d = dic.build(p, dic.DictSpec(**spec)) if spec else inputs.dictionary(p)
+    return d, factorize.factorize(p, d)
+
+
 @query("factor_lengths_small", _SMALL + " SELECT doc_id, CAST(seq AS INT) AS seq, CAST(i - 1 AS BIGINT) AS doc_off, CAST(len AS INT) AS len FROM f")
 def _factor_lengths(spark, sf):
     return factorize.factors_long(_small_factors(spark, sf)[1]).select("doc_id", "seq", "doc_off", "len")
@@ -284,7 +291,7 @@ def _unused_bitmap(spark, sf):
 @query("mergeable_factors", "SELECT CAST(NULL AS BIGINT) AS doc_id, CAST(NULL AS INT) AS seq WHERE false")
 def _mergeable(spark, sf):
     """Greedy factors that lie next to each other in the dictionary would be one factor: there are none."""
-    return factorize.mergeable(_small_factors(spark, sf)[1])
+    return factorize.mergeable(_all_factors(spark, sf)[1])
 
 
 @query("decode_builtin_small", "SELECT doc_id, md5(text) AS digest FROM documents WHERE length(text) = octet_length(encode(text)) AND length(text) <= 400")
@@ -293,6 +300,55 @@ def _decode_sql(spark, sf):
     return digest(factorize.decode_sql(f, d))
 
 
+# the same over all documents; SQL would be too slow for the factors themselves
+
+
+@query("factor_lengths")
+def _all_lengths(spark, sf):
+    return factorize.factors_long(_all_factors(spark, sf)[1]).select("doc_id", "seq", "doc_off", "len")
+
+
+@query("factor_positions")
+def _all_positions(spark, sf):
+    return factorize.factors_long(_all_factors(spark, sf)[1]).select("doc_id", "seq", "pos")
+
+
+@query("enc_ratio_uv")
+def _uv(spark, sf):
+    p = inputs.placed(spark, sf, "documents")
+    enc = factorize.encode(p, inputs.dictionary(p), "UV")
+    return enc.agg(F.sum("n_factors").alias("n_factors"), F.sum(F.octet_length("pos_stream") + F.octet_length("len_stream")).alias("enc_bytes"), F.sum("n_bytes").alias("raw_bytes"))
+
+
+@query("avg_factor_len")
+def _avg(spark, sf):
+    return measures.length_stats(_all_factors(spark, sf)[1], 512).select("avg_factor_len", "avg_match_len", "literal_share")
+
+
+@query("length_histogram")
+def _histogram(spark, sf):
+    return measures.histogram(_all_factors(spark, sf)[1])
+
+
+@query("unused_pct")
+def _unused(spark, sf):
+    d, f = _all_factors(spark, sf)
+    return measures.unused_pct(f, len(d.data))
+
+
+@query("unused_pct_bitmap")
+def _unused_all_bitmap(spark, sf):
+    d, f = _all_factors(spark, sf)
+    return measures.unused_pct_bitmap(f, len(d.data))
+
+
+@query("decode_builtin", DOC_DIGEST)
+def _decode_builtin(spark, sf):
+    """The dictionary is a literal of at most 64 KB; the documents are all."""
+    d, f = _all_factors(spark, sf, m_bytes=1 << 15, s=512)
+    return digest(factorize.decode_sql(f, d))
+
+
 @query("factors_leftmost_roundtrip", DOC_DIGEST)
 def _leftmost(spark, sf):
     p = inputs.placed(spark, sf, "documents")
@@ -328,7 +384,15 @@ query("roundtrip_ZZ_pages_url_order", PAGE_DIGEST)(_roundtrip("ZZ", "pages", "ur
 
 @query("roundtrip_codec_grid", f"SELECT codec, doc_id, md5(text) AS digest FROM documents, (VALUES {', '.join(f'({c!r})' for c in GRID)}) AS t(codec) WHERE length(text) = octet_length(encode(text)) AND length(text) <= 400")
 def _grid(spark, sf):
-    d, f = _small_factors(spark, sf)
+    return _codecs(*_small_factors(spark, sf))
+
+
+@query("roundtrip_codec_grid_documents", f"SELECT codec, doc_id, md5(text) AS digest FROM documents, (VALUES {', '.join(f'({c!r})' for c in GRID)}) AS t(codec)")
+def _all_grid(spark, sf):
+    return _codecs(*_all_factors(spark, sf))
+
+
+def _codecs(d, f):
     out = None
     for c in GRID:
         part = factorize.decode_encoded(factorize.recode(f, c), d).select(F.lit(c).alias("codec"), "doc_id", F.md5("body").alias("digest"))
@@ -365,37 +429,40 @@ def _primed(spark, sf):
 _TINY = "SELECT doc_id, md5(text) AS digest FROM documents WHERE length(text) = octet_length(encode(text)) AND length(text) <= {}"
 
 
-def _each(spark, sf, most: int, f: Callable[[bytes], bytes]) -> DataFrame:
+def _each(spark, sf, most: int | None, f: Callable[[bytes], bytes]) -> DataFrame:
+    """Documents of single-byte characters and at most so many bytes, or all."""
+
     def run(batches):
         for b in batches:
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array([f(x) for x in b.column(1).to_pylist()], pa.binary())], names=["doc_id", "body"])
 
-    return digest(inputs.ascii_documents(spark, sf, most).select("doc_id", "body").mapInArrow(run, "doc_id long, body binary"))
+    rows = inputs.documents(spark, sf) if most is None else inputs.ascii_documents(spark, sf, most)
+    return digest(rows.select("doc_id", "body").mapInArrow(run, "doc_id long, body binary"))
 
 
 @query("window_lz_roundtrip", _TINY.format(2000))
-def _window_lz(spark, sf):
+def _window_lz(spark, sf, most: int | None = 2000):
     from ..operators.lz import undo_window_lz, window_lz
 
-    return _each(spark, sf, 2000, lambda x: undo_window_lz(window_lz(x)))
+    return _each(spark, sf, most, lambda x: undo_window_lz(window_lz(x)))
 
 
 @query("pair_grammar_roundtrip", _TINY.format(400))
-def _grammar(spark, sf):
+def _grammar(spark, sf, most: int | None = 400):
     from ..operators.lz import pair_grammar, undo_pair_grammar
 
-    return _each(spark, sf, 400, lambda x: undo_pair_grammar(*pair_grammar(x, 40)))
+    return _each(spark, sf, most, lambda x: undo_pair_grammar(*pair_grammar(x, 40)))
 
 
 @query("end_aligned_lz_roundtrip", _TINY.format(300))
-def _end_aligned(spark, sf):
+def _end_aligned(spark, sf, most: int | None = 300):
     from ..operators.lz import end_aligned, open_end_aligned
 
-    return _each(spark, sf, 300, lambda x: open_end_aligned(end_aligned(x), 0, len(x)))
+    return _each(spark, sf, most, lambda x: open_end_aligned(end_aligned(x), 0, len(x)))
 
 
 @query("dynamic_dense_roundtrip", _TINY.format(2000))
-def _dynamic(spark, sf):
+def _dynamic(spark, sf, most: int | None = 2000):
     import re
 
     def both(x: bytes) -> bytes:
@@ -404,7 +471,11 @@ def _dynamic(spark, sf):
         light = semistatic.undo_dynamic_dense(semistatic.dynamic_dense(words, True), True)
         return "".join(plain).encode() if plain == light else b"differs"
 
-    return _each(spark, sf, 2000, both)
+    return _each(spark, sf, most, both)
+
+
+for _name, _run in (("window_lz", _window_lz), ("pair_grammar", _grammar), ("end_aligned_lz", _end_aligned), ("dynamic_dense", _dynamic)):
+    query(f"{_name}_roundtrip_documents", DOC_DIGEST)(lambda spark, sf, run=_run: run(spark, sf, None))
 
 
 @query("decode_range", "SELECT doc_id, md5(substr(text, length(text) // 3 + 1, 64)) AS digest FROM documents WHERE length(text) = octet_length(encode(text))")
@@ -511,7 +582,7 @@ def _requests_log(spark, sf):
 def _requests_cosine(spark, sf):
     tf = retrieval.tokens(load(spark, sf, "pages"), "page_id", retrieval.strip_html(F.col("html")))
     q = retrieval.tokens(load(spark, sf, "benchmark"), "item_id", F.col("text")).select(F.col("doc_id").alias("query_no"), "term")
-    return retrieval.request_list(retrieval.top_k(retrieval.rank(q, tf, "cosine")), 1000)
+    return retrieval.request_list(retrieval.top_k(retrieval.rank(q, tf, "cosine")), 100_000)
 
 
 @query("retrieve_query_log", f"WITH r AS ({_LOG}) SELECT req_no, doc_id, md5(text) AS digest FROM r JOIN documents USING (doc_id)")
@@ -528,22 +599,27 @@ def _absent(spark, sf):
 
 
 @query("retrieve_from_blocks", "SELECT doc_id AS req_no, doc_id, md5(text) AS digest FROM documents WHERE doc_id % 17 = 3")
-def _from_blocks(spark, sf):
+def _from_blocks(spark, sf, which: str = "doc_id % 17 = 3"):
     p = inputs.placed(spark, sf, "documents")
-    asked = p.where("doc_id % 17 = 3").select(F.col("doc_id").alias("req_no"), "doc_id")
+    asked = p.where(which).select(F.col("doc_id").alias("req_no"), "doc_id")
     return baselines.read_blocked(baselines.blocked_store(p, "zlib", 100_000), "zlib", asked).select("req_no", "doc_id", F.md5("body").alias("digest"))
 
 
 @query("retrieve_by_offset", "SELECT doc_id AS req_no, doc_id, md5(text) AS digest FROM documents WHERE doc_id % 17 = 5")
-def _by_offset(spark, sf):
+def _by_offset(spark, sf, which: str = "doc_id % 17 = 5"):
     p = inputs.placed(spark, sf, "documents")
     d = inputs.dictionary(p)
     path = scratch(spark, "segments")
     docmap = store.write_segments(factorize.encode(p, d, "UV"), path)
-    asked = p.where("doc_id % 17 = 5").select(F.col("doc_id").alias("req_no"), "doc_id")
+    asked = p.where(which).select(F.col("doc_id").alias("req_no"), "doc_id")
     return store.retrieve_by_offset(path, docmap, asked, d).select("req_no", "doc_id", F.md5("body").alias("digest"))
 
 
+_ALL_ASKED = "SELECT doc_id AS req_no, doc_id, md5(text) AS digest FROM documents"
+query("retrieve_all_from_blocks", _ALL_ASKED)(lambda spark, sf: _from_blocks(spark, sf, "true"))
+query("retrieve_all_by_offset", _ALL_ASKED)(lambda spark, sf: _by_offset(spark, sf, "true"))
+
+
 @query("raw_docmap", f"SELECT doc_id, CAST(doc_id % 8 AS INT) AS segment, CAST(sum(octet_length(encode(text))) OVER (PARTITION BY doc_id % 8 ORDER BY doc_id) - octet_length(encode(text)) AS BIGINT) AS byte_off, CAST(octet_length(encode(text)) AS BIGINT) AS byte_len FROM documents")
 def _docmap(spark, sf):
     return store.build_docmap(inputs.documents(spark, sf).select("doc_id", (F.col("doc_id") % 8).cast("int").alias("segment"), F.col("n_bytes").alias("byte_len")))
@@ -563,12 +639,15 @@ def _store_audit(spark, sf):
 
 
 @query("data_source_scan", "SELECT doc_id, octet_length(encode(text)) AS n_bytes, md5(text) AS digest FROM documents WHERE doc_id BETWEEN 100 AND 180 AND doc_id <> 150")
-def _data_source(spark, sf):
+def _data_source(spark, sf, which: str = "doc_id >= 100 and doc_id <= 180 and doc_id <> 150"):
     _, d, path = _written(spark, sf)
     d.save(path + "-dictionary")
     datasource.register(spark)
     rows = spark.read.format("drstore").option("path", path).option("dictionary", path + "-dictionary").load()
-    return rows.where("doc_id >= 100 and doc_id <= 180 and doc_id <> 150").select("doc_id", "n_bytes", F.md5("body").alias("digest"))
+    return rows.where(which).select("doc_id", "n_bytes", F.md5("body").alias("digest"))
+
+
+query("data_source_scan_all", "SELECT doc_id, octet_length(encode(text)) AS n_bytes, md5(text) AS digest FROM documents")(lambda spark, sf: _data_source(spark, sf, "true"))
 
 
 @query("sql_functions", "SELECT doc_id, CAST(octet_length(encode(text)) AS INT) AS n_bytes, md5(text) AS digest FROM documents WHERE lang = 'en'")

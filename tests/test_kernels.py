@@ -160,3 +160,21 @@ def test_dictionary_versions_keep_places(tmp_path):
     e.save(str(tmp_path / "d"))
     back = Dictionary.load(str(tmp_path / "d"))
     assert back.data == e.data and back.sizes == e.sizes and back.sa.tolist() == e.sa.tolist()
+
+
+def test_window_lz_tries_the_whole_window():
+    x = b"abcdefgh" + b"".join(b"abc" + bytes([65 + i % 26, 48 + i % 10]) for i in range(100)) + b"\xffabcdefgh"
+    parts = lz.window_lz(x)
+    assert lz.undo_window_lz(parts) == x and any(k >= 8 and d == len(x) - 8 for d, k, _ in parts)
+
+
+@given(st.text("ab", max_size=60))
+def test_end_aligned_phrases_are_the_longest(text):
+    x = text.encode()
+    i, ends = 0, []
+    for phrase, k, c in lz.end_aligned(x):
+        fits = [(j, m) for m in range(len(x) - i - 1, 0, -1) for j, e in enumerate(ends) if e >= m and x[e - m : e] == x[i : i + m]]
+        assert (phrase, k) == (fits[0] if fits else (0, 0))
+        i += k + (c >= 0)
+        ends.append(i)
+    assert i == len(x)

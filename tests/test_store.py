@@ -129,3 +129,27 @@ def test_bucketed_stores_join_without_an_exchange(spark, sf):
         spark.conf.set("spark.sql.autoBroadcastJoinThreshold", held)
         spark.sql("DROP TABLE drstore_bucketed")
         spark.sql("DROP TABLE drstore_sizes")
+
+
+@pytest.mark.parametrize("name", ["retrieve_all_by_offset", "retrieve_all_from_blocks", "data_source_scan_all", "window_lz_roundtrip_documents", "pair_grammar_roundtrip_documents", "end_aligned_lz_roundtrip_documents", "dynamic_dense_roundtrip_documents", "decode_builtin", "stream_stream_join_all", "roundtrip_codec_grid_documents"])
+def test_whole_tables_against_sql(spark, sf, name):
+    _same(spark, sf, name)
+
+
+def test_factors_of_all_documents(spark, sf):
+    p = inputs.placed(spark, sf, "documents")
+    d, bodies = inputs.dictionary(p).data, {r["doc_id"]: bytes(r["body"]) for r in p.collect()}
+    at = dict.fromkeys(bodies, 0)
+    for r in __spark_entry__.queries()["factor_lengths"](spark, sf).orderBy("doc_id", "seq").collect():
+        x, i, k = bodies[r["doc_id"]], r["doc_off"], r["len"]
+        assert i == at[r["doc_id"]] and (k == 0 or x[i : i + k] in d)
+        assert i + k == len(x) or x[i : i + k + 1] not in d
+        at[r["doc_id"]] += max(k, 1)
+    assert at == {k: len(x) for k, x in bodies.items()}
+
+
+def test_windows_reach_over_all_documents(spark, sf):
+    ends = [(r["doc_id"], r["start_off"], r["start_off"] + r["n_bytes"]) for r in inputs.placed(spark, sf, "documents").collect()]
+    windows = range(-(-max(e for *_, e in ends) // 25000))
+    want = {(k, i) for k in windows for i, a, e in ends if a < k * 25000 + 700 and e > k * 25000 and e > a}
+    assert {tuple(r) for r in __spark_entry__.queries()["join_ranges_by_stripe_all"](spark, sf).collect()} == want
