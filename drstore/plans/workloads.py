@@ -18,7 +18,8 @@ from ..sources.tables import load
 from . import inputs
 from .queries import _query_log, query, scratch
 
-GRID_PCT = (1.0, 4.0)
+#: the eleven prefixes, in % of the collection
+PREFIXES = (100.0, 90.0, 80.0, 70.0, 60.0, 50.0, 40.0, 30.0, 20.0, 10.0, 1.0)
 
 
 def _table(parts: list[DataFrame]) -> DataFrame:
@@ -40,24 +41,32 @@ def factor_grid(spark: SparkSession, sf: str, name: str, sizes=inputs.WIDE, samp
             f = factorize.factorize(p, d)
             row = measures.length_stats(f, s).crossJoin(measures.unused_pct(f, len(d.data)))
             parts.append(row.select(F.lit(name).alias("collection"), F.lit(pct).alias("pct"), F.lit(s).alias("s"), "m", "n_factors", "avg_factor_len", "avg_match_len", "literal_share", "under_100", "up_to_sample", "one_byte", "unused_pct"))
+    if not parts:  # a collection too small for any of the sizes
+        return spark.createDataFrame([], "collection string, pct double, s int, m long, n_factors long, avg_factor_len double, avg_match_len double, literal_share double, under_100 double, up_to_sample double, one_byte double, unused_pct double")
     return _table(parts)
 
 
-query("w02_factor_grid_pages")(lambda spark, sf: factor_grid(spark, sf, "pages", GRID_PCT, (512, 1024)))
-query("w03_factor_grid_documents")(lambda spark, sf: factor_grid(spark, sf, "documents", GRID_PCT, (512, 1024)))
+query("w02_factor_grid_pages")(lambda spark, sf: factor_grid(spark, sf, "pages"))
+query("w03_factor_grid_documents")(lambda spark, sf: factor_grid(spark, sf, "documents"))
+query("w02_factor_grid_pages_published_classes")(lambda spark, sf: factor_grid(spark, sf, "pages", inputs.CLASSES["pages"].values()))
+query("w03_factor_grid_documents_published_classes")(lambda spark, sf: factor_grid(spark, sf, "documents", inputs.CLASSES["documents"].values()))
 
 
 @query("w04_length_histogram")
 def _w04(spark, sf):
     parts = []
-    p = inputs.placed(spark, sf, "pages")
-    for s in (512, 1024):
-        d = dic.build(p, dic.DictSpec(pct=4.0, s=s))
-        parts.append(measures.histogram(factorize.factorize(p, d)).select(F.lit(s).alias("s"), "bin", "cnt"))
+    for name in ("pages", "documents"):
+        p = inputs.placed(spark, sf, name)
+        n = col.total_bytes(p)
+        for s in inputs.SAMPLES:
+            if int(n * 4.0 / 100) < 2 * s:
+                continue
+            d = dic.build(p, dic.DictSpec(pct=4.0, s=s))
+            parts.append(measures.histogram(factorize.factorize(p, d)).select(F.lit(name).alias("collection"), F.lit(s).alias("s"), "bin", "cnt"))
     return _table(parts)
 
 
-def codec_grid(spark: SparkSession, sf: str, name: str, order: str = "natural", sizes=GRID_PCT, codecs=PAIR_CODECS) -> DataFrame:
+def codec_grid(spark: SparkSession, sf: str, name: str, order: str = "natural", sizes=inputs.WIDE, codecs=PAIR_CODECS) -> DataFrame:
     """Encoded size for dictionary sizes x pair codecs; factors are found once for each dictionary."""
     p, parts = inputs.placed(spark, sf, name, order), []
     for pct in sizes:
@@ -75,11 +84,11 @@ query("w09_codecs_documents")(lambda spark, sf: codec_grid(spark, sf, "documents
 
 
 @query("w05_codecs_pages_published_classes")
-def _classes(spark, sf):
+def _classes(spark, sf, name: str = "pages", order: str = "natural"):
     """The published ratio classes; samples are shortened to what the dictionary has room for."""
-    p = inputs.placed(spark, sf, "pages")
+    p = inputs.placed(spark, sf, name, order)
     n, parts = col.total_bytes(p), []
-    for label, pct in inputs.CLASSES["pages"].items():
+    for label, pct in inputs.CLASSES[name].items():
         m = int(n * pct / 100)
         d = dic.build(p, dic.DictSpec(m_bytes=m, s=max(64, min(512, m // 4))))
         f = factorize.factorize(p, d).cache()
@@ -89,6 +98,10 @@ def _classes(spark, sf):
     return _table(parts)
 
 
+query("w06_codecs_pages_url_order_published_classes")(lambda spark, sf: _classes(spark, sf, "pages", "url"))
+query("w09_codecs_documents_published_classes")(lambda spark, sf: _classes(spark, sf, "documents"))
+
+
 def block_grid(spark: SparkSession, sf: str, name: str, order: str = "natural", codecs=("zlib", "lzma"), sizes=baselines.BLOCK_SIZES) -> DataFrame:
     """Size of blocked stores, and the mean bytes that one request decodes."""
     p = inputs.placed(spark, sf, name, order)
@@ -107,7 +120,7 @@ query("w18_large_window")(lambda spark, sf: block_grid(spark, sf, "documents", c
 
 
 @query("w11_prefix_dictionaries")
-def _w11(spark, sf, prefixes=(100.0, 50.0, 10.0, 1.0)):
+def _w11(spark, sf, prefixes=PREFIXES):
     """Dictionaries of one size sampled from prefixes; loss against the whole."""
     p, parts = inputs.placed(spark, sf, "documents"), []
     for q in prefixes:
@@ -118,6 +131,16 @@ def _w11(spark, sf, prefixes=(100.0, 50.0, 10.0, 1.0)):
     return t.crossJoin(F.broadcast(whole)).select("prefix_pct", "enc_pct", (F.col("enc_pct") - F.col("whole")).alias("loss"))
 
 
+@query("w13_query_log_with_user_turns")
+def _w13(spark, sf, cap: int = 100_000):
+    """Requests of benchmark texts and of user turns. A benchmark text keeps its number; a turn has (conv_id + 1) 2**32 + turn."""
+    tf = retrieval.tokens(load(spark, sf, "documents"), "doc_id", F.col("text"))
+    turns = load(spark, sf, "conversations").where("role = 'user'").select(((F.col("conv_id").cast("long") + 1) * (1 << 32) + F.col("turn")).alias("query_no"), "text")
+    asked = load(spark, sf, "benchmark").select(F.col("item_id").cast("long").alias("query_no"), "text").unionByName(turns)
+    q = retrieval.tokens(asked, "query_no", F.col("text")).select(F.col("doc_id").alias("query_no"), "term")
+    return retrieval.request_list(retrieval.top_k(retrieval.rank(q, tf)), cap)
+
+
 @query("w14_appends")
 def _w14(spark, sf):
     """The last 30 % of documents arrive in three batches; ratio, action and version of each."""

@@ -153,3 +153,15 @@ def test_windows_reach_over_all_documents(spark, sf):
     windows = range(-(-max(e for *_, e in ends) // 25000))
     want = {(k, i) for k in windows for i, a, e in ends if a < k * 25000 + 700 and e > k * 25000 and e > a}
     assert {tuple(r) for r in __spark_entry__.queries()["join_ranges_by_stripe_all"](spark, sf).collect()} == want
+
+
+def test_experiments_have_their_whole_grids(spark, sf):
+    q = __spark_entry__.queries()
+    prefixes = {r["prefix_pct"] for r in q["w11_prefix_dictionaries"](spark, sf).select("prefix_pct").collect()}
+    assert prefixes == {100.0, 90.0, 80.0, 70.0, 60.0, 50.0, 40.0, 30.0, 20.0, 10.0, 1.0}
+    n = col.total_bytes(inputs.placed(spark, sf, "documents"))
+    room = {(pct, s) for pct in inputs.WIDE for s in inputs.SAMPLES if int(n * pct / 100) >= 2 * s}
+    got = q["w03_factor_grid_documents"](spark, sf).select("pct", "s").collect()
+    assert {tuple(r) for r in got} == room and {s for _, s in room} == set(inputs.SAMPLES)
+    log = q["w13_query_log_with_user_turns"](spark, sf)
+    assert log.where(f"query_no >= {1 << 32}").count() > 0 and log.where(f"query_no < {1 << 32}").count() > 0
