@@ -14,7 +14,7 @@ from pyspark.sql.functions import arrow_udf
 from ..operators import codecs
 from ..operators.baselines import zlib_size_agg
 from ..operators.dictionary import Dictionary, Shipped
-from ..operators.factorize import decode_document, factor_document
+from ..operators.factorize import decode_document, factor_batch, factor_document, factor_lists
 
 
 def _lists(a: pa.Array) -> list[np.ndarray]:
@@ -57,7 +57,6 @@ def general() -> tuple[dict, dict]:
         return pa.array([None if x is None else lzma.decompress(x) for x in a.to_pylist()], pa.binary())
 
 
-
     @F.udtf(returnType="seq int, value long")
     class VbyteValues:
         """The numbers of a V stream, one a row."""
@@ -73,16 +72,10 @@ def general() -> tuple[dict, dict]:
 def for_dictionary(spark: SparkSession, dictionary: Dictionary) -> dict:
     """Functions bound to a dictionary: drf_factorize(body), drf_decode(factors), and table functions drf_factors(body), refine_trace(x)."""
     ship = Shipped(spark, dictionary)
-    kind = pa.list_(pa.struct([("pos", pa.int64()), ("len", pa.int32())]))
 
     @arrow_udf("array<struct<pos:bigint,len:int>>")
     def drf_factorize(a: pa.Array) -> pa.Array:
-        s = ship.searcher()
-        out = []
-        for x in a.to_pylist():
-            p, k = factor_document(x or b"", s)
-            out.append([{"pos": i, "len": j} for i, j in zip(p, k, strict=True)])
-        return pa.array(out, kind)
+        return factor_lists(*factor_batch([x or b"" for x in a.to_pylist()], ship.searcher()))
 
     @arrow_udf("binary")
     def drf_decode(a: pa.Array) -> pa.Array:

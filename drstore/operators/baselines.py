@@ -15,6 +15,8 @@ from pyspark.sql import functions as F
 
 #: block sizes of the experiments in bytes; 0 is one document a block
 BLOCK_SIZES = (0, 100_000, 200_000, 500_000, 1_000_000)
+#: requests that travel with one copy of their block where each opens it by itself
+TOGETHER = 64
 
 
 def _raw_deflate(level: int, wbits: int) -> Callable[[bytes], bytes]:
@@ -100,12 +102,25 @@ def blocked_ratio(blocks: DataFrame) -> DataFrame:
     return blocks.agg(F.sum("n_docs").alias("n_docs"), F.sum("raw_bytes").alias("raw_bytes"), F.sum(F.octet_length("payload")).alias("enc_bytes")).withColumn("enc_pct", 100.0 * F.col("enc_bytes") / F.col("raw_bytes"))
 
 
+def _members(blocks: DataFrame) -> DataFrame:
+    return blocks.select("block_id", F.explode("members").alias("m")).select("block_id", F.col("m.doc_id").alias("doc_id"), F.col("m.off").alias("off"), F.col("m.len").alias("len"))
+
+
 def read_blocked(blocks: DataFrame, name: str, requests: DataFrame) -> DataFrame:
-    """req_no, doc_id, body, decoded_bytes. Each wanted block is opened once, up to the end of its last wanted document."""
+    """req_no, doc_id, body, decoded_bytes. Each wanted block is opened once, up to the end of its last wanted document.
+
+    Members are narrowed by the wanted ids inside the scan, as the store's rows are; payloads do not move. A member list is at most a block's documents.
+    """
+    from ..sources.store import BROADCAST_IDS, delivered
+
     _, open_ = codec(name)
     wanted = requests.select("doc_id").distinct()
-    where = blocks.select("block_id", F.explode("members").alias("m")).select("block_id", F.col("m.doc_id").alias("doc_id"), F.col("m.off").alias("off"), F.col("m.len").alias("len"))
-    hits = where.join(wanted, "doc_id").groupBy("block_id").agg(F.collect_list(F.struct("doc_id", "off", "len")).alias("want"))
+    if wanted.limit(BROADCAST_IDS + 1).count() <= BROADCAST_IDS:
+        wanted = F.broadcast(wanted)
+        send = F.broadcast  # no more blocks than ids
+    else:
+        send = lambda rows: rows
+    hits = _members(blocks).join(wanted, "doc_id", "left_semi").groupBy("block_id").agg(F.collect_list(F.struct("doc_id", "off", "len")).alias("want"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -118,8 +133,31 @@ def read_blocked(blocks: DataFrame, name: str, requests: DataFrame) -> DataFrame
                     cost.append(w["off"] + w["len"])
             yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(bodies, pa.binary()), pa.array(cost, pa.int64())], names=["doc_id", "body", "decoded_bytes"])
 
-    opened = blocks.join(hits, "block_id").select("payload", "want").mapInArrow(run, "doc_id long, body binary, decoded_bytes long")
-    return requests.join(opened, "doc_id", "left").select("req_no", "doc_id", "body", "decoded_bytes")
+    opened = blocks.join(send(hits), "block_id").select("payload", "want").mapInArrow(run, "doc_id long, body binary, decoded_bytes long")
+    return delivered(requests, opened, "body", "decoded_bytes")
+
+
+def read_blocked_each(blocks: DataFrame, name: str, requests: DataFrame) -> DataFrame:
+    """The same, but every request opens its block by itself, from the block's start to the document's end, as a server without a cache answers them.
+
+    A block that is asked for often goes to several tasks, about ``TOGETHER`` requests at a time.
+    """
+    from ..sources.store import delivered
+
+    _, open_ = codec(name)
+    placed = delivered(requests, _members(blocks), "block_id", "off", "len").where("block_id is not null")
+    shares = placed.groupBy("block_id").agg(F.ceil(F.count("*") / TOGETHER).alias("shares"))
+    dealt = placed.join(shares, "block_id").groupBy("block_id", F.pmod(F.xxhash64("req_no"), F.col("shares")).alias("share"))
+    rows = dealt.agg(F.collect_list(F.struct("req_no", "doc_id", "off", "len")).alias("want")).join(blocks.select("block_id", "payload"), "block_id")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for payload, want in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
+                ends = [w["off"] + w["len"] for w in want]
+                bodies = [open_(payload, e)[w["off"] : e] for w, e in zip(want, ends, strict=True)]
+                yield pa.RecordBatch.from_arrays([pa.array([w["req_no"] for w in want], pa.int64()), pa.array([w["doc_id"] for w in want], pa.int64()), pa.array(bodies, pa.binary()), pa.array(ends, pa.int64())], names=["req_no", "doc_id", "body", "decoded_bytes"])
+
+    return rows.select("payload", "want").mapInArrow(run, "req_no long, doc_id long, body binary, decoded_bytes long")
 
 
 def read_all_blocked(blocks: DataFrame, name: str) -> DataFrame:

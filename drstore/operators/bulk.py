@@ -1,20 +1,24 @@
 """Factors of many documents at once.
 
-All documents of a batch move forward together: a step finds the next factor of every document that is not at its end. Eight bytes are compared at a
-time as one big-endian integer. The first eight are looked up among the sorted keys of the suffix array; documents that match all eight go on inside their
-interval by binary searches on the next eight bytes, and so on. When few documents are left the rest is done one by one.
+Eight bytes are compared at a time as one big-endian integer. How far a match goes, up to ``DEEP`` bytes, is found for every place of a window of text
+together: the places are sorted by their next eight bytes, looked up among the sorted first eight bytes of the suffixes, and those that match all eight go on
+inside their interval by binary searches on the next eight. The greedy factors are then a walk over these lengths; a place whose match is
+longer still is searched alone when the walk comes to it. Ranks are looked up for the walked places only.
 
-Padding is the byte 0, so batches (or dictionaries) that hold that byte take the single path.
+Documents stand one after another and no match goes beyond its document, so the walk over a window meets every document's first byte.
+
+An integer is padded with zeros where fewer than eight bytes are left, so a string and the same string with zero bytes after it look alike; the shorter one is
+the smaller suffix, and ``_settle`` passes over suffixes that end too early.
 """
 
 from __future__ import annotations
 
 import numpy as np
 
-from .factorize import factor_document
 from .suffix import Searcher
 
-FEW = 12
+DEEP = 32
+WINDOW = 1 << 19
 _MASK = np.array([0, *(((1 << (8 * k)) - 1) << (64 - 8 * k) for k in range(1, 9))], np.uint64)
 _STEPS = [np.uint64(1 << (8 * k)) for k in range(7, 0, -1)]
 
@@ -39,13 +43,26 @@ def _equal_bytes(a: np.ndarray, b: np.ndarray) -> np.ndarray:
 
 class Bulk:
     def __init__(self, search: Searcher):
-        self.search = search
-        d = np.frombuffer(search.d, np.uint8)
-        self.m = len(d)
-        self.sa = np.frombuffer(search.sa, np.uint32).astype(np.int64) if self.m else np.empty(0, np.int64)
-        self.usable = self.m > 0 and not (d == 0).any()
-        self.next = packs(d)
-        self.keys = self.next[self.sa]
+        self.search, self.m = search, search.m
+        self.sa, self.keys, self.view = search.ranks, search.keys, search.view
+        self.careful = search.has_zero
+
+    def _next(self, at: np.ndarray) -> np.ndarray:
+        """Eight bytes of the dictionary at some places, zeros beyond its end."""
+        return self.view[np.minimum(at, self.m)].astype(np.uint64)
+
+    def _place(self, rank: np.ndarray) -> np.ndarray:
+        return self.sa[np.minimum(rank, self.m - 1)].astype(np.int64)
+
+    def _settle(self, r: np.ndarray, high, depth: int, want: np.ndarray, need: np.ndarray) -> np.ndarray:
+        """Ranks moved over suffixes that look equal but end before ``need`` bytes; there are fewer than eight of them at a depth."""
+        while self.careful:
+            at = self._place(r) + depth
+            early = (r < high) & (self.m - at < need) & (self._next(at) == want)
+            if not early.any():
+                break
+            r = r + early
+        return r
 
     def _bound(self, low: np.ndarray, high: np.ndarray, depth: int, want: np.ndarray, upper: bool) -> np.ndarray:
         """First rank in [low, high) whose eight bytes at ``depth`` are not below (or, ``upper``, are above) the wanted ones."""
@@ -53,7 +70,7 @@ class Bulk:
         open_ = np.flatnonzero(low < high)
         while len(open_):
             mid = (low[open_] + high[open_]) >> 1
-            got = self.next[np.minimum(self.sa[mid] + depth, self.m)]
+            got = self._next(self._place(mid) + depth)
             right = got <= want[open_] if upper else got < want[open_]
             low[open_[right]] = mid[right] + 1
             high[open_[~right]] = mid[~right]
@@ -62,60 +79,87 @@ class Bulk:
 
     def _shared(self, rank: np.ndarray, ok: np.ndarray, depth: int, want: np.ndarray, room: np.ndarray) -> np.ndarray:
         """Bytes that the suffix of a rank shares with the wanted ones at ``depth``."""
-        at = self.sa[np.clip(rank, 0, self.m - 1)] + depth
-        n = np.minimum(_equal_bytes(self.next[np.minimum(at, self.m)], want), np.minimum(np.maximum(self.m - at, 0), room))
+        at = self._place(np.maximum(rank, 0))
+        got = self.keys[np.clip(rank, 0, self.m - 1)] if depth == 0 else self._next(at + depth)
+        n = np.minimum(_equal_bytes(got, want), np.minimum(np.maximum(self.m - at - depth, 0), room))
         return np.where(ok, n, 0)
 
-    def step(self, ahead: np.ndarray, at: np.ndarray, end: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """(rank of the first suffix, length) of the longest match at each place."""
+    def lengths(self, ahead: np.ndarray, at: np.ndarray, end: np.ndarray, most: int) -> np.ndarray:
+        """Length of the longest match at each place, at most ``most``. Places are best sorted by what follows them."""
         room = np.minimum(end - at, 8)
         want = ahead[at] & _MASK[room]
-        r = np.searchsorted(self.keys, want)
-        n = np.maximum(self._shared(r, r < self.m, 0, want, room), self._shared(r - 1, r > 0, 0, want, room))
-        first = np.searchsorted(self.keys, want & _MASK[n])
-        total = n.copy()
-        go = np.flatnonzero(n == 8)
-        low, high, depth = first[go], np.searchsorted(self.keys, want[go], side="right"), 8
-        while len(go):
+        r = self._settle(np.searchsorted(self.keys, want), self.m, 0, want, room)
+        total = np.maximum(self._shared(r, r < self.m, 0, want, room), self._shared(r - 1, r > 0, 0, want, room))
+        go = np.flatnonzero(total == 8)
+        low, high, depth = r[go], np.searchsorted(self.keys, want[go], side="right"), 8
+        while len(go) and depth < most:
             room = np.minimum(end[go] - at[go] - depth, 8)
             want = ahead[at[go] + depth] & _MASK[room]
-            r = self._bound(low, high, depth, want, False)
+            r = self._settle(self._bound(low, high, depth, want, False), high, depth, want, room)
             n = np.maximum(self._shared(r, r < high, depth, want, room), self._shared(r - 1, r > low, depth, want, room))
-            part = n < 8
-            first[go] = np.where(n > 0, r, low)
-            some = np.flatnonzero(part & (n > 0))
-            first[go[some]] = self._bound(low[some], high[some], depth, want[some] & _MASK[n[some]], False)
             total[go] += n
-            more = np.flatnonzero(~part)
+            more = np.flatnonzero(n == 8)
+            high = self._bound(r[more], high[more], depth, want[more], True)
+            low, go, depth = r[more], go[more], depth + 8
+        return total
+
+    def first(self, ahead: np.ndarray, at: np.ndarray, length: np.ndarray) -> np.ndarray:
+        """Rank of the least suffix that begins with the ``length`` bytes at each place; such a suffix exists."""
+        need = np.minimum(length, 8)
+        want = ahead[at] & _MASK[need]
+        rank = self._settle(np.searchsorted(self.keys, want), self.m, 0, want, need)
+        go, depth = np.flatnonzero(length > 8), 8
+        low, high = rank[go], np.searchsorted(self.keys, want[go], side="right")
+        while len(go):
+            need = np.minimum(length[go] - depth, 8)
+            want = ahead[at[go] + depth] & _MASK[need]
+            r = self._settle(self._bound(low, high, depth, want, False), high, depth, want, need)
+            rank[go] = r
+            more = np.flatnonzero(length[go] > depth + 8)
             high = self._bound(r[more], high[more], depth, want[more], True)
             low, go, depth = r[more], go[more], depth + 8
-        return first, total
+        return rank
 
     def factors(self, bodies: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """(pos, len, cuts): the factors of document i are those from cuts[i] to cuts[i + 1]."""
-        n = len(bodies)
-        whole = np.frombuffer(b"".join(bodies), np.uint8)
+        text = b"".join(bodies)
+        whole = np.frombuffer(text, np.uint8)
         off = np.concatenate([[0], np.cumsum([len(x) for x in bodies])]).astype(np.int64)
-        docs, pos, length = [], [], []
-        at, end = off[:-1].copy(), off[1:]
-        live = np.flatnonzero(at < end)
-        if self.usable and not (whole == 0).any():
-            ahead = packs(whole)
-            while len(live) > FEW:
-                rank, k = self.step(ahead, at[live], end[live])
-                docs.append(live)
-                pos.append(np.where(k > 0, self.sa[np.minimum(rank, self.m - 1)], whole[at[live]]))
-                length.append(k)
-                at[live] += np.maximum(k, 1)
-                live = live[at[live] < end[live]]
-        for i in live.tolist():
-            p, k = factor_document(bodies[i][at[i] - off[i] :], self.search)
-            docs.append(np.full(len(p), i))
-            pos.append(np.array(p, np.int64))
-            length.append(np.array(k, np.int64))
-        if not docs:
-            return np.empty(0, np.int64), np.empty(0, np.int64), np.zeros(n + 1, np.int64)
-        doc = np.concatenate(docs)
-        order = np.argsort(doc, kind="stable")
-        cuts = np.concatenate([[0], np.cumsum(np.bincount(doc, minlength=n))])
-        return np.concatenate(pos)[order], np.concatenate(length)[order], cuts
+        if not self.m:
+            return whole.astype(np.int64), np.zeros(len(whole), np.int64), off
+        self.careful = self.search.has_zero or b"\0" in text
+        end = off[1:]
+        starts, pos, length, i = [], [], [], 0
+        for a in range(0, len(whole), WINDOW):
+            b = min(a + WINDOW, len(whole))
+            if i >= b:
+                continue
+            ahead = packs(whole[a : b + DEEP + 8])
+            at = np.arange(i - a, b - a)
+            stop = end[np.searchsorted(end, at + a, side="right")] - a
+            order = np.argsort(ahead[at])
+            k = np.empty(len(at), np.int64)
+            k[order] = self.lengths(ahead, at[order], stop[order], DEEP)
+            steps, base, walked, alone = np.where(k == DEEP, 0, np.maximum(k, 1)).tolist(), i, [], {}
+            while i < b:
+                n = steps[i - base]
+                if not n:
+                    document_end = int(stop[i - base]) + a
+                    alone[len(walked)] = p, n = self.search.longest_match(text, i, document_end)
+                walked.append(i)
+                i += n
+            walk = np.array(walked, np.int64)
+            size = k[walk - base]
+            known = np.flatnonzero((size > 0) & (size < DEEP))
+            place = whole[walk].astype(np.int64)
+            if len(known):
+                known = known[np.argsort(ahead[walk[known] - a])]
+                place[known] = self._place(self.first(ahead, walk[known] - a, size[known]))
+            for j, (p, n) in alone.items():
+                place[j], size[j] = p, n
+            starts.append(walk)
+            pos.append(place)
+            length.append(size)
+        if not starts:
+            return np.empty(0, np.int64), np.empty(0, np.int64), np.zeros(len(bodies) + 1, np.int64)
+        return np.concatenate(pos), np.concatenate(length), np.searchsorted(np.concatenate(starts), off)

@@ -5,10 +5,13 @@ A collection has doc_id, body BINARY, n_bytes; ordered ones also ord and start_o
 
 from __future__ import annotations
 
+import json
+from math import isqrt
+
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..session import cut
+from ..session import cut, tasks_for
 
 
 def as_collection(df: DataFrame, id_col: str, body_col: str, keep: tuple[str, ...] = ()) -> DataFrame:
@@ -19,30 +22,43 @@ def as_collection(df: DataFrame, id_col: str, body_col: str, keep: tuple[str, ..
 
 
 def with_offsets(coll: DataFrame, order_by: list[Column] | None = None) -> DataFrame:
-    """Adds ord and start_off. Order: ``order_by``, then doc_id.
+    """Adds ord and start_off. Order: ``order_by``, then doc_id (null first), then a hash of the body; equal rows are interchangeable.
 
-    Prefix sums in two levels: keys and sizes alone are dealt by ranges of the order, each range is summed in its own task, and only the ranges' totals - one
-    row a partition - are summed on the driver. Bodies are not sorted; they meet their places in one join on doc_id (none moves if both are bucketed by it).
+    Two passes. Keys and sizes alone are dealt by ranges of the order and give one row a range to the driver: its least key, its rows and bytes. In the second
+    pass a document finds its range by comparing its key with these, moves there with its body - the only time that it moves - and gets its place by running
+    sums inside the range. So rows are never matched by doc_id, ranges follow the order, and their number follows the input.
     """
-    keys = coll.select(*(c.alias(f"__k{i}") for i, c in enumerate(order_by or [])), "doc_id", "n_bytes")
-    by = [F.col(n).asc() for n in keys.columns[:-1]]
-    # the same ranges must serve both passes, so they are fixed first
-    ranged = cut(keys.repartitionByRange(*by).withColumn("__part", F.spark_partition_id()))
-    totals = ranged.groupBy("__part").agg(F.count("*").alias("n"), F.sum("n_bytes").alias("b")).orderBy("__part").collect()
-    before, rows, size = {}, 0, 0
-    for r in totals:
-        before[r["__part"]] = (rows, size)
-        rows, size = rows + r["n"], size + (r["b"] or 0)
-    if not before:
+    named = coll.withColumns({f"__k{i}": c for i, c in enumerate(order_by or [])} | {"__tie": F.xxhash64("body")})
+    by = [c for c in named.columns if c.startswith("__k")] + ["doc_id", "__tie"]
+    up = [F.col(c).asc_nulls_first() for c in by]
+    ranges = tasks_for(coll)
+    # the ranges are fixed before they are looked at
+    dealt = cut(named.select(*by, "n_bytes").repartitionByRange(ranges, *up).withColumn("__part", F.spark_partition_id()))
+    sums = dealt.groupBy("__part").agg(F.min(F.struct(*by)).alias("least"), F.count("*").alias("n"), F.sum("n_bytes").alias("b")).orderBy("__part").collect()
+    if not sums:
         return coll.withColumn("ord", F.lit(0).cast("long")).withColumn("start_off", F.lit(0).cast("long"))
-    base = F.create_map(*(x for k, (n, b) in before.items() for x in (F.lit(k), F.struct(F.lit(n).cast("long").alias("n"), F.lit(b).cast("long").alias("b")))))[F.col("__part")]
-    w = Window.partitionBy("__part").orderBy(*by)
-    placed = ranged.select(
-        "doc_id",
-        (base["n"] + F.row_number().over(w) - 1).cast("long").alias("ord"),
-        (base["b"] + F.sum("n_bytes").over(w.rowsBetween(Window.unboundedPreceding, 0)) - F.col("n_bytes")).cast("long").alias("start_off"),
-    )
-    return coll.join(placed, "doc_id")
+    before, rows, size = [], 0, 0
+    for r in sums:
+        before.append((rows, size))
+        rows, size = rows + r["n"], size + (r["b"] or 0)
+    step = isqrt(len(sums)) + 1
+    groups = [[r["least"] for r in sums[i : i + step]] for i in range(0, len(sums), step)]
+    key = dealt.select(F.struct(*by).alias("k")).schema["k"].dataType.simpleString()
+    # constants, which the optimizer folds: some ranges' least keys, all of them in groups, and what comes before each range
+    constant = lambda v, kind: F.from_json(F.lit(json.dumps(v)), kind)
+    row = lambda r: dict(zip(by, r, strict=True))
+    some, every = constant([row(g[0]) for g in groups], f"array<{key}>"), constant([[row(r) for r in g] for g in groups], f"array<array<{key}>>")
+    base = constant([{"n": n, "b": b} for n, b in before], "array<struct<n:long,b:long>>")
+    own = F.struct(*by)
+    reached = lambda least: F.size(F.filter(least, lambda x: x <= own))
+    group = F.greatest(reached(some), F.lit(1)) - 1
+    placed = named.withColumn("__group", group).withColumn("__part", F.greatest(F.lit(0), F.col("__group") * step + reached(F.get(every, F.col("__group"))) - 1))
+    w = Window.partitionBy("__part").orderBy(*up)
+    start = F.get(base, F.col("__part"))
+    out = placed.drop("__group").repartitionById(len(sums), "__part")
+    out = out.withColumn("ord", (start["n"] + F.row_number().over(w) - 1).cast("long"))
+    out = out.withColumn("start_off", (start["b"] + F.sum("n_bytes").over(w.rowsBetween(Window.unboundedPreceding, 0)) - F.col("n_bytes")).cast("long"))
+    return out.select(*coll.columns, "ord", "start_off")
 
 
 def total_bytes(coll: DataFrame) -> int:

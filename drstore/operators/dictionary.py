@@ -2,8 +2,11 @@
 
 from __future__ import annotations
 
+import atexit
 import hashlib
+import mmap
 import os
+import shutil
 import uuid
 from dataclasses import dataclass, field
 from urllib.parse import urlparse
@@ -12,11 +15,12 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..session import shared_folder
 from . import suffix
 from .collection import prefix, total_bytes
 
-#: Largest dictionary that is sent as a broadcast; larger ones are mapped from a file in the shared folder.
-BROADCAST_BYTES = 64 << 20
+#: Largest dictionary that is sent as a broadcast; larger ones are mapped from files in the shared folder.
+BROADCAST_BYTES = 16 << 20
 
 
 @dataclass(frozen=True)
@@ -116,6 +120,7 @@ class Dictionary:
         return Dictionary(self.data + more, [*self.sizes, len(self.data) + len(more)], self.epoch)
 
     def save(self, path: str) -> None:
+        """Each file appears under its name when whole, the sizes last."""
         os.makedirs(path, exist_ok=True)
         for name, b in (("dict.bin", self.data), ("suffixes.bin", self.sa.tobytes()), ("sizes.txt", " ".join(map(str, [self.epoch, *self.sizes])).encode())):
             with open(os.path.join(path, name + ".part"), "wb") as f:
@@ -157,34 +162,59 @@ def extend(dictionary: Dictionary, placed_new: DataFrame, m_extra: int, s: int)
 
 
 class Shipped:
-    """A dictionary as tasks see it: opened once in each worker."""
+    """A dictionary as tasks see it, opened once in each worker.
 
-    _open: dict[str, suffix.Searcher] = {}
+    A mapped one costs a worker no memory of its own: bytes, suffixes and their first eight bytes are files that all workers of a machine share in the page
+    cache. Decoding opens the bytes alone.
+    """
+
+    _open: dict[str, suffix.Searcher | bytes | mmap.mmap] = {}
 
     def __init__(self, spark: SparkSession, dictionary: Dictionary):
         self.key, self.path, self.sent = uuid.uuid4().hex, None, None
         if len(dictionary.data) <= BROADCAST_BYTES:
             self.sent = spark.sparkContext.broadcast((dictionary.data, dictionary.sa.tobytes()))
         else:
-            root = spark.conf.get("spark.checkpoint.dir", None)
-            if root is None or urlparse(root).scheme not in ("", "file"):
-                raise ValueError(f"a dictionary over {BROADCAST_BYTES} bytes is mapped from spark.checkpoint.dir, which has to be a shared file system")
-            self.path = os.path.join(urlparse(root).path, f"dictionary-{self.key}")
+            u = urlparse(shared_folder(spark))
+            if u.scheme not in ("", "file"):
+                raise ValueError(f"a dictionary over {BROADCAST_BYTES} bytes is mapped from spark.checkpoint.dir, which has to be a mounted file system")
+            self.path = os.path.join(u.path, f"dictionary-{self.key}")
             dictionary.save(self.path)
+            search = suffix.Searcher(dictionary.data, dictionary.sa)
+            with open(os.path.join(self.path, "wide.bin"), "wb") as f:
+                f.write(dictionary.data)
+                f.write(bytes(16))
+            with open(os.path.join(self.path, "keys.bin"), "wb") as f:
+                for i in range(0, len(dictionary.sa), 1 << 20):
+                    f.write(suffix.suffix_keys(search.view, dictionary.sa[i : i + (1 << 20)]).tobytes())
+            atexit.register(shutil.rmtree, self.path, True)
+
+    def _file(self, name: str) -> str:
+        return os.path.join(self.path, name)
+
+    def _bytes(self) -> bytes | mmap.mmap:
+        if not self.path:
+            return self.sent.value[0]
+        with open(self._file("dict.bin"), "rb") as f:
+            return mmap.mmap(f.fileno(), 0, access=mmap.ACCESS_READ)
+
+    def _once(self, kind: str, make):
+        if self.key + kind not in Shipped._open:
+            Shipped._open.clear()  # one dictionary at a time in a worker
+            Shipped._open[self.key + kind] = make()
+        return Shipped._open[self.key + kind]
 
     def searcher(self) -> suffix.Searcher:
-        if self.key not in Shipped._open:
-            Shipped._open.clear()  # one dictionary at a time in a worker
-            if self.path:
-                d = np.memmap(os.path.join(self.path, "dict.bin"), np.uint8, "r").tobytes()
-                sa = np.memmap(os.path.join(self.path, "suffixes.bin"), np.uint32, "r")
-            else:
-                d, sa = self.sent.value[0], np.frombuffer(self.sent.value[1], np.uint32)
-            Shipped._open[self.key] = suffix.Searcher(d, sa)
-        return Shipped._open[self.key]
-
-    def data(self) -> bytes:
-        return self.searcher().d
+        def make() -> suffix.Searcher:
+            if not self.path:
+                return suffix.Searcher(self._bytes(), np.frombuffer(self.sent.value[1], np.uint32))
+            return suffix.Searcher(self._bytes(), *(np.memmap(self._file(n), t, "r") for n, t in (("suffixes.bin", np.uint32), ("wide.bin", np.uint8), ("keys.bin", np.uint64))))
+
+        return self._once("s", make)
+
+    def data(self) -> bytes | mmap.mmap:
+        """The bytes alone; slices of them are bytes."""
+        return self._once("d", self._bytes)
 
 
 def prune_and_refill(placed: DataFrame, dictionary: Dictionary, passes: int, s: int, min_run: int = 16) -> list[tuple[int, Dictionary, float]]:

@@ -52,15 +52,13 @@ def factor_batch(bodies: list[bytes], search: Searcher, tie: str = "first_rank")
     from .bulk import Bulk
 
     if tie == "first_rank":
-        if not hasattr(search, "bulk"):
-            search.bulk = Bulk(search)
-        return search.bulk.factors(bodies)
+        return Bulk(search).factors(bodies)
     both = [factor_document(x, search, tie) for x in bodies]
     cuts = np.concatenate([[0], np.cumsum([len(p) for p, _ in both])]).astype(np.int64)
     return np.array([v for p, _ in both for v in p], np.int64), np.array([v for _, k in both for v in k], np.int64), cuts
 
 
-def _lists(pos: np.ndarray, length: np.ndarray, cuts: np.ndarray) -> pa.Array:
+def factor_lists(pos: np.ndarray, length: np.ndarray, cuts: np.ndarray) -> pa.Array:
     flat = pa.StructArray.from_arrays([pa.array(pos, pa.int64()), pa.array(length.astype(np.int32))], names=["pos", "len"])
     return pa.ListArray.from_arrays(pa.array(cuts.astype(np.int32)), flat)
 
@@ -72,7 +70,7 @@ def factorize(coll: DataFrame, dictionary: Dictionary, tie: str = "first_rank")
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         search = ship.searcher()
         for b in batches:
-            yield pa.RecordBatch.from_arrays([b.column(0), _lists(*factor_batch(b.column(1).to_pylist(), search, tie))], names=["doc_id", "factors"])
+            yield pa.RecordBatch.from_arrays([b.column(0), factor_lists(*factor_batch(b.column(1).to_pylist(), search, tie))], names=["doc_id", "factors"])
 
     return coll.select("doc_id", "body").mapInArrow(run, "doc_id long, factors array<struct<pos:long,len:int>>")
 
@@ -102,7 +100,7 @@ def factorize_stream(placed: DataFrame, dictionary: Dictionary) -> DataFrame:
                 out_p.append(ps)
                 out_k.append(ks)
             cuts = np.concatenate([[0], np.cumsum([len(p) for p in out_p])])
-            yield pa.RecordBatch.from_arrays([b.column(0), _lists(np.array([v for p in out_p for v in p], np.int64), np.array([v for k in out_k for v in k], np.int64), cuts)], names=["doc_id", "factors"])
+            yield pa.RecordBatch.from_arrays([b.column(0), factor_lists(np.array([v for p in out_p for v in p], np.int64), np.array([v for k in out_k for v in k], np.int64), cuts)], names=["doc_id", "factors"])
 
     return placed.select("doc_id", "body").mapInArrow(run, "doc_id long, factors array<struct<pos:long,len:int>>")
 

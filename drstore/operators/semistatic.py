@@ -213,7 +213,9 @@ def undense(coded: bytes) -> list[int]:
 
 
 def dense_length(rank: Column) -> Column:
-    return F.when(rank < 128, 1).when(rank < 128 + 128**2, 2).when(rank < 128 + 128**2 + 128**3, 3).otherwise(4)
+    """Bytes of a rank's codeword, for every 64-bit rank."""
+    first = [sum(128**k for k in range(1, n + 1)) for n in range(1, 9)]  # ranks that have up to n bytes
+    return sum((F.when(rank >= F.lit(x), 1).otherwise(0) for x in first), F.lit(1))
 
 
 def ranked(freq: DataFrame) -> DataFrame:

@@ -6,8 +6,11 @@ Places are 0-based. A suffix that ends is smaller than any that goes on and neve
 from __future__ import annotations
 
 from bisect import bisect_left, bisect_right
+from collections.abc import Iterator
+from functools import cached_property
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -55,10 +58,14 @@ def suffix_array_df(spark: SparkSession, d: bytes, partitions: int | None = None
 
     Ranks come from counts of equal keys summed over key ranges, so no step has a window over everything.
     """
-    n = len(d)
-    keys = spark.createDataFrame([(i, d[i : i + 8].hex()) for i in range(n)], "pos long, key string") if n else spark.createDataFrame([], "pos long, key string")
-    if partitions:
-        keys = keys.repartition(partitions)
+    sent = spark.sparkContext.broadcast(d)
+
+    def first(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            at = b.column(0).to_pylist()
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array([sent.value[i : i + 8].hex() for i in at], pa.string())], names=["pos", "key"])
+
+    keys = spark.range(0, len(d), 1, partitions).mapInArrow(first, "pos long, key string")
     depth, ranked = 8, _ranked(keys.select("pos", F.struct("key").alias("key")))
     while ranked.groupBy("rank").count().where("count > 1").limit(1).count():
         other = ranked.select((F.col("pos") - depth).alias("pos"), F.col("rank").alias("next"))
@@ -83,19 +90,46 @@ def _ranked(keyed: DataFrame) -> DataFrame:
     return cut(keyed.join(ranks, "key").select("pos", "rank"))
 
 
+def suffix_keys(view: np.ndarray, sa: np.ndarray) -> np.ndarray:
+    """The first eight bytes of each suffix, in order, as integers."""
+    out = np.empty(len(sa), np.uint64)
+    for i in range(0, len(sa), 1 << 20):
+        out[i : i + (1 << 20)] = view[sa[i : i + (1 << 20)]]
+    return out
+
+
 class Searcher:
     """A dictionary with its suffix array: intervals, occurrences and longest matches."""
 
-    def __init__(self, d: bytes, sa: np.ndarray):
-        self.d, self.m = d, len(d)
+    def __init__(self, d, sa: np.ndarray, wide: np.ndarray | None = None, keys: np.ndarray | None = None):
+        """d: bytes, or a mapping of them. wide (the bytes and sixteen zeros) and keys (the first eight bytes of each suffix) are made when needed if not given."""
+        self.d, self.m, self.ranks, self._wide, self._keys = d, len(d), sa, wide, keys
         self.sa = memoryview(np.ascontiguousarray(sa, np.uint32)).cast("B").cast("I") if len(sa) else memoryview(b"")
-        two = np.zeros(self.m, np.int64)
-        if self.m:
-            a = np.frombuffer(d, np.uint8).astype(np.int64)
-            two = a[sa] * 257
-            inner = np.asarray(sa) + 1 < self.m
-            two[inner] += 1 + a[np.asarray(sa)[inner] + 1]
-        self._bounds = np.searchsorted(two, np.arange(256 * 257 + 1)).tolist()
+
+    @cached_property
+    def has_zero(self) -> bool:
+        return self.d.find(b"\0") >= 0
+
+    @cached_property
+    def view(self) -> np.ndarray:
+        """At each place the next eight bytes as a big-endian integer, without a copy for each place."""
+        wide = np.frombuffer(bytes(self.d) + bytes(16), np.uint8) if self._wide is None else self._wide
+        return np.ndarray((self.m + 9,), ">u8", wide, strides=(1,))
+
+    @cached_property
+    def keys(self) -> np.ndarray:
+        return suffix_keys(self.view, self.ranks) if self._keys is None else self._keys
+
+    @cached_property
+    def _bounds(self) -> list[int]:
+        """Ranks where the suffixes of each first byte and second byte (or end) begin."""
+        count = np.zeros(256 * 257 + 1, np.int64)
+        for i in range(0, self.m, 1 << 22):
+            a = np.frombuffer(self.d[i : i + (1 << 22) + 1], np.uint8).astype(np.int64)
+            if i + (1 << 22) >= self.m:
+                count[1 + a[-1] * 257] += 1
+            count += np.bincount(a[:-1] * 257 + a[1:] + 2, minlength=len(count))
+        return np.cumsum(count).tolist()
 
     def refine(self, low: int, high: int, depth: int, byte: int) -> tuple[int, int] | None:
         """Of the ranks low..high (inclusive), whose suffixes share ``depth`` bytes, those that go on with ``byte``."""
@@ -126,9 +160,9 @@ class Searcher:
         low, high = self.interval(pattern)
         return high - low
 
-    def longest_match(self, x: bytes, i: int) -> tuple[int, int]:
-        """(place, length) of the longest string of the dictionary that x[i:] begins with; of its places, the one of the least suffix. Length 0: none."""
-        d, sa, n = self.d, self.sa, len(x)
+    def longest_match(self, x: bytes, i: int, end: int | None = None) -> tuple[int, int]:
+        """(place, length) of the longest string of the dictionary that x[i:end] begins with; of its places, the one of the least suffix. Length 0: none."""
+        d, sa, n = self.d, self.sa, len(x) if end is None else end
         first = x[i]
         low, high = self._bounds[first * 257], self._bounds[(first + 1) * 257]
         if low == high:
@@ -140,7 +174,7 @@ class Searcher:
             return sa[low], 1
         low, high, width = lo2, hi2, 24
         while True:
-            want = x[i : i + width]
+            want = x[i : min(i + width, n)]
             k = len(want)
             r = bisect_left(sa, want, low, high, key=lambda p: d[p : p + k])
             best = 2

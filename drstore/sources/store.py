@@ -13,16 +13,22 @@ from pyspark.sql import functions as F
 
 from ..operators.dictionary import Dictionary
 from ..operators.factorize import decode_encoded
+from ..session import tasks_for
 
 #: Lists of requests up to this many distinct ids are sent to the store's tasks; longer ones are joined by id.
 BROADCAST_IDS = 200_000
+#: Requests of one id that one task serves.
+HOT_REQUESTS = 20_000
 
 
 def write_store(enc: DataFrame, path: str, mode: str = "errorifexists", codec: str = "uncompressed") -> None:
-    """Ranges of doc_id, sorted, one folder for each dictionary version. Streams are coded already, so files are not compressed again unless asked."""
+    """Sorted by doc_id in each file, one folder for each dictionary version.
+
+    Nothing moves, so documents are encoded once, in the tasks that write them. Encode what ``with_offsets`` gave in the order of ids and files hold ranges of
+    doc_id; otherwise the bloom filters alone narrow a read. Streams are coded already, so files are not compressed again unless asked.
+    """
     (
-        enc.repartitionByRange("doc_id")
-        .sortWithinPartitions("doc_id")
+        enc.sortWithinPartitions("dict_version", "doc_id")
         .write.mode(mode)
         .option("compression", codec)
         .option("parquet.block.size", 4 << 20)
@@ -47,13 +53,35 @@ def get(store: DataFrame, dictionary: Dictionary, doc_id: int) -> bytes | None:
     return bytes(rows[0]["body"]) if rows else None
 
 
-def retrieve(store: DataFrame, dictionary: Dictionary, requests: DataFrame) -> DataFrame:
-    """req_no, doc_id, body for each request; absent ids have a null body. Each document is decoded once, however often it is asked for."""
+def narrowed(rows: DataFrame, requests: DataFrame) -> DataFrame:
+    """The rows that some request asks for: ids are sent to the scan up to a checked number, else met by id."""
     wanted = requests.select("doc_id").distinct()
     few = wanted.limit(BROADCAST_IDS + 1).count() <= BROADCAST_IDS
-    found = store.join(F.broadcast(wanted) if few else wanted, "doc_id", "left_semi")
-    bodies = decode_encoded(found, dictionary)
-    return requests.select("req_no", "doc_id").join(bodies, "doc_id", "left").select("req_no", "doc_id", "body")
+    return rows.join(F.broadcast(wanted) if few else wanted, "doc_id", "left_semi")
+
+
+def delivered(requests: DataFrame, bodies: DataFrame, *columns: str) -> DataFrame:
+    """req_no, doc_id and columns of bodies for each request. An id that is asked for more than ``HOT_REQUESTS`` times is dealt to several tasks, its body with it."""
+    total = requests.count()
+    counts = requests.groupBy("doc_id").agg(F.count("*").alias("n"))
+    hot = counts.where(F.col("n") > HOT_REQUESTS).select("doc_id", F.ceil(F.col("n") / HOT_REQUESTS).cast("int").alias("shares"))
+    asked = requests.select("req_no", "doc_id")
+    if total > HOT_REQUESTS:  # so many are hot at most: total / HOT_REQUESTS
+        hot = F.broadcast(hot) if total // HOT_REQUESTS <= BROADCAST_IDS else hot
+        asked = asked.join(hot, "doc_id", "left").withColumn("share", F.pmod(F.xxhash64("req_no"), F.coalesce("shares", F.lit(1))).cast("int")).drop("shares")
+        bodies = bodies.join(hot, "doc_id", "left").withColumn("share", F.explode(F.sequence(F.lit(0), F.coalesce("shares", F.lit(1)) - 1))).drop("shares")
+        return asked.join(bodies, ["doc_id", "share"], "left").select("req_no", "doc_id", *columns)
+    return asked.join(bodies, "doc_id", "left").select("req_no", "doc_id", *columns)
+
+
+def retrieve(store: DataFrame, dictionary: Dictionary, requests: DataFrame) -> DataFrame:
+    """req_no, doc_id, body for each request; absent ids have a null body. Each document is decoded once, however often it is asked for."""
+    return delivered(requests, decode_encoded(narrowed(store, requests), dictionary), "body")
+
+
+def retrieve_each(store: DataFrame, dictionary: Dictionary, requests: DataFrame) -> DataFrame:
+    """The same, but every request is decoded by itself, as a server without a cache answers them."""
+    return decode_encoded(delivered(requests, narrowed(store, requests), "codec", "pos_stream", "len_stream").where("codec is not null"), dictionary, carry=("req_no",))
 
 
 def decode_all(store: DataFrame, dictionary: Dictionary) -> DataFrame:
@@ -70,7 +98,8 @@ def _local(path: str) -> str:
 def write_segments(enc: DataFrame, path: str, raw: bool = False) -> DataFrame:
     """Concatenated payloads, one file a partition, and the document map (doc_id, segment, byte_off, byte_len).
 
-    A payload is the two streams behind their sizes, or with ``raw`` the body as it is. Files appear under their final name only when whole, and the map that
+    Nothing moves, so documents are encoded once; a segment holds what a task of ``enc`` holds. A payload is the two streams behind their sizes, or with ``raw``
+    the body as it is. Files appear under their final name only when whole, and the map that
     is returned comes from the attempts that succeeded.
     """
     root = _local(path)
@@ -99,9 +128,8 @@ def write_segments(enc: DataFrame, path: str, raw: bool = False) -> DataFrame:
             ids, off, size = zip(*rows, strict=True)
             yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array([segment] * len(ids), pa.int32()), pa.array(off, pa.int64()), pa.array(size, pa.int64())], names=["doc_id", "segment", "byte_off", "byte_len"])
 
-    ranged = enc.select(*names).repartitionByRange("doc_id").sortWithinPartitions("doc_id")
     where = os.path.join(root, "map")
-    ranged.mapInArrow(run, "doc_id long, segment int, byte_off long, byte_len long").write.mode("overwrite").parquet(where)
+    enc.select(*names).sortWithinPartitions("doc_id").mapInArrow(run, "doc_id long, segment int, byte_off long, byte_len long").write.mode("overwrite").parquet(where)
     return enc.sparkSession.read.parquet(where)
 
 
@@ -127,7 +155,8 @@ def retrieve_by_offset(path: str, docmap: DataFrame, requests: DataFrame, dictio
     from ..operators.factorize import decode_document
 
     ship = Shipped(requests.sparkSession, dictionary) if dictionary else None
-    wanted = docmap.join(requests.select("doc_id").distinct(), "doc_id").repartition("segment").sortWithinPartitions("segment", "byte_off")
+    wanted = narrowed(docmap, requests)
+    wanted = wanted.repartition(tasks_for(docmap), "segment").sortWithinPartitions("segment", "byte_off")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         d = ship.data() if ship else b""
@@ -153,7 +182,7 @@ def retrieve_by_offset(path: str, docmap: DataFrame, requests: DataFrame, dictio
             f.close()
 
     bodies = wanted.select("doc_id", "segment", "byte_off", "byte_len").mapInArrow(run, "doc_id long, body binary")
-    return requests.select("req_no", "doc_id").join(bodies, "doc_id", "left").select("req_no", "doc_id", "body")
+    return delivered(requests, bodies, "body")
 
 
 def snippet(docs: DataFrame, term: str, width: int, body: str = "body") -> DataFrame:

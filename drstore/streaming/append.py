@@ -1,6 +1,6 @@
 """Appending documents to a store: micro-batches are encoded with the dictionary in force, and the ratio is watched.
 
-Each batch writes a folder of its own by batch id, so a batch that is run again replaces itself. When the smoothed ratio exceeds the first by more than
+Each batch writes a folder of its own by batch id, so a batch that is run again replaces itself. The path is on a file system that the driver mounts. When the smoothed ratio exceeds the first by more than
 ``tau`` points the dictionary is extended by samples of the batch (old rows stay valid) while there is room for it, or else a rebuild is called for.
 """
 
@@ -52,16 +52,28 @@ class Appender:
     def _done(self, batch: int) -> str:
         return os.path.join(self.path, f"batch={batch}")
 
+    def _before(self, batch: int) -> None:
+        """The state that the batch first met: a batch that is run again is measured once, by the dictionary of its first run."""
+        self.log = [x for x in self.log if x["batch"] < batch]
+        if self.log:
+            last = self.log[-1]
+            self.monitor.first, self.monitor.smooth = last["first"], last["smooth"]
+            if last["epoch"] == self.dictionary.epoch:
+                sizes = self.dictionary.sizes[: last["next_version"] + 1]
+                self.dictionary = dic.Dictionary(self.dictionary.data[: sizes[-1]], sizes, self.dictionary.epoch)
+
     def write_batch(self, docs: DataFrame, batch: int) -> None:
-        """For ``foreachBatch``: docs has doc_id and text (or body)."""
+        """For ``foreachBatch``: docs has doc_id and text (or body). The log is replaced last and is what counts as done."""
         coll = as_collection(docs, "doc_id", "body" if "body" in docs.columns else "text")
         if not coll.limit(1).count():
             return
+        self._before(batch)
+        version, epoch = self.dictionary.version, self.dictionary.epoch
         enc = factorize.encode(coll, self.dictionary, self.codec)
         enc.write.mode("overwrite").parquet(self._done(batch))
         size = F.octet_length("pos_stream") + F.octet_length("len_stream")
         raw, coded = self.spark.read.parquet(self._done(batch)).agg(F.sum("n_bytes"), F.sum(size)).first()
-        ratio, action, version = 100.0 * coded / max(raw, 1), "keep", self.dictionary.version
+        ratio, action = 100.0 * coded / max(raw, 1), "keep"
         if self.monitor.see(ratio):
             if len(self.dictionary.data) + self.m_extra <= self.m_limit:
                 action = "extend"
@@ -69,13 +81,39 @@ class Appender:
             else:
                 action = "rebuild"
             self.monitor.reset()
-        self.log = [x for x in self.log if x["batch"] != batch] + [{"batch": batch, "ratio": ratio, "action": action, "dict_version": version}]
-        self.dictionary.save(os.path.join(self.path, "dictionary"))
-        with open(os.path.join(self.path, "log.json"), "w") as f:
+        self._commit({"batch": batch, "ratio": ratio, "action": action, "epoch": epoch, "dict_version": version, "next_version": self.dictionary.version, "first": self.monitor.first, "smooth": self.monitor.smooth})
+
+    def _commit(self, entry: dict) -> None:
+        self.dictionary.save(os.path.join(self.path, f"dictionary-{self.dictionary.epoch}"))
+        self.log.append(entry)
+        part = os.path.join(self.path, "log.json.part")
+        with open(part, "w") as f:
             json.dump(self.log, f)
+        os.replace(part, os.path.join(self.path, "log.json"))
+
+    def rebuild(self, coll: DataFrame, spec: dic.DictSpec) -> None:
+        """A fresh dictionary for everything so far, in a new epoch: all stored batches are replaced by one, and the monitor starts again.
+
+        coll: the collection as it is now. Called when the log says ``rebuild``.
+        """
+        batch = self.log[-1]["batch"]
+        self.dictionary, enc = rebuild(coll, spec, self.codec, self.dictionary.epoch + 1)
+        where = os.path.join(self.path, f"epoch={self.dictionary.epoch}")
+        enc.write.mode("overwrite").parquet(where)
+        size = F.octet_length("pos_stream") + F.octet_length("len_stream")
+        raw, coded = self.spark.read.parquet(where).agg(F.sum("n_bytes"), F.sum(size)).first()
+        ratio = 100.0 * coded / max(raw, 1)
+        self.monitor.reset()
+        self.monitor.see(ratio)
+        self._commit({"batch": batch, "ratio": ratio, "action": "rebuilt", "epoch": self.dictionary.epoch, "dict_version": 0, "next_version": 0, "first": ratio, "smooth": ratio})
 
     def store(self) -> DataFrame:
-        return self.spark.read.option("recursiveFileLookup", True).option("pathGlobFilter", "*.parquet").parquet(*[os.path.join(self.path, d) for d in sorted(os.listdir(self.path)) if d.startswith("batch=")])
+        """Rows that the dictionary in force reads: of its epoch's rebuild, if any, and of the batches after it."""
+        epoch = self.dictionary.epoch
+        folders = [self._done(x["batch"]) for x in self.log if x["action"] != "rebuilt" and x["epoch"] == epoch]
+        folders += [os.path.join(self.path, f"epoch={epoch}")] if any(x["action"] == "rebuilt" and x["epoch"] == epoch for x in self.log) else []
+        names = ["doc_id", "dict_version", "codec", "n_bytes", "n_factors", "pos_stream", "len_stream"]
+        return self.spark.read.parquet(*folders).select(*names)
 
     def start(self, stream: DataFrame, checkpoint: str):
         return stream.writeStream.foreachBatch(self.write_batch).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()

@@ -51,11 +51,11 @@ def test_factors_meet_the_definition(d, x):
 @given(texts, st.lists(texts, max_size=30))
 def test_many_documents_at_once(d, bodies):
     s = searcher(d)
-    bulk.FEW, few = 0, bulk.FEW
+    bulk.WINDOW, window = 32, bulk.WINDOW
     try:
         pos, length, cuts = bulk.Bulk(s).factors(bodies)
     finally:
-        bulk.FEW = few
+        bulk.WINDOW = window
     for x, i, j in zip(bodies, cuts[:-1], cuts[1:], strict=True):
         assert (pos[i:j].tolist(), length[i:j].tolist()) == factor_document(x, s)
 
