@@ -4,19 +4,22 @@ Words are bytes between separators with A-Z lowered; a text is its words and one
 discounts: p_n(w | c) = max(count(c w) - D, 0) / count(c) + D kinds(c) / count(c) p_(n-1)(w | shorter c); the first order keeps D kinds / N for
 unknown words. Every level of a trie has a sorted sequence of context codes, monotone pointers from contexts to their successors, and the successors' codes
 in one monotone sequence (context rank above word code), all Elias-Fano coded, and 8-bit codes of the discounted probability of
-each successor and of the back-off weight of each context. A query finds the context, and then the word's successor position inside the context's range.
+each successor and of the back-off weight of each context. A query finds its context, follows its two pointers, and searches the word between them; many
+queries go through these steps together, on the mapped levels as they are coded (``elias_fano``). The first level is the words' codes with their counts.
 
 Counting and querying are one exchange. Each block of documents (kept as compressed files in the shared folder) sends its distinct n-grams, with how often training documents
-hold them, to shards of contexts; a shard adds the counts, writes its trie to the shared folder, maps it, and answers each block in
-the order of its questions; blocks put the answers together. So no task or driver holds the model, and what is gathered grows with the corpus.
-Contexts that hold more than 1/``HOT_UNIGRAM`` (one word) or 1/``HOT_BIGRAM`` (two words) of the tokens, a list of bounded size, are split by successor: their
-shards answer with counts, and the contexts' totals, one row each, are added up and sent to the blocks.
-
-Codes: inside a shard contexts have 30 bits and words 28 (20 after two words), so about one unseen n-gram in some thousands may be taken for a seen one. Counts of single words are
+hold them, to shards of contexts; a shard adds the counts, writes its tries to the shared folder, maps them, and answers each block in
+the order of its questions; blocks put the answers together. So no task or driver holds the model, and what is gathered grows with the corpus. The
+number of shards follows the number of training tokens, ``SHARD_TOKENS`` each.
+Contexts that hold more than 1/``HOT_UNIGRAM`` (one word) or 1/``HOT_BIGRAM`` (two words) of the tokens, a list of bounded size, are split by successor. No shard
+knows their totals, so their trie holds 16-bit codes of discounted counts; the totals, one row for each, are added up and sent to the blocks.
+
+Codes: inside a shard contexts have 30 bits, words 28, and after two words as many as the largest context that is not split may have successors, and four more.
+An unseen n-gram whose code is taken is answered as a seen one; ``tests/llm`` counts how often. Counts of single words are
 exact but for collisions of hashes of 44 bits inside a shard.
 
 Null text is empty text: its only token is the end. Null doc_id: scored, held_out is false, not learned from. Repeated rows are learned from and scored
-as rows of their own; an empty table gives an empty result.
+as rows of their own; an empty table gives an empty result. A text longer than a block is a block of its own, whole.
 """
 
 from __future__ import annotations
@@ -49,67 +52,111 @@ def quantise(p: np.ndarray) -> np.ndarray:
 
 
 _VALUE = np.concatenate([[0.0], 10.0 ** (-LOG_STEP * np.arange(255))])
-#: counts of split contexts: exact to 63, then in steps of a sixteenth of an octave
-_COUNT = np.concatenate([np.arange(64), np.floor(64 * 2.0 ** (np.arange(1, 193) / 8))])
+#: discounted counts of split contexts: code k > 0 is 10^(FINE_STEP k - 1), up to 10^15
+FINE_STEP = 16 / 65535
+
+
+def quantise_count(c: np.ndarray) -> np.ndarray:
+    with np.errstate(divide="ignore"):
+        k = np.rint((np.log10(c) + 1) / FINE_STEP)
+    return np.where(c > 0, np.clip(k, 1, 65535), 0).astype(np.uint16)
+
 
+def _padded(a: np.ndarray) -> bytes:
+    raw = a.tobytes()
+    return raw + bytes(-len(raw) % 8)
 
-def count_code(c: np.ndarray) -> np.ndarray:
-    return np.clip(np.searchsorted(_COUNT, c, side="right") - 1, 0, 255).astype(np.uint8)
+
+#: questions that are searched together
+TOGETHER = 1 << 17
 
 
 class Trie:
-    """One order of a shard."""
+    """One order of a shard. Codes of successors have 8 bits (probabilities) or, for split contexts, 16 (discounted counts) and no back-off weights."""
 
-    def __init__(self, contexts: EliasFano, pointers: EliasFano, successors: EliasFano, probability: np.ndarray, backoff: np.ndarray, bits: int):
-        self.contexts, self.pointers, self.successors, self.probability, self.backoff, self.bits = contexts, pointers, successors, probability, backoff, bits
+    def __init__(self, contexts: EliasFano, pointers: EliasFano, successors: EliasFano, codes: np.ndarray, backoff: np.ndarray, bits: int):
+        self.contexts, self.pointers, self.successors, self.codes, self.backoff, self.bits = contexts, pointers, successors, codes, backoff, bits
 
     @classmethod
-    def build(cls, key: np.ndarray, count: np.ndarray, bits: int, discount: float) -> Trie:
+    def build(cls, key: np.ndarray, count: np.ndarray, bits: int, discount: float, split: bool = False) -> Trie:
         """key: sorted distinct context << bits | word; count > 0."""
         ctx = key >> np.uint64(bits)
         u, first, inverse = np.unique(ctx, return_index=True, return_inverse=True)
-        total = np.bincount(inverse, count, minlength=len(u))
-        kinds = np.bincount(inverse, minlength=len(u))
         relative = inverse.astype(np.uint64) << np.uint64(bits) | key & np.uint64((1 << bits) - 1)
-        p = np.maximum(count - discount, 0) / total[inverse] if len(u) else np.empty(0)
-        return cls(EliasFano.build(u), EliasFano.build(np.append(first, len(key))), EliasFano.build(relative), quantise(p), quantise(np.maximum(discount * kinds / np.maximum(total, 1), 1e-7)), bits)
+        levels = EliasFano.build(u), EliasFano.build(np.append(first, len(key))), EliasFano.build(relative)
+        held = np.maximum(count - discount, 0)
+        if split:
+            return cls(*levels, quantise_count(held), np.empty(0, np.uint8), bits)
+        total, kinds = np.bincount(inverse, count, minlength=len(u)), np.bincount(inverse, minlength=len(u))
+        return cls(*levels, quantise(held / total[inverse] if len(u) else held), quantise(np.maximum(discount * kinds / np.maximum(total, 1), 1e-7)), bits)
 
     def to_bytes(self) -> bytes:
         body = self.contexts.to_bytes() + self.pointers.to_bytes() + self.successors.to_bytes()
-        return np.int64(self.bits).tobytes() + body + self.probability.tobytes() + self.backoff.tobytes()
+        return np.array([self.bits, self.codes.itemsize], "<i8").tobytes() + body + _padded(self.codes) + _padded(self.backoff)
 
     @classmethod
     def read(cls, buffer: memoryview | bytes) -> Trie:
-        bits = int(np.frombuffer(buffer, "<i8", 1)[0])
-        contexts, at = EliasFano.read(buffer, 8)
+        bits, wide = np.frombuffer(buffer, "<i8", 2).tolist()
+        contexts, at = EliasFano.read(buffer, 16)
         pointers, at = EliasFano.read(buffer, at)
         successors, at = EliasFano.read(buffer, at)
-        return cls(contexts, pointers, successors, np.frombuffer(buffer, np.uint8, successors.n, at), np.frombuffer(buffer, np.uint8, contexts.n, at + successors.n), bits)
+        codes = np.frombuffer(buffer, np.uint16 if wide == 2 else np.uint8, successors.n, at)
+        at += codes.nbytes + -codes.nbytes % 8
+        return cls(contexts, pointers, successors, codes, np.frombuffer(buffer, np.uint8, contexts.n if wide == 1 else 0, at), bits)
 
     def answers(self, key: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """(probability codes, back-off codes) of many queries; 0 where the n-gram or the context is unknown."""
-        p, g = np.zeros(len(key), np.uint8), np.zeros(len(key), np.uint8)
-        if not self.contexts.n or not len(key):
-            return p, g
-        contexts, successors = self.contexts.values(), self.successors.values()
-        c = key >> np.uint64(self.bits)
-        rank = np.minimum(np.searchsorted(contexts, c), len(contexts) - 1)
-        known = contexts[rank] == c
-        g[known] = self.backoff[rank[known]]
-        relative = rank[known].astype(np.uint64) << np.uint64(self.bits) | key[known] & np.uint64((1 << self.bits) - 1)
-        i = np.minimum(np.searchsorted(successors, relative), len(successors) - 1)
-        p[known] = np.where(successors[i] == relative, self.probability[i], 0)
+        """(codes, back-off codes) of sorted distinct queries; 0 where the n-gram or the context is unknown."""
+        p, g = np.zeros(len(key), self.codes.dtype), np.zeros(len(key), np.uint8)
+        for i in range(0, len(key) if self.contexts.n else 0, TOGETHER):
+            p[i : i + TOGETHER], g[i : i + TOGETHER] = self._some(key[i : i + TOGETHER])
+        return p, g
+
+    def _some(self, key: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        asked = key >> np.uint64(self.bits)
+        lead = np.ones(len(key), bool)
+        lead[1:] = asked[1:] != asked[:-1]
+        c = asked[lead]
+        rank, known = self.contexts.successor(np.zeros(len(c), np.int64), np.full(len(c), self.contexts.n), c)
+        rank = rank[known]
+        low, high = self.pointers.at(rank).astype(np.int64), self.pointers.at(rank + 1).astype(np.int64)
+        # back from contexts to queries
+        number = np.cumsum(lead) - 1
+        mine = np.flatnonzero(known[number])
+        of = (np.cumsum(known) - 1)[number[mine]]
+        p, g = np.zeros(len(key), self.codes.dtype), np.zeros(len(key), np.uint8)
+        if len(self.backoff):
+            g[mine] = self.backoff[rank[of]]
+        x = rank[of].astype(np.uint64) << np.uint64(self.bits) | key[mine] & np.uint64((1 << self.bits) - 1)
+        place, hit = self.successors.successor(low[of], high[of], x)
+        p[mine[hit]] = self.codes[place[hit]]
         return p, g
 
-    def answer(self, context: int, word: int) -> tuple[int, int]:
-        """One query, without decoding the levels: search the context, follow its pointers, search the word between them."""
-        r = self.contexts.successor(0, self.contexts.n, context)
-        if r == self.contexts.n or self.contexts[r] != context:
-            return 0, 0
-        low, high = self.pointers[r], self.pointers[r + 1]
-        x = r << self.bits | word
-        i = self.successors.successor(low, high, x)
-        return int(self.probability[i]) if i < high and self.successors[i] == x else 0, int(self.backoff[r])
+
+class Words:
+    """The first level of a shard: words' codes and their counts, which the base scores need as they are."""
+
+    def __init__(self, codes: EliasFano, counts: np.ndarray):
+        self.codes, self.counts = codes, counts
+
+    @classmethod
+    def build(cls, key: np.ndarray, count: np.ndarray) -> Words:
+        return cls(EliasFano.build(key), count.astype("<i8"))
+
+    def to_bytes(self) -> bytes:
+        return self.codes.to_bytes() + self.counts.tobytes()
+
+    @classmethod
+    def read(cls, buffer: memoryview | bytes) -> Words:
+        codes, at = EliasFano.read(buffer)
+        return cls(codes, np.frombuffer(buffer, "<i8", codes.n, at))
+
+    def answers(self, key: np.ndarray) -> np.ndarray:
+        out = np.zeros(len(key), np.int64)
+        for i in range(0, len(key) if self.codes.n else 0, TOGETHER):
+            k = key[i : i + TOGETHER]
+            place, hit = self.codes.successor(np.zeros(len(k), np.int64), np.full(len(k), self.codes.n), k)
+            out[i : i + TOGETHER][hit] = self.counts[place[hit]]
+        return out
 
 
 class Grams:
@@ -135,14 +182,13 @@ class Grams:
         self.context = {2: tk.mix(one ^ np.uint64(0x2545F4914F6CDD1D)), 3: tk.mix(tk.mix(two) * np.uint64(0x9FB21C651E98DF25) + one)}
         self.token, self.train = token, np.repeat(train, size)
 
-    def distinct(self, order: int, shards: int, hot: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    def distinct(self, order: int, shards: int, bits: int, hot: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
         """(shard, key, training count, is hot, question number of each token); questions are ordered by shard and key. ``hot``: sorted codes of split contexts."""
         if order == 1:
             full = self.token
             shard = (full % np.uint64(shards)).astype(np.uint64)
             key = full >> np.uint64(20)
         else:
-            bits = word_bits(order)
             c = self.context[order]
             word = self.token >> np.uint64(64 - bits)
             key = (c >> np.uint64(64 - CONTEXT_BITS)) << np.uint64(bits) | word
@@ -162,10 +208,12 @@ class Grams:
 
 
 CONTEXT_BITS = 30
+SHARD_TOKENS = 2_500_000
 
 
-def word_bits(order: int) -> int:
-    return 28 if order == 2 else 20
+def word_bits(tokens: int) -> dict[int, int]:
+    """Bits of a word's code after one and two words. A context of two words that is not split has at most tokens / HOT_BIGRAM successors."""
+    return {1: 0, 2: 28, 3: min(34, max(16, (tokens // HOT_BIGRAM).bit_length() + 4))}
 
 
 def _planes(a: np.ndarray, width: int) -> bytes:
@@ -197,7 +245,7 @@ def _read_question(blob: bytes) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     return key, count, hot
 
 
-def _ask(folder: str, shards: int, hot: np.ndarray, order: int):
+def _ask(folder: str, shards: int, bits: dict[int, int], hot: np.ndarray, order: int):
     @tk.tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
@@ -216,7 +264,7 @@ def _ask(folder: str, shards: int, hot: np.ndarray, order: int):
                 grams = Grams(s, (flags[i:j] & 3) == 0)
                 names, orders, where, blobs = [block], [0], [-1 - hash_text(block) % 64], [b""]
                 for n in range(1, order + 1):
-                    shard, key, count, is_hot, _ = grams.distinct(n, shards, hot)
+                    shard, key, count, is_hot, _ = grams.distinct(n, shards, bits[n], hot)
                     cuts = np.searchsorted(shard, np.arange(shards + 1))
                     for k in np.flatnonzero(np.diff(cuts)).tolist():
                         x, y = cuts[k], cuts[k + 1]
@@ -234,7 +282,7 @@ def _ask(folder: str, shards: int, hot: np.ndarray, order: int):
 _ANSWER = pa.schema([("block", pa.string()), ("n", pa.int32()), ("shard", pa.int32()), ("blob", pa.binary()), ("code", pa.int64()), ("total", pa.int64()), ("kinds", pa.int64())])
 
 
-def _answer(folder: str, keep_tries: bool):
+def _answer(folder: str, bits: dict[int, int], keep_tries: bool):
     """Rows for blocks (block, n, shard, blob) and rows of totals (no block): n = 0 for the corpus, else of split contexts."""
 
     @tk.tidy
@@ -252,25 +300,32 @@ def _answer(folder: str, keep_tries: bool):
         split_u = np.zeros(len(u), bool)
         split_u[inverse[split]] = True
         rows: list[tuple] = []
+        seen = total > 0
+
+        def through(name: str, level) -> Trie | Words:
+            """The level as it is mapped from its file."""
+            path = f"{folder}/{name}"
+            shared.put(path, level.to_bytes())
+            out = type(level).read(shared.view(path))
+            if not keep_tries:
+                shared.remove(path)  # the mapping holds it until the answers are there
+            return out
+
         if n == 1:
-            rows.append((None, 0, shard, b"", None, int(total.sum()), int((total > 0).sum())))
-            at = 0
+            rows.append((None, 0, shard, b"", None, int(total.sum()), int(seen.sum())))
+            c, at = through(f"1-{shard}.words", Words.build(u[seen], total[seen])).answers(u), 0
             for block, (k, _, _) in zip(blocks, parts, strict=True):
-                c = total[inverse[at : at + len(k)]]
+                rows.append((block, 1, shard, zstandard.compress(_planes(c[inverse[at : at + len(k)]].astype(np.uint64), 6), 1), None, None, None))
                 at += len(k)
-                rows.append((block, 1, shard, zstandard.compress(_planes(c.astype(np.uint64), 5), 1), None, None, None))
             return _rows(rows)
-        bits = word_bits(n)
-        plain = (total > 0) & ~split_u
-        path = f"{folder}/{n}-{shard}.trie"
-        shared.put(path, Trie.build(u[plain], total[plain], bits, DISCOUNT[n - 1]).to_bytes())
-        trie = Trie.read(shared.view(path))
-        p, g = trie.answers(u)
-        p[split_u], g[split_u] = count_code(total[split_u]), 0
-        if not keep_tries:
-            shared.remove(path)
+        width, plain = bits[n], ~split_u
+        p, g = np.zeros(len(u), np.uint8), np.zeros(len(u), np.uint8)
+        p[plain], g[plain] = through(f"{n}-{shard}.trie", Trie.build(u[plain & seen], total[plain & seen], width, DISCOUNT[n - 1])).answers(u[plain])
+        if split_u.any():
+            code = through(f"{n}-{shard}.split", Trie.build(u[split_u & seen], total[split_u & seen], width, DISCOUNT[n - 1], True)).answers(u[split_u])[0]
+            p[split_u], g[split_u] = code >> 8, code & 255
         live = split_u & (total > 0)
-        ctx, of = np.unique(u[live] >> np.uint64(bits), return_inverse=True)
+        ctx, of = np.unique(u[live] >> np.uint64(width), return_inverse=True)
         sums, kinds = np.bincount(of, total[live], minlength=len(ctx)), np.bincount(of, minlength=len(ctx))
         rows += [(None, n, shard, b"", int(c), int(a), int(k)) for c, a, k in zip(ctx.tolist(), sums.tolist(), kinds.tolist(), strict=True)]
         at = 0
@@ -290,7 +345,7 @@ def _rows(rows: list[tuple]) -> pa.Table:
 _RESULT = "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double"
 
 
-def _score(folder: str, shards: int, hot: np.ndarray, order: int, tokens: int, kinds: int, totals: dict[int, tuple[np.ndarray, np.ndarray, np.ndarray]]):
+def _score(folder: str, shards: int, bits: dict[int, int], hot: np.ndarray, order: int, tokens: int, kinds: int, totals: dict[int, tuple[np.ndarray, np.ndarray, np.ndarray]]):
     @tk.tidy
     def run(table: pa.Table) -> pa.Table:
         block = table["block"][0].as_py()
@@ -302,24 +357,26 @@ def _score(folder: str, shards: int, hot: np.ndarray, order: int, tokens: int, k
         off = np.frombuffer(raw[8 + 9 * n : 16 + 17 * n], np.int64)
         grams = Grams(tk.Slab(np.frombuffer(raw, np.uint8, offset=16 + 17 * n), off, lower=True), (flags & 3) == 0)
         blobs = {(k, sh): b for k, sh, b in zip(table["n"].to_pylist(), table["shard"].to_pylist(), table["blob"].to_pylist(), strict=True) if k}
-        shard, _, _, _, number = grams.distinct(1, shards, hot)
+        shard, _, _, _, number = grams.distinct(1, shards, 0, hot)
         raws = [zstandard.decompress(blobs[1, k]) for k in np.unique(shard).tolist()]
-        c = np.concatenate([_unplanes(x, len(x) // 5, 5, 0) for x in raws])[number].astype(float) if raws else np.empty(0)
+        c = np.concatenate([_unplanes(x, len(x) // 6, 6, 0) for x in raws])[number].astype(float) if raws else np.empty(0)
         base = np.log10((c + 1) / (tokens + kinds + 1))
         p = np.where(c > 0, c - DISCOUNT[0], DISCOUNT[0] * max(kinds, 1)) / max(tokens, 1)
         for k in range(2, order + 1):
-            shard, key, _, is_hot, number = grams.distinct(k, shards, hot)
+            shard, key, _, is_hot, number = grams.distinct(k, shards, bits[k], hot)
             raws = [zstandard.decompress(blobs[k, x]) for x in np.unique(shard).tolist()]
             a = np.concatenate([np.frombuffer(x, np.uint8, len(x) // 2) for x in raws])
             g = np.concatenate([np.frombuffer(x, np.uint8, len(x) // 2, len(x) // 2) for x in raws])
             alpha, gamma = _VALUE[a], np.where(g > 0, _VALUE[g], 1.0)
             if is_hot.any():
                 code, total, kinds_of = totals.get(k, (np.empty(0, np.uint64), np.empty(0), np.empty(0)))
-                ctx = key[is_hot] >> np.uint64(word_bits(k))
+                ctx = key[is_hot] >> np.uint64(bits[k])
+                fine = a[is_hot].astype(np.int64) << 8 | g[is_hot]
+                held = np.where(fine > 0, 10.0 ** (FINE_STEP * fine - 1), 0)
                 if len(code):
                     i = np.minimum(np.searchsorted(code, ctx), len(code) - 1)
                     known = code[i] == ctx
-                    alpha[is_hot] = np.where(known, np.maximum(_COUNT[a[is_hot]] - DISCOUNT[k - 1], 0) / total[i], 0)
+                    alpha[is_hot] = np.where(known, held / total[i], 0)
                     gamma[is_hot] = np.where(known, DISCOUNT[k - 1] * kinds_of[i] / total[i], 1.0)
                 else:
                     alpha[is_hot], gamma[is_hot] = 0, 1
@@ -367,27 +424,29 @@ def _frequent(order: int):
     return run
 
 
-def split_contexts(rows: DataFrame, order: int) -> np.ndarray:
-    """Sorted codes of contexts to split; at most 2 (HOT_UNIGRAM + HOT_BIGRAM) of them."""
+def split_contexts(rows: DataFrame, order: int) -> tuple[int, np.ndarray]:
+    """Number of training tokens, and sorted codes of contexts to split: at most 2 (HOT_UNIGRAM + HOT_BIGRAM) of them."""
     got = rows.select("train", "text").mapInArrow(_frequent(order), "n int, code long, count long").groupBy("n", "code").agg(F.sum("count").alias("count"))
+    got = shared.keep(got, "frequent")
     total = got.where("n = 0").agg(F.sum("count")).first()[0] or 0
     if not total:
-        return np.empty(0, np.uint64)
+        return 0, np.empty(0, np.uint64)
     share = F.when(F.col("n") == 2, HOT_UNIGRAM).otherwise(HOT_BIGRAM)
     hot = got.where((F.col("n") > 0) & (F.col("count") * share * 2 > total)).select("code").collect()
-    return np.sort(np.array([r["code"] for r in hot], np.int64).view(np.uint64))
+    return int(total), np.sort(np.array([r["code"] for r in hot], np.int64).view(np.uint64))
 
 
 def score(docs: DataFrame, held_out: Column, order: int = ORDER, text: str = "text", keep_tries: bool = False) -> DataFrame:
     """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score. Learns from rows whose ``held_out`` is false and whose doc_id is not null."""
     spark = docs.sparkSession
-    shards = 4 * int(spark.conf.get("spark.sql.shuffle.partitions"))
+    docs = shared.settled(docs)
     folder, tries = shared.fresh(spark, "blocks"), shared.fresh(spark, "tries")
     ident = docs["doc_id"].cast("long")
     rows = docs.select(ident.alias("doc_id"), F.coalesce(held_out, F.lit(False)).alias("held"), (~F.coalesce(held_out, F.lit(False)) & ident.isNotNull()).alias("train"), docs[text].cast("string").alias("text"))
-    hot = split_contexts(rows, order)
-    asked = rows.select("doc_id", "held", "text").mapInArrow(_ask(folder, shards, hot, order), "block string, n int, shard int, blob binary")
-    answers = shared.keep(asked.groupBy("n", "shard").applyInArrow(_answer(tries, keep_tries), "block string, n int, shard int, blob binary, code long, total long, kinds long"), "answers")
+    expected, hot = split_contexts(rows, order)
+    shards, bits = max(4 * int(spark.conf.get("spark.sql.shuffle.partitions")), -(-expected // SHARD_TOKENS)), word_bits(expected)
+    asked = rows.select("doc_id", "held", "text").mapInArrow(_ask(folder, shards, bits, hot, order), "block string, n int, shard int, blob binary")
+    answers = shared.keep(asked.groupBy("n", "shard").applyInArrow(_answer(tries, bits, keep_tries), "block string, n int, shard int, blob binary, code long, total long, kinds long"), "answers")
     tokens, kinds, totals = 0, 0, {}
     sums = answers.where("block is null").groupBy("n", "code").agg(F.sum("total").alias("total"), F.sum("kinds").alias("kinds")).collect()  # one row, and one for each split context
     for r in sums:
@@ -396,4 +455,4 @@ def score(docs: DataFrame, held_out: Column, order: int = ORDER, text: str = "te
     for k in range(2, order + 1):
         some = sorted((r["code"], r["total"], r["kinds"]) for r in sums if r["n"] == k)
         totals[k] = tuple(np.array([x[i] for x in some], t) for i, t in enumerate((np.uint64, float, float)))
-    return answers.where("block is not null").select("block", "n", "shard", "blob").groupBy("block").applyInArrow(_score(folder, shards, hot, order, tokens, kinds, totals), _RESULT)
+    return answers.where("block is not null").select("block", "n", "shard", "blob").groupBy("block").applyInArrow(_score(folder, shards, bits, hot, order, tokens, kinds, totals), _RESULT)

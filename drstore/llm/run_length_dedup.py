@@ -388,6 +388,7 @@ def _rebuild(folder: str, full: bool):
 def deduplicate(docs: DataFrame, text: str = "text", full: bool = False, hot_blocks: int = HOT_BLOCKS, block_bytes: int = BLOCK_BYTES) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans, kept_sha256 and, if ``full``, the remaining bytes."""
     spark = docs.sparkSession
+    docs = shared.settled(docs)
     folder = shared.fresh(spark, "blocks")
     shards = 4 * int(spark.conf.get("spark.sql.shuffle.partitions"))
     src = docs.select(docs["doc_id"].cast("long").alias("doc_id"), docs[text].cast("string").alias("text"))

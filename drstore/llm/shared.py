@@ -11,20 +11,24 @@ from __future__ import annotations
 import atexit
 import mmap
 import os
+import re
 import shutil
 import tempfile
 import uuid
+import warnings
 from urllib.parse import urlparse
 
 from pyspark.sql import DataFrame, SparkSession
 
-_own: list[str] = []
+_own: list[tuple[SparkSession, str]] = []
 
 
 def folder(spark: SparkSession) -> str:
     """URI of the shared folder; also makes it Spark's checkpoint folder."""
     root = spark.conf.get("spark.checkpoint.dir", None)
     if not root:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("spark.checkpoint.dir has to name a folder that the driver and all executors share")
         root = "file://" + os.path.join(tempfile.gettempdir(), "drstore-shared")
     if spark.sparkContext.getCheckpointDir() is None:
         spark.sparkContext.setCheckpointDir(root)
@@ -47,14 +51,33 @@ def fresh(spark: SparkSession, what: str) -> str:
     path = f"{folder(spark).rstrip('/')}/{what}-{uuid.uuid4().hex}"
     if not _own:
         atexit.register(_clean)
-    _own.append(path)
+    _own.append((spark, path))
     return path
 
 
 def _clean() -> None:
-    for p in _own:
+    for spark, p in _own:
         if urlparse(p).scheme in ("", "file"):
             shutil.rmtree(urlparse(p).path, ignore_errors=True)
+            continue
+        try:  # the session may be gone
+            path = spark._jvm.org.apache.hadoop.fs.Path(p)
+            path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
+        except Exception:  # noqa: BLE001
+            warnings.warn(f"{p} was left behind", RuntimeWarning, stacklevel=1)
+
+
+#: plan nodes whose rows come in the same order each time a task is run
+_FIXED = {"Project", "Filter", "Relation", "LogicalRelation", "LocalRelation", "SubqueryAlias", "Union"}
+
+
+def settled(docs: DataFrame) -> DataFrame:
+    """docs, written first if its rows may come in another order when a lost task is run again.
+
+    Blocks are named by partition and place, so what a task reads has to be the same each time; scans and what is narrow on top of them are.
+    """
+    names = {re.sub(r"^[\s:|+'-]*", "", line).split(" ")[0].split("[")[0] for line in docs._jdf.queryExecution().optimizedPlan().toString().splitlines()}
+    return docs if names <= _FIXED else keep(docs, "settled")
 
 
 def keep(df: DataFrame, what: str) -> DataFrame:
