@@ -273,15 +273,24 @@ def classes(docs: DataFrame, threshold: float = 0.8) -> DataFrame:
         pairs = prefix_pairs(sets, nodes, threshold)
         edges = edges.unionByName(shared.keep(verified(sets, pairs, threshold), "links"))
         label = components.components(edges)
-    named = signed.select("doc_id", "node").join(label, "node", "left").withColumn("label", F.coalesce("label", "node"))
-    names = named.groupBy("label").agg(F.min("doc_id").alias("class_id"), F.count("*").alias("class_size"))
-    return named.join(names, "label").select("doc_id", "node", F.col("label").alias("class_node"), "class_id", "class_size")
+    # texts first, then rows: what a large group has in common is sent to every task, not gathered in one
+    texts = signed.groupBy("node").agg(F.min("doc_id").alias("least"), F.count("*").alias("copies")).join(label, "node", "left")
+    texts = shared.keep(texts.withColumn("label", F.coalesce("label", "node")), "texts")
+    names = texts.groupBy("label").agg(F.min("least").alias("class_id"), F.sum("copies").alias("class_size"), F.count("*").alias("texts"))
+    named = shared.meet(texts, shared.keep(names, "names"), "label", "texts", texts.count())
+    named = shared.keep(named.select("node", F.col("label").alias("class_node"), "class_id", "class_size", "copies"), "classes")
+    return shared.meet(signed.select("doc_id", "node"), named, "node", "copies", signed.count()).select("doc_id", "node", "class_node", "class_id", "class_size")
 
 
 def keep_one(docs: DataFrame, threshold: float = 0.8) -> DataFrame:
-    """The documents less all but one of each class: the one with the least doc_id, then the least text hash; repeated rows once."""
-    found = classes(docs, threshold)
-    pos = F.coalesce(F.col("doc_id"), F.lit(-(1 << 63)))
-    chosen = found.withColumn("__pos", pos).groupBy("class_node").agg(F.min(F.struct("__pos", "node")).alias("m")).select(F.col("m.__pos").alias("__pos"), F.col("m.node").alias("__node"))
-    rows = docs.withColumn("__pos", F.coalesce(docs["doc_id"].cast("long"), F.lit(-(1 << 63)))).withColumn("__node", F.xxhash64(F.coalesce(docs["text"].cast("string"), F.lit(""))))
-    return rows.join(chosen, ["__pos", "__node"], "left_semi").dropDuplicates(["__pos", "__node"]).drop("__pos", "__node")
+    """The documents less all but one of each class: the one with the least doc_id (null before all), then the least text hash; repeated rows once."""
+    place, node = shared.free_name(docs, "place"), shared.free_name(docs, "node")
+    at = lambda c: F.struct(c.isNotNull().alias("known"), F.coalesce(c, F.lit(0).cast("long")).alias("id"))
+    found = classes(docs, threshold).select("class_node", F.struct(at(F.col("doc_id")).alias(place), F.col("node").alias(node)).alias("m"))
+    # a chosen row and how often it is repeated
+    rows = shared.keep(found.groupBy("class_node", "m").agg(F.count("*").alias("n")), "places")
+    chosen = rows.groupBy("class_node").agg(F.min(F.struct("m", "n")).alias("c")).select(F.col("c.m").alias("m"), F.col("c.n").alias("n"))
+    own = F.struct(at(docs["doc_id"].cast("long")).alias(place), F.xxhash64(F.coalesce(docs["text"].cast("string"), F.lit(""))).alias(node))
+    key = shared.free_name(docs, "m")
+    kept = shared.meet(docs.withColumn(key, own), shared.keep(chosen.withColumnRenamed("m", key), "chosen"), key, "n", docs.count(), semi=True)
+    return kept.dropDuplicates([key]).select(*(kept[f"`{c}`"] for c in docs.columns))

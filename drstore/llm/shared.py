@@ -19,6 +19,7 @@ import warnings
 from urllib.parse import urlparse
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 _own: list[tuple[SparkSession, str]] = []
 
@@ -98,6 +99,28 @@ def keep(df: DataFrame, what: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+#: A key that more than one row in so many has is met by sending its row to every task; there are fewer than this many.
+HOT_SHARE = 2000
+
+
+def meet(rows: DataFrame, table: DataFrame, key: str, weight: str, total: int, semi: bool = False) -> DataFrame:
+    """rows with the columns of table, whose keys are distinct and all matched; ``weight``: how many of the ``total`` rows have the key. ``semi``: rows alone."""
+    limit = total // HOT_SHARE
+    often, seldom = (table.where(F.col(weight) > limit).drop(weight), table.where(F.col(weight) <= limit).drop(weight))
+    if semi:
+        often, seldom = often.select(key), seldom.select(key)
+    how = "left_semi" if semi else "inner"
+    return rows.join(F.broadcast(often), key, how).unionByName(rows.join(F.broadcast(often.select(key)), key, "left_anti").join(seldom, key, how))
+
+
+def free_name(df: DataFrame, name: str) -> str:
+    """The name, with underscores before it until df has no such column."""
+    taken = {c.lower() for c in df.columns}
+    while name.lower() in taken:
+        name = "_" + name
+    return name
+
+
 def _remote(path: str):
     from pyarrow import fs
 
