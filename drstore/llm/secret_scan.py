@@ -4,25 +4,31 @@ Fixed patterns give the base spans. The method then looks at every maximal run o
 more characters, or what base spans leave of it: the part outside, or the whole run where a hex span alone leaves a part shorter
 than that (only the part outside becomes a span). Its encoding is inferred (hex, base32, base64 or decimal), and three tests ask
 whether it looks like uniform draws from that alphabet: chi-squared over the symbols, the number of runs above and
-below the middle of the alphabet, and the lag-one serial correlation. Their tail probabilities are joined into one score; a
+below the middle of the alphabet, and the lag-one serial correlation. For chi-squared the symbols stand in the order of how common letters are in
+ordinary text, so that classes of neighbours tell text from chance also in short runs. The tail probabilities are joined into one score; a
 high score means that uniform randomness is not refuted.
 
-What score is rare for ordinary text depends on length, so the control is by bands of length. Decoys - runs of letters of neighbouring words, which
-are not secrets, up to ``DECOYS`` for each run - are scored too, and ``REFERENCE`` runs of ordinary words a band join them, so that a
+What score is rare for ordinary text depends on length, so the control is by bands of length. Every run has up to ``DECOYS`` decoys of its own make: of the same
+length, with a digit, a capital, a small letter or a sign in the same places, but letters taken in turn from the neighbouring words (those
+that the run's encoding has) and digits from neighbouring or ordinary numbers. So a decoy differs from a run in nothing but where its symbols come from.
+``REFERENCE`` runs of ordinary words and names a band join them, so that a
 small table has a tail to compare with. The empirical p-value of a score is the decoys' share at or above it, with one added, in its band and the
 two beside it; the Benjamini-Hochberg rule over all runs, at ``fdr``, says which p-values pass. So one clear secret passes by
-itself. The histograms (bands x score bins) come from all documents and have a fixed size.
+itself; short ones need company or luck. The histograms (bands x score bins) come from all documents and have a fixed size.
 
 Null text is empty text and has no spans. Rows are independent of each other but for the thresholds; repeated rows give
-repeated results; an empty table gives an empty one. Spans are in code points, end exclusive.
+repeated results; an empty table gives an empty one; null doc_id is carried. Spans are in code points, end exclusive. A run meets the spans beside it
+alone, so a very long text costs no more a character than a short one.
 """
 
 from __future__ import annotations
 
 import functools
 import hashlib
+import itertools
 import math
 import re
+from bisect import bisect_left, bisect_right
 from collections.abc import Iterator
 
 import numpy as np
@@ -70,6 +76,17 @@ def infer_encoding(token: bytes) -> tuple[str, bytes]:
     return "base64url", _ALPHABETS[-1][1] + b"+/="
 
 
+#: letters from the most to the least common, over several languages
+_COMMON = "eaitnorsldcumphgbfvwkyzjxq"
+
+
+@functools.cache
+def common_first(letters: bytes) -> np.ndarray:
+    """The place of each symbol of an alphabet when the most common letters come first, both cases together, and digits and signs last."""
+    order = sorted(range(len(letters)), key=lambda i: (_COMMON.find(chr(letters[i]).lower()) % 99, letters[i]))
+    return np.argsort(order)
+
+
 def randomness(token: bytes) -> tuple[str, float, float, float]:
     """(encoding, p of chi-squared uniformity, p of the runs test, p of serial correlation)."""
     name, letters = infer_encoding(token)
@@ -80,8 +97,8 @@ def randomness(token: bytes) -> tuple[str, float, float, float]:
         return name, 1.0, 1.0, 1.0
     # symbols are pooled into at most n / 4 classes so that each has some expected count
     classes = max(2, min(a, n // 4))
-    got = np.bincount((v * classes / a).astype(int), minlength=classes)
-    share = np.bincount((np.arange(a) * classes / a).astype(int), minlength=classes) / a
+    of = common_first(letters) * classes // a
+    got, share = np.bincount(of[v.astype(int)], minlength=classes), np.bincount(of, minlength=classes) / a
     p_chi = _chi2_tail(float(((got - n * share) ** 2 / (n * share)).sum()), classes - 1)
     up = v >= a / 2
     n1, n2 = int(up.sum()), int(n - up.sum())
@@ -191,19 +208,56 @@ _LETTERS = np.zeros(256, bool)
 _LETTERS[[*range(65, 91), *range(97, 123)]] = True
 
 
-def _outside(p: int, q: int, spans: list[tuple[int, int, int]]) -> tuple[list[tuple[int, int]], bool]:
-    """(the parts of p..q outside the spans, whether the whole of p..q is to be scored); no parts if too little is left."""
-    touching = [x for x in spans if x[0] < q and p < x[1]]
-    pieces, at = [], p
-    for u, v, _ in touching:
-        if u > at:
-            pieces.append((at, u))
-        at = max(at, v)
-    if at < q:
-        pieces.append((at, q))
-    if sum(v - u for u, v in pieces) >= MIN_RUN:
-        return pieces, False
-    return (pieces, True) if all(k == 2 for *_, k in touching) else ([], False)
+class _Spans:
+    """Spans in order of their starts, asked for those that touch a run."""
+
+    def __init__(self, spans: list[tuple[int, int, int]]):
+        self.spans, self.starts = spans, [x[0] for x in spans]
+        self.reach = list(itertools.accumulate((x[1] for x in spans), max))
+
+    def outside(self, p: int, q: int) -> tuple[list[tuple[int, int]], bool]:
+        """(the parts of p..q outside the spans, whether the whole of p..q is to be scored); no parts if too little is left."""
+        touching = [x for x in self.spans[bisect_right(self.reach, p) : bisect_left(self.starts, q)] if x[1] > p]
+        pieces, at = [], p
+        for u, v, _ in touching:
+            if u > at:
+                pieces.append((at, u))
+            at = max(at, v)
+        if at < q:
+            pieces.append((at, q))
+        if sum(v - u for u, v in pieces) >= MIN_RUN:
+            return pieces, False
+        return (pieces, True) if all(k == 2 for *_, k in touching) else ([], False)
+
+
+#: digits of years and small numbers, in turn, where the neighbouring text has none
+_NUMBERS = np.frombuffer(b"19982004101220163652471001975202330601280", np.uint8)
+_DIGIT = np.zeros(256, bool)
+_DIGIT[48:58] = True
+
+
+def decoys_of(token: np.ndarray, letters: np.ndarray, digits: np.ndarray) -> Iterator[bytes]:
+    """Up to ``DECOYS`` runs with the classes of characters of the token, its letters and digits replaced by the next ones of ordinary text."""
+    alphabet = np.zeros(256, bool)
+    alphabet[list(infer_encoding(token.tobytes())[1])] = True
+    upper, lower, digit = (token >= 65) & (token <= 90), (token >= 97) & (token <= 122), _DIGIT[token]
+    both = upper | lower
+    low = letters | 32
+    low = low[alphabet[low] | alphabet[low & 0xDF]]
+    numbers = digits[alphabet[digits]]
+    if len(numbers) < digit.sum():
+        numbers = _NUMBERS[alphabet[_NUMBERS]]
+    n, m = int(both.sum()), int(digit.sum())
+    if n and len(low) < n:
+        return
+    for k in range(min(DECOYS, len(low) // n) if n else DECOYS if m else 0):
+        out = token.copy()
+        if n:
+            out[both] = low[k * n : (k + 1) * n]
+            out[upper] &= 0xDF
+        if m:
+            out[digit] = numbers[(7 * k + np.arange(m)) % len(numbers)]
+        yield out.tobytes()
 
 
 @tk.tidy
@@ -218,26 +272,26 @@ def _scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             a, e = a[keep], e[keep]
             docs = s.doc_of(a)
             points = tk.code_points(s) if len(a) else None
-            words = _LETTERS[s.data]  # letters of words, without those of runs
+            words = _LETTERS[s.data] | _DIGIT[s.data]  # letters and digits of words, without those of runs
             for x, y in zip(a.tolist(), e.tolist(), strict=True):
                 words[x:y] = False
+            beside: dict[int, _Spans] = {}
             for x, y, d in zip(a.tolist(), e.tolist(), docs.tolist(), strict=True):
                 begin = int(points[s.off[d]])
                 p, q = int(points[x]) - begin, int(points[y]) - begin
-                pieces, whole = _outside(p, q, spans[d])
+                if d not in beside:
+                    beside = {d: _Spans(spans[d])}  # runs come document by document
+                pieces, whole = beside[d].outside(p, q)
                 if not pieces:
                     continue
-                token = s.data[x:y].tobytes()  # one byte a code point
+                token = s.data[x:y]  # one byte a code point
                 if not whole:
-                    token = b"".join(token[u - p : v - p] for u, v in pieces)
-                n, w = len(token), score(token)
+                    token = np.concatenate([token[u - p : v - p] for u, v in pieces])
+                n, w = len(token), score(token.tobytes())
                 found[d] += [{"start": u, "end": v, "band": band(n), "score": w} for u, v in pieces]
-                u, v = max(x - 40 * n, int(s.off[d])), min(y + 40 * n, int(s.off[d + 1]))
-                letters = s.data[u:v][words[u:v]]
-                size = min(n, len(letters))
-                if size >= MIN_RUN:
-                    for at in range(0, min(len(letters) - size + 1, DECOYS * size), size):
-                        decoys[d].append(band(size) * BINS + score_bin(score(letters[at : at + size].tobytes())))
+                u, v = max(x - 80 * n, int(s.off[d])), min(y + 80 * n, int(s.off[d + 1]))
+                near = s.data[u:v][words[u:v]]
+                decoys[d] += [band(n) * BINS + score_bin(score(t)) for t in decoys_of(token, near[_LETTERS[near]], near[_DIGIT[near]])]
             yield pa.RecordBatch.from_arrays(
                 [
                     b.column(0).slice(i, j - i),
