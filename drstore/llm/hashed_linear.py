@@ -65,27 +65,48 @@ class Scorer:
         return z / z.sum(1, keepdims=True)
 
 
-def train(cuts: np.ndarray, number: np.ndarray, target: np.ndarray, epochs: int = 60, rate: float = 0.3, ridge: float = 1e-4) -> Scorer:
-    """target: (rows, classes) label distributions. Adaptive gradient steps over the whole sample."""
+def train(cuts: np.ndarray, number: np.ndarray, target: np.ndarray, epochs: int = 60, rate: float | np.ndarray = 0.3, ridge: float = 1e-4, size: int = N_FEATURES, weight: np.ndarray | None = None) -> Scorer:
+    """target: (rows, classes) label distributions; features are numbered below ``size``; ``weight``: how many rows each row stands for; ``rate``: of steps, for all features or each. Adaptive gradient steps over the whole sample."""
     n, classes = target.shape
     row = np.repeat(np.arange(n), np.diff(cuts))
-    model = Scorer(np.zeros((N_FEATURES, classes), np.float32), np.log(target.mean(0) + 1e-6) if n else np.zeros(classes))
+    part = np.full(n, 1 / max(n, 1)) if weight is None else weight / max(weight.sum(), 1e-12)
+    model = Scorer(np.zeros((size, classes), np.float32), np.log(part @ target + 1e-6) if n else np.zeros(classes))
     seen = np.zeros_like(model.weight)
     seen_bias = np.zeros(classes)
     for _ in range(epochs if n else 0):
-        err = (model.probabilities(cuts, number) - target) / n
+        err = (model.probabilities(cuts, number) - target) * part[:, None]
         for c in range(classes):
-            g = np.bincount(number, err[row, c], minlength=N_FEATURES).astype(np.float32) + np.float32(ridge / n) * model.weight[:, c]
+            g = np.bincount(number, err[row, c], minlength=size).astype(np.float32) + np.float32(ridge / n) * model.weight[:, c]
             seen[:, c] += g * g
             model.weight[:, c] -= rate * g / np.sqrt(seen[:, c] + 1e-12)
         g = err.sum(0)
         seen_bias += g * g
-        model.bias = model.bias - rate * g / np.sqrt(seen_bias + 1e-12)
+        model.bias = model.bias - np.max(rate) * g / np.sqrt(seen_bias + 1e-12)
     return model
 
 
-def sample_features(rows: DataFrame, target_columns: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Driver-side (cuts, numbers, targets) of a bounded sample: rows has text and numeric target columns."""
+def with_votes(cuts: np.ndarray, number: np.ndarray, v: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Features of documents and, behind them, one for each labeller's vote (-1, 0 or 1)."""
+    k = v.shape[1]
+    more = N_FEATURES + 3 * np.arange(k) + v + 1
+    return cuts + k * np.arange(len(cuts)), np.insert(number, np.repeat(cuts[1:], k), more.ravel())
+
+
+def as_lists(cuts: np.ndarray, number: np.ndarray) -> pa.ListArray:
+    return pa.ListArray.from_arrays(pa.array(cuts.astype(np.int32)), pa.array(number.astype(np.int32)))
+
+
+def collected(table: pa.Table, names: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(cuts, numbers, targets) of collected rows with a list f and numeric columns."""
+    f = table["f"].combine_chunks()
+    if isinstance(f, pa.ChunkedArray):
+        f = pa.concat_arrays(f.chunks) if f.num_chunks else pa.array([], pa.list_(pa.int32()))
+    cuts = np.concatenate([[0], np.cumsum(f.value_lengths().to_numpy(zero_copy_only=False))]).astype(np.int64) if len(f) else np.zeros(1, np.int64)
+    return cuts, f.flatten().to_numpy(zero_copy_only=False).astype(np.int64), np.column_stack([table[c].to_numpy() for c in names]) if names else np.zeros((len(f), 0))
+
+
+def sample_features(rows: DataFrame, target_columns: list[str], most: int = 100_000) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Driver-side (cuts, numbers, targets) of a bounded sample: rows has text and numeric target columns; at most ``most`` rows, however often an id is repeated."""
     names = target_columns
 
     @tk.tidy
@@ -93,12 +114,7 @@ def sample_features(rows: DataFrame, target_columns: list[str]) -> tuple[np.ndar
         for b in batches:
             for i, j, s, low in both_slabs(b.column(0)):
                 cuts, number, _ = features(s, low)
-                lists = pa.ListArray.from_arrays(pa.array(cuts.astype(np.int32)), pa.array(number.astype(np.int32)))
-                yield pa.RecordBatch.from_arrays([lists, *(b.column(k + 1).slice(i, j - i) for k in range(len(names)))], names=["f", *names])
+                yield pa.RecordBatch.from_arrays([as_lists(cuts, number), *(b.column(k + 1).slice(i, j - i) for k in range(len(names)))], names=["f", *names])
 
-    got = rows.select(rows["text"].cast("string").alias("text"), *(rows[c].cast("double").alias(c) for c in names)).mapInArrow(run, "f array<int>, " + ", ".join(f"{c} double" for c in names)).toArrow()
-    f = got["f"].combine_chunks()
-    if isinstance(f, pa.ChunkedArray):
-        f = pa.concat_arrays(f.chunks) if f.num_chunks else pa.array([], pa.list_(pa.int32()))
-    cuts = np.concatenate([[0], np.cumsum(f.value_lengths().to_numpy(zero_copy_only=False))]).astype(np.int64) if len(f) else np.zeros(1, np.int64)
-    return cuts, f.flatten().to_numpy(zero_copy_only=False).astype(np.int64), np.column_stack([got[c].to_numpy() for c in names]) if names else np.zeros((len(f), 0))
+    got = rows.select(rows["text"].cast("string").alias("text"), *(rows[c].cast("double").alias(c) for c in names)).mapInArrow(run, "f array<int>, " + ", ".join(f"{c} double" for c in names)).limit(most).toArrow()
+    return collected(got, names)
