@@ -242,10 +242,10 @@ def train(docs: DataFrame, fold: int = 5, max_rows: int = 1500) -> Model | None:
     if not sizes:
         return None
     langs = sorted(sizes)
-    u = F.pmod(F.xxhash64("doc_id"), F.lit(1 << 30)) / float(1 << 30)
+    u = F.pmod(F.xxhash64("doc_id", "text"), F.lit(1 << 30)) / float(1 << 30)
     rate = F.element_at(F.create_map(*(F.lit(x) for k, v in sizes.items() for x in (k, float(max_rows) / v))), F.col("lang"))
     sample = rows.where(u < rate)
-    calibrate = F.pmod(F.xxhash64(F.col("doc_id"), F.lit(1)), F.lit(6)) == 0
+    calibrate = F.pmod(F.xxhash64(F.col("doc_id"), F.col("text"), F.lit(1)), F.lit(6)) == 0
     counted = sample.where(~calibrate).select("lang", "text").mapInArrow(_count(langs), "lang int, key long, n long").groupBy("lang", "key").agg(F.sum("n").alias("n")).toPandas()
     if counted.empty:
         return None

@@ -228,7 +228,7 @@ def filter_documents(docs: DataFrame, labels: DataFrame, max_labelled: int = 20_
 def learn(stats: DataFrame, labels: DataFrame, max_labelled: int = 20_000, min_precision: float = 0.9, max_rules: int = 8, max_conditions: int = 3, min_cover: int = 3) -> RuleList:
     marked = labels.select(labels["doc_id"].cast("long").alias("doc_id"), (labels["quality"].cast("int") == 0).alias("__bad")).where("doc_id is not null and __bad is not null")
     marked = marked.orderBy(F.xxhash64("doc_id"), "doc_id", "__bad").limit(max_labelled)
-    rows = stats.join(marked, "doc_id").select("doc_id", "__bad", *COUNTS).toPandas()
+    rows = stats.join(marked, "doc_id").select("doc_id", "__bad", *COUNTS).limit(4 * max_labelled).toPandas()  # ids may be repeated
     rows = rows.sort_values(["doc_id", "__bad"]).reset_index(drop=True)
     if rows["__bad"].nunique() < 2:
         return RuleList()

@@ -48,7 +48,7 @@ def classifier(docs: DataFrame, labels: DataFrame, max_labelled: int = 8000) ->
     lab = lab.orderBy(F.xxhash64("doc_id"), "doc_id", "q", "t").limit(max_labelled)  # a bounded sample, small enough to send
     rows = docs.select(docs["doc_id"].cast("long").alias("doc_id"), docs["text"].cast("string").alias("text")).join(F.broadcast(lab), "doc_id")
     rows = rows.select("text", *(((F.col("q") == q) & (F.col("t") == t)).cast("double").alias(f"d{k}") for k, (q, t) in enumerate(DOMAINS)))
-    cuts, number, target = hl.sample_features(rows, [f"d{k}" for k in range(len(DOMAINS))])
+    cuts, number, target = hl.sample_features(rows, [f"d{k}" for k in range(len(DOMAINS))], 4 * max_labelled)
     keep = target.sum(1) > 0 if len(target) else np.zeros(0, bool)
     if not keep.any():
         return None
