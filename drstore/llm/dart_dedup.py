@@ -198,9 +198,27 @@ def rows_of(docs: DataFrame, text: str = "text") -> DataFrame:
     return docs.select(docs["doc_id"].cast("long").alias("doc_id"), F.xxhash64(t).alias("node"), t.alias("text"))
 
 
-def sets_of(docs: DataFrame, nodes: DataFrame) -> DataFrame:
-    """node, set, n: the packed sets of some nodes."""
-    texts = rows_of(docs).select("node", "text").join(nodes, "node", "left_semi")
+def _at(c):
+    """A doc_id that compares as a value, null before all."""
+    return F.struct(c.isNotNull().alias("known"), F.coalesce(c, F.lit(0).cast("long")).alias("id"))
+
+
+def _keyed(docs: DataFrame, name: str, text: str = "text") -> DataFrame:
+    """docs with a column that names a row by doc_id and text."""
+    return docs.withColumn(name, F.struct(_at(docs["doc_id"].cast("long")).alias("at"), F.xxhash64(F.coalesce(docs[text].cast("string"), F.lit(""))).alias("node")))
+
+
+def places_of(signed: DataFrame) -> DataFrame:
+    """node, at, n: rows that have the same text and doc_id, and how many they are."""
+    return signed.groupBy("node", _at(F.col("doc_id")).alias("at")).agg(F.count("*").alias("n"))
+
+
+def sets_of(docs: DataFrame, places: DataFrame, total: int) -> DataFrame:
+    """node, set, n: the packed sets of some nodes. places: node, at, n of one row for each node, so copies of a text do not travel."""
+    wanted = places.select(F.struct("at", "node").alias("key"), F.col("n").alias("often"))
+    rows = rows_of(docs)
+    rows = rows.select(F.struct(_at(F.col("doc_id")).alias("at"), "node").alias("key"), "node", "text")
+    texts = shared.meet(rows, wanted, "key", "often", total, semi=True).select("node", "text")
     return texts.mapInArrow(_sets, "node long, set binary, n int").groupBy("node").agg(F.first("set").alias("set"), F.first("n").alias("n"))
 
 
@@ -256,7 +274,9 @@ def classes(docs: DataFrame, threshold: float = 0.8) -> DataFrame:
     size = member.groupBy("key").agg(F.count("*").alias("size")).where("size > 1")
     member = shared.keep(member.join(size, "key"), "members")
     central = member.groupBy("node").agg(F.sum("size").alias("central"))
-    sets = shared.keep(sets_of(docs, central.select("node")), "sets")
+    total = signed.count()
+    one = places_of(signed).groupBy("node").agg(F.min(F.struct("at", "n")).alias("r")).select("node", "r.at", "r.n").join(central.select("node"), "node", "left_semi")
+    sets = shared.keep(sets_of(docs, shared.keep(one, "places"), total), "sets")
     member = shared.keep(member.join(central, "node"), "members")
     # every member of a band value against the most connected one
     lead = member.groupBy("key").agg(F.max(F.struct("central", "node")).alias("m")).select("key", F.col("m.node").alias("leader"))
@@ -279,18 +299,18 @@ def classes(docs: DataFrame, threshold: float = 0.8) -> DataFrame:
     names = texts.groupBy("label").agg(F.min("least").alias("class_id"), F.sum("copies").alias("class_size"), F.count("*").alias("texts"))
     named = shared.meet(texts, shared.keep(names, "names"), "label", "texts", texts.count())
     named = shared.keep(named.select("node", F.col("label").alias("class_node"), "class_id", "class_size", "copies"), "classes")
-    return shared.meet(signed.select("doc_id", "node"), named, "node", "copies", signed.count()).select("doc_id", "node", "class_node", "class_id", "class_size")
+    return shared.meet(signed.select("doc_id", "node"), named, "node", "copies", total).select("doc_id", "node", "class_node", "class_id", "class_size")
 
 
 def keep_one(docs: DataFrame, threshold: float = 0.8) -> DataFrame:
     """The documents less all but one of each class: the one with the least doc_id (null before all), then the least text hash; repeated rows once."""
-    place, node = shared.free_name(docs, "place"), shared.free_name(docs, "node")
-    at = lambda c: F.struct(c.isNotNull().alias("known"), F.coalesce(c, F.lit(0).cast("long")).alias("id"))
-    found = classes(docs, threshold).select("class_node", F.struct(at(F.col("doc_id")).alias(place), F.col("node").alias(node)).alias("m"))
-    # a chosen row and how often it is repeated
-    rows = shared.keep(found.groupBy("class_node", "m").agg(F.count("*").alias("n")), "places")
-    chosen = rows.groupBy("class_node").agg(F.min(F.struct("m", "n")).alias("c")).select(F.col("c.m").alias("m"), F.col("c.n").alias("n"))
-    own = F.struct(at(docs["doc_id"].cast("long")).alias(place), F.xxhash64(F.coalesce(docs["text"].cast("string"), F.lit(""))).alias(node))
-    key = shared.free_name(docs, "m")
-    kept = shared.meet(docs.withColumn(key, own), shared.keep(chosen.withColumnRenamed("m", key), "chosen"), key, "n", docs.count(), semi=True)
-    return kept.dropDuplicates([key]).select(*(kept[f"`{c}`"] for c in docs.columns))
+    found = classes(docs, threshold)
+    places = found.groupBy("class_node", "node", _at(F.col("doc_id")).alias("at")).agg(F.count("*").alias("n"))
+    chosen = places.groupBy("class_node").agg(F.min(F.struct("at", "node", "n")).alias("c"))
+    key = shared.free_name(docs, "key")
+    chosen = shared.keep(chosen.select(F.struct("c.at", "c.node").alias(key), F.col("c.n").alias("n")), "chosen")
+    rows = _keyed(docs, key)
+    # rows that are not repeated are met and done; the others meet in few tasks or in all, and one of each stays
+    once = rows.join(chosen.where("n = 1").select(key), key, "left_semi")
+    again = shared.meet(rows, chosen.where("n > 1"), key, "n", docs.count(), semi=True).dropDuplicates([key])
+    return once.unionByName(again).select(*(F.col(f"`{c}`") for c in docs.columns))
