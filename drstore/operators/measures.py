@@ -30,13 +30,14 @@ def lengths(factors: DataFrame) -> DataFrame:
 
 
 def length_stats(factors: DataFrame, s: int) -> DataFrame:
-    """Counts and means of factors: a literal covers one byte. Shares of matches under 100, up to the sample size, and in one V byte."""
+    """Counts and means of factors: a literal covers one byte, and literals are the byte values that the dictionary lacks. Shares of matches under 100, up to the sample size, and in one V byte."""
     match = F.col("len") > 0
     return lengths(factors).agg(
         F.count("*").alias("n_factors"),
         (F.sum(F.greatest("len", F.lit(1))) / F.count("*")).alias("avg_factor_len"),
         F.avg(F.when(match, F.col("len"))).alias("avg_match_len"),
         F.avg((~match).cast("double")).alias("literal_share"),
+        F.count_distinct(F.when(~match, F.col("pos"))).alias("absent_bytes"),
         F.avg((F.col("len") < 100).cast("double")).alias("under_100"),
         F.avg((F.col("len") <= s).cast("double")).alias("up_to_sample"),
         F.avg((F.col("len") < 128).cast("double")).alias("one_byte"),

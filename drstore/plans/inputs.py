@@ -33,17 +33,15 @@ def placed(spark: SparkSession, sf_dir: str, name: str, order: str = "natural")
     return col.with_offsets(coll, keys[order])
 
 
-def ascii_documents(spark: SparkSession, sf_dir: str, most: int | None = None) -> DataFrame:
-    """Documents of single-byte characters; of at most so many bytes."""
-    rows = load(spark, sf_dir, "documents").where("length(text) = octet_length(text)")
-    if most is not None:
-        rows = rows.where(F.octet_length("text") <= most)
-    return col.as_collection(rows, "doc_id", "text")
+def benchmark(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The whole table of benchmark texts, which are short."""
+    return col.as_collection(load(spark, sf_dir, "benchmark"), "item_id", "text")
 
 
 def dictionary(placed_: DataFrame, pct: float = 4.0, s: int = 512, kind: str = "even") -> dic.Dictionary:
     return dic.build(placed_, dic.DictSpec(pct=pct, s=s, kind=kind))
 
 
-def ascii_dictionary(spark: SparkSession, sf_dir: str, m: int = 2048, s: int = 256) -> dic.Dictionary:
-    return dic.build(col.with_offsets(ascii_documents(spark, sf_dir)), dic.DictSpec(m_bytes=m, s=s))
+def little_dictionary(spark: SparkSession, sf_dir: str, m: int = 2048, s: int = 256) -> dic.Dictionary:
+    """A dictionary of all documents, small enough for SQL to check by definition."""
+    return dic.build(placed(spark, sf_dir, "documents"), dic.DictSpec(m_bytes=m, s=s))

@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-import os
-import tempfile
 import uuid
 from collections.abc import Callable
 
@@ -17,6 +15,7 @@ from ..operators import baselines, factorize, measures, retrieval, semistatic, s
 from ..operators import collection as col
 from ..operators import dictionary as dic
 from ..operators.codecs import GRID, PAIR_CODECS
+from ..session import shared_folder, tasks_for
 from ..sources import datasource, store
 from ..sources.tables import load
 from . import inputs
@@ -38,8 +37,7 @@ def query(name: str, sql: str | None = None) -> Callable[[Query], Query]:
 
 def scratch(spark: SparkSession, what: str) -> str:
     """A new folder that driver and executors see."""
-    root = spark.conf.get("spark.checkpoint.dir", None) or "file://" + tempfile.gettempdir()
-    return f"{root.removeprefix('file://').removeprefix('file:').rstrip('/')}/drstore-{what}-{uuid.uuid4().hex}"
+    return f"{shared_folder(spark).removeprefix('file://').removeprefix('file:').rstrip('/')}/drstore-{what}-{uuid.uuid4().hex}"
 
 
 def digest(bodies: DataFrame) -> DataFrame:
@@ -48,7 +46,6 @@ def digest(bodies: DataFrame) -> DataFrame:
 
 DOC_DIGEST = "SELECT doc_id, md5(text) AS digest FROM documents"
 PAGE_DIGEST = "SELECT page_id AS doc_id, md5(html) AS digest FROM pages"
-ASCII = "SELECT doc_id, text FROM documents WHERE length(text) = octet_length(encode(text))"
 
 # -- collections
 
@@ -70,7 +67,10 @@ def _shuffled_offsets(spark, sf):
     return inputs.placed(spark, sf, "documents", "shuffled").select("doc_id", "ord", "start_off", "n_bytes")
 
 
-@query("host_order_documents")
+_BY_HOST = "array_to_string(list_reverse(string_split(regexp_extract(url, '^[a-z]+://([^/:?#]+)', 1), '.')), '.') || '/' || regexp_extract(url, '^[a-z]+://[^/?#]*([^#]*)', 1), page_id"
+
+
+@query("host_order_documents", _PLACES.format(id="page_id", by=_BY_HOST, text="html", table="pages"))
 def _host_order(spark, sf):
     return inputs.placed(spark, sf, "pages", "host").select("doc_id", "ord", "start_off", "n_bytes")
 
@@ -110,22 +110,28 @@ def _even_positions(spark, sf):
     return dic.even_samples(p, n * 2 // 100, 512, n).select("k", "start", F.octet_length("bytes").cast("long").alias("n_bytes"))
 
 
-_WHOLE = f"WITH a AS ({ASCII}), w AS (SELECT string_agg(text, '' ORDER BY doc_id) AS x FROM a), n AS (SELECT x, length(x) AS n FROM w)"
+#: all documents as one string of hexadecimal digits, two a byte
+_WHOLE = "WITH w AS (SELECT string_agg(hex(encode(text)), '' ORDER BY doc_id) AS x FROM documents), n AS (SELECT x, length(x) // 2 AS n FROM w)"
 
 
-@query("even_sample_bytes", _WHOLE + ", c AS (SELECT x, n, (n * 2 // 100) // 512 AS c FROM n) SELECT k, k * n // c AS start, md5(substr(x, CAST(k * n // c + 1 AS BIGINT), 512)) AS digest FROM c, range(0, (SELECT c FROM c)) AS r(k)")
+@query("even_sample_bytes", _WHOLE + ", c AS (SELECT x, n, (n * 2 // 100) // 512 AS c FROM n) SELECT k, k * n // c AS start, md5(unhex(substr(x, CAST(2 * (k * n // c) + 1 AS BIGINT), 1024))) AS digest FROM c, range(0, (SELECT c FROM c)) AS r(k)")
 def _even_bytes(spark, sf):
-    p = col.with_offsets(inputs.ascii_documents(spark, sf))
+    p = inputs.placed(spark, sf, "documents")
     n = col.total_bytes(p)
     return dic.even_samples(p, n * 2 // 100, 512, n).select("k", "start", F.md5("bytes").alias("digest"))
 
 
-_DICT = _WHOLE + ", c AS (SELECT x, n, 2048 // 256 AS c FROM n), d AS (SELECT string_agg(substr(x, CAST(k * n // c + 1 AS BIGINT), 256), '' ORDER BY k) AS d FROM c, range(0, 8) AS r(k))"
+def _bytes_as_text(digits: str) -> str:
+    """SQL of a string with one character for each byte, so that its functions count bytes."""
+    return f"array_to_string(list_transform(range(0, length({digits}) // 2), lambda i: chr(CAST('0x' || substr({digits}, 2 * i + 1, 2) AS INT))), '')"
 
 
-@query("dictionary_md5", _DICT + " SELECT CAST(length(d) AS BIGINT) AS m, md5(d) AS digest FROM d")
+_DICT = _WHOLE + ", c AS (SELECT x, n, 2048 // 256 AS c FROM n), dx AS (SELECT string_agg(substr(x, CAST(2 * (k * n // c) + 1 AS BIGINT), 512), '' ORDER BY k) AS dx FROM c, range(0, 8) AS r(k)), d AS (SELECT dx, " + _bytes_as_text("dx") + " AS d FROM dx)"
+
+
+@query("dictionary_md5", _DICT + " SELECT CAST(length(d) AS BIGINT) AS m, md5(unhex(dx)) AS digest FROM d")
 def _dictionary_md5(spark, sf):
-    d = inputs.ascii_dictionary(spark, sf)
+    d = inputs.little_dictionary(spark, sf)
     return spark.createDataFrame([(len(d.data), d.md5)], "m long, digest string")
 
 
@@ -191,33 +197,34 @@ _SUFFIXES = _DICT + " SELECT row_number() OVER (ORDER BY substr(d, p)) - 1 AS ra
 
 @query("suffix_array_distributed", _SUFFIXES)
 def _suffix_df(spark, sf):
-    return suffix.suffix_array_df(spark, inputs.ascii_dictionary(spark, sf).data)
+    return suffix.suffix_array_df(spark, inputs.little_dictionary(spark, sf).data)
 
 
 @query("suffix_array_local", _SUFFIXES)
 def _suffix_local(spark, sf):
-    sa = inputs.ascii_dictionary(spark, sf).sa
+    sa = inputs.little_dictionary(spark, sf).sa
     return spark.createDataFrame(pa.table({"rank": np.arange(len(sa)), "pos": sa.astype(np.int64)}))
 
 
 @query("substring_occurrences", _DICT + ", q AS (SELECT DISTINCT substr(d, k * 37 + 1, 3) AS pattern FROM d, range(0, 50) AS r(k)) SELECT pattern, (SELECT count(*) FROM range(1, 2047) AS r(p) WHERE substr(d, p, 3) = pattern) AS n FROM q, d")
 def _occurrences(spark, sf):
-    d = inputs.ascii_dictionary(spark, sf)
+    d = inputs.little_dictionary(spark, sf)
     s = suffix.Searcher(d.data, d.sa)
     words = sorted({d.data[k * 37 : k * 37 + 3] for k in range(50)})
-    return spark.createDataFrame([(w.decode(), s.occurrences(w)) for w in words], "pattern string, n long")
+    return spark.createDataFrame([(w.decode("latin-1"), s.occurrences(w)) for w in words], "pattern string, n long")
 
 
-@query("gram_index", _DICT + " SELECT upper(hex(encode(substr(d, p, 4)))) AS gram, count(*) AS n, min(p) - 1 AS first FROM d, range(1, 2046) AS r(p) GROUP BY 1")
+@query("gram_index", _DICT + " SELECT substr(dx, 2 * p - 1, 8) AS gram, count(*) AS n, min(p) - 1 AS first FROM d, range(1, 2046) AS r(p) GROUP BY 1")
 def _gram_index(spark, sf):
-    return suffix.gram_index_df(spark, inputs.ascii_dictionary(spark, sf).data, 4).select("gram", F.size("places").cast("long").alias("n"), F.array_min("places").cast("long").alias("first"))
+    return suffix.gram_index_df(spark, inputs.little_dictionary(spark, sf).data, 4).select("gram", F.size("places").cast("long").alias("n"), F.array_min("places").cast("long").alias("first"))
 
 
 # -- factors
 
-_SMALL = (
-    _DICT.replace("WITH a", "WITH RECURSIVE a", 1)
-    + """, s AS (SELECT doc_id, text FROM a WHERE octet_length(encode(text)) BETWEEN 1 AND 400),
+#: the factors of the whole benchmark table, whose texts are short, relative to the little dictionary of documents
+_FACTORS = (
+    _DICT.replace("WITH w", "WITH RECURSIVE w", 1)
+    + """, s AS (SELECT doc_id, """ + _bytes_as_text("h") + """ AS text FROM (SELECT item_id AS doc_id, hex(encode(text)) AS h FROM benchmark WHERE text <> '')),
 f AS (
   SELECT doc_id, text, 1 AS i, 0 AS seq, coalesce(list_max(list_filter(range(1, length(text) + 1), lambda k: contains(d, substr(text, 1, k)))), 0) AS len FROM s, d
   UNION ALL
@@ -225,66 +232,73 @@ f AS (
   FROM f, d WHERE i + greatest(len, 1) <= length(text)
 )"""
 )
+_POSITIONS = "CAST(CASE WHEN len = 0 THEN ascii(substr(text, i, 1)) ELSE (SELECT arg_min(p, substr(d, p)) - 1 FROM range(1, 2049) AS r(p) WHERE substr(d, p, len) = substr(text, i, len)) END AS BIGINT)"
 
 
-def _small_factors(spark, sf):
-    d = inputs.ascii_dictionary(spark, sf)
-    return d, factorize.factorize(inputs.ascii_documents(spark, sf, 400), d)
+def _benchmark_factors(spark, sf):
+    d = inputs.little_dictionary(spark, sf)
+    return d, factorize.factorize(inputs.benchmark(spark, sf), d)
 
 
 def _all_factors(spark, sf, **spec):
-    """Of all documents, whole and in bytes, as the queries without ``small`` have them."""
+    """Of all documents, whole and in bytes, as the queries without ``benchmark`` have them."""
     p = inputs.placed(spark, sf, "documents")
     d = dic.build(p, dic.DictSpec(**spec)) if spec else inputs.dictionary(p)
     return d, factorize.factorize(p, d)
 
 
-@query("factor_lengths_small", _SMALL + " SELECT doc_id, CAST(seq AS INT) AS seq, CAST(i - 1 AS BIGINT) AS doc_off, CAST(len AS INT) AS len FROM f")
+@query("factor_lengths_benchmark", _FACTORS + " SELECT doc_id, CAST(seq AS INT) AS seq, CAST(i - 1 AS BIGINT) AS doc_off, CAST(len AS INT) AS len FROM f")
 def _factor_lengths(spark, sf):
-    return factorize.factors_long(_small_factors(spark, sf)[1]).select("doc_id", "seq", "doc_off", "len")
+    return factorize.factors_long(_benchmark_factors(spark, sf)[1]).select("doc_id", "seq", "doc_off", "len")
 
 
 @query(
-    "factor_positions_small",
-    _SMALL + " SELECT f.doc_id, CAST(f.seq AS INT) AS seq, CAST(CASE WHEN len = 0 THEN ascii(substr(text, i, 1)) ELSE (SELECT arg_min(p, substr(d, p)) - 1 FROM range(1, 2049) AS r(p) WHERE substr(d, p, len) = substr(text, i, len)) END AS BIGINT) AS pos FROM f, d",
+    "factor_positions_benchmark",
+    _FACTORS + f" SELECT f.doc_id, CAST(f.seq AS INT) AS seq, {_POSITIONS} AS pos FROM f, d",
 )
 def _factor_positions(spark, sf):
-    return factorize.factors_long(_small_factors(spark, sf)[1]).select("doc_id", "seq", "pos")
+    return factorize.factors_long(_benchmark_factors(spark, sf)[1]).select("doc_id", "seq", "pos")
 
 
 _VB = "(1 + CAST({v} >= 128 AS INT) + CAST({v} >= 16384 AS INT) + CAST({v} >= 2097152 AS INT) + CAST({v} >= 268435456 AS INT))"
 
 
-@query("enc_ratio_uv_small", _SMALL + f", g AS (SELECT count(*) AS n_factors, CAST(sum(4 + {_VB.format(v='len')}) AS BIGINT) AS enc_bytes FROM f) SELECT n_factors, enc_bytes, (SELECT CAST(sum(length(text)) AS BIGINT) FROM s) AS raw_bytes FROM g")
+@query("enc_ratio_uv_benchmark", _FACTORS + f", g AS (SELECT count(*) AS n_factors, CAST(sum(4 + {_VB.format(v='len')}) AS BIGINT) AS enc_bytes FROM f) SELECT n_factors, enc_bytes, (SELECT CAST(sum(length(text)) AS BIGINT) FROM s) AS raw_bytes FROM g")
 def _uv_small(spark, sf):
-    d = inputs.ascii_dictionary(spark, sf)
-    enc = factorize.encode(inputs.ascii_documents(spark, sf, 400), d, "UV")
+    d = inputs.little_dictionary(spark, sf)
+    enc = factorize.encode(inputs.benchmark(spark, sf), d, "UV")
     return enc.agg(F.sum("n_factors").alias("n_factors"), F.sum(F.octet_length("pos_stream") + F.octet_length("len_stream")).alias("enc_bytes"), F.sum("n_bytes").alias("raw_bytes"))
 
 
-@query("avg_factor_len_small", _SMALL + " SELECT round(sum(greatest(len, 1)) / count(*), 9) AS avg_factor_len, round(avg(CASE WHEN len > 0 THEN len END), 9) AS avg_match_len, round(avg(CASE WHEN len = 0 THEN 1.0 ELSE 0.0 END), 9) AS literal_share FROM f")
+@query("avg_factor_len_benchmark", _FACTORS + " SELECT round(sum(greatest(len, 1)) / count(*), 9) AS avg_factor_len, round(avg(CASE WHEN len > 0 THEN len END), 9) AS avg_match_len, round(avg(CASE WHEN len = 0 THEN 1.0 ELSE 0.0 END), 9) AS literal_share, count(DISTINCT CASE WHEN len = 0 THEN substr(text, i, 1) END) AS absent_bytes, round(avg(CAST(len < 100 AS INT)), 9) AS under_100, round(avg(CAST(len <= 256 AS INT)), 9) AS up_to_sample, round(avg(CAST(len < 128 AS INT)), 9) AS one_byte FROM f")
 def _avg_small(spark, sf):
-    s = measures.length_stats(_small_factors(spark, sf)[1], 256)
-    return s.select(*(F.round(c, 9).alias(c) for c in ("avg_factor_len", "avg_match_len", "literal_share")))
+    s = measures.length_stats(_benchmark_factors(spark, sf)[1], 256)
+    return s.select("absent_bytes", *(F.round(c, 9).alias(c) for c in ("avg_factor_len", "avg_match_len", "literal_share", "under_100", "up_to_sample", "one_byte")))
+
 
+@query("position_skew_benchmark", _FACTORS + f", g AS (SELECT doc_id, len, {_POSITIONS} AS pos FROM f, d WHERE len > 0), b AS (SELECT doc_id, count(*) AS n, count(DISTINCT pos) AS u, count(DISTINCT (pos, len)) AS p FROM g GROUP BY 1) SELECT CAST(sum(n) AS BIGINT) AS n_matches, round(sum(u) / sum(n), 9) AS distinct_in_documents, round(1 - sum(p) / sum(n), 9) AS repeated_pairs_in_documents, round((SELECT count(DISTINCT pos) / count(*) FROM g), 9) AS distinct_overall FROM b")
+def _skew_benchmark(spark, sf):
+    s = measures.position_skew(_benchmark_factors(spark, sf)[1])
+    return s.select("n_matches", *(F.round(c, 9).alias(c) for c in ("distinct_in_documents", "repeated_pairs_in_documents", "distinct_overall")))
 
-@query("length_histogram_small", _SMALL + " SELECT CAST(CASE WHEN len < 100 THEN len ELSE len // 10 * 10 END AS BIGINT) AS bin, count(*) AS cnt FROM f GROUP BY 1")
+
+@query("length_histogram_benchmark", _FACTORS + " SELECT CAST(CASE WHEN len < 100 THEN len ELSE len // 10 * 10 END AS BIGINT) AS bin, count(*) AS cnt FROM f GROUP BY 1")
 def _histogram_small(spark, sf):
-    return measures.histogram(_small_factors(spark, sf)[1])
+    return measures.histogram(_benchmark_factors(spark, sf)[1])
 
 
-_USED = _SMALL + ", g AS (SELECT DISTINCT substr(text, i, len) AS w, len FROM f WHERE len > 0), h AS (SELECT arg_min(p, substr(d, p)) AS p, any_value(len) AS len FROM g, d, range(1, 2049) AS r(p) WHERE substr(d, p, len) = w GROUP BY w), u AS (SELECT count(DISTINCT p + k) AS used FROM h, range(0, 400) AS r(k) WHERE k < len) SELECT CAST(2048 AS BIGINT) AS m, used AS used_bytes, round(100.0 * (2048 - used) / 2048, 6) AS unused_pct FROM u"
+_USED = _FACTORS + ", g AS (SELECT DISTINCT substr(text, i, len) AS w, len FROM f WHERE len > 0), h AS (SELECT arg_min(p, substr(d, p)) AS p, any_value(len) AS len FROM g, d, range(1, 2049) AS r(p) WHERE substr(d, p, len) = w GROUP BY w), u AS (SELECT count(DISTINCT p + k) AS used FROM h, range(0, 400) AS r(k) WHERE k < len) SELECT CAST(2048 AS BIGINT) AS m, used AS used_bytes, round(100.0 * (2048 - used) / 2048, 6) AS unused_pct FROM u"
 
 
-@query("unused_pct_small", _USED)
+@query("unused_pct_benchmark", _USED)
 def _unused_small(spark, sf):
-    d, f = _small_factors(spark, sf)
+    d, f = _benchmark_factors(spark, sf)
     return measures.unused_pct(f, len(d.data)).withColumn("unused_pct", F.round("unused_pct", 6))
 
 
-@query("unused_pct_bitmap_small", _USED)
+@query("unused_pct_bitmap_benchmark", _USED)
 def _unused_bitmap(spark, sf):
-    d, f = _small_factors(spark, sf)
+    d, f = _benchmark_factors(spark, sf)
     return measures.unused_pct_bitmap(f, len(d.data)).withColumn("unused_pct", F.round("unused_pct", 6))
 
 
@@ -294,12 +308,6 @@ def _mergeable(spark, sf):
     return factorize.mergeable(_all_factors(spark, sf)[1])
 
 
-@query("decode_builtin_small", "SELECT doc_id, md5(text) AS digest FROM documents WHERE length(text) = octet_length(encode(text)) AND length(text) <= 400")
-def _decode_sql(spark, sf):
-    d, f = _small_factors(spark, sf)
-    return digest(factorize.decode_sql(f, d))
-
-
 # the same over all documents; SQL would be too slow for the factors themselves
 
 
@@ -382,12 +390,7 @@ for _codec in (*PAIR_CODECS, "Zi", "US", "UP", "FV"):
 query("roundtrip_ZZ_pages_url_order", PAGE_DIGEST)(_roundtrip("ZZ", "pages", "url"))
 
 
-@query("roundtrip_codec_grid", f"SELECT codec, doc_id, md5(text) AS digest FROM documents, (VALUES {', '.join(f'({c!r})' for c in GRID)}) AS t(codec) WHERE length(text) = octet_length(encode(text)) AND length(text) <= 400")
-def _grid(spark, sf):
-    return _codecs(*_small_factors(spark, sf))
-
-
-@query("roundtrip_codec_grid_documents", f"SELECT codec, doc_id, md5(text) AS digest FROM documents, (VALUES {', '.join(f'({c!r})' for c in GRID)}) AS t(codec)")
+@query("roundtrip_codec_grid", f"SELECT codec, doc_id, md5(text) AS digest FROM documents, (VALUES {', '.join(f'({c!r})' for c in GRID)}) AS t(codec)")
 def _all_grid(spark, sf):
     return _codecs(*_all_factors(spark, sf))
 
@@ -426,43 +429,38 @@ def _primed(spark, sf):
     return digest(baselines.open_primed(baselines.primed(p, d), d))
 
 
-_TINY = "SELECT doc_id, md5(text) AS digest FROM documents WHERE length(text) = octet_length(encode(text)) AND length(text) <= {}"
-
-
-def _each(spark, sf, most: int | None, f: Callable[[bytes], bytes]) -> DataFrame:
-    """Documents of single-byte characters and at most so many bytes, or all."""
-
+def _each(spark, sf, f: Callable[[bytes], bytes]) -> DataFrame:
     def run(batches):
         for b in batches:
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array([f(x) for x in b.column(1).to_pylist()], pa.binary())], names=["doc_id", "body"])
 
-    rows = inputs.documents(spark, sf) if most is None else inputs.ascii_documents(spark, sf, most)
-    return digest(rows.select("doc_id", "body").mapInArrow(run, "doc_id long, body binary"))
+    rows = inputs.documents(spark, sf)
+    return digest(rows.repartition(tasks_for(rows)).select("doc_id", "body").mapInArrow(run, "doc_id long, body binary"))
 
 
-@query("window_lz_roundtrip", _TINY.format(2000))
-def _window_lz(spark, sf, most: int | None = 2000):
+@query("window_lz_roundtrip", DOC_DIGEST)
+def _window_lz(spark, sf):
     from ..operators.lz import undo_window_lz, window_lz
 
-    return _each(spark, sf, most, lambda x: undo_window_lz(window_lz(x)))
+    return _each(spark, sf, lambda x: undo_window_lz(window_lz(x)))
 
 
-@query("pair_grammar_roundtrip", _TINY.format(400))
-def _grammar(spark, sf, most: int | None = 400):
+@query("pair_grammar_roundtrip", DOC_DIGEST)
+def _grammar(spark, sf):
     from ..operators.lz import pair_grammar, undo_pair_grammar
 
-    return _each(spark, sf, most, lambda x: undo_pair_grammar(*pair_grammar(x, 40)))
+    return _each(spark, sf, lambda x: undo_pair_grammar(*pair_grammar(x, 40)))
 
 
-@query("end_aligned_lz_roundtrip", _TINY.format(300))
-def _end_aligned(spark, sf, most: int | None = 300):
+@query("end_aligned_lz_roundtrip", DOC_DIGEST)
+def _end_aligned(spark, sf):
     from ..operators.lz import end_aligned, open_end_aligned
 
-    return _each(spark, sf, most, lambda x: open_end_aligned(end_aligned(x), 0, len(x)))
+    return _each(spark, sf, lambda x: open_end_aligned(end_aligned(x), 0, len(x)))
 
 
-@query("dynamic_dense_roundtrip", _TINY.format(2000))
-def _dynamic(spark, sf, most: int | None = 2000):
+@query("dynamic_dense_roundtrip", DOC_DIGEST)
+def _dynamic(spark, sf):
     import re
 
     def both(x: bytes) -> bytes:
@@ -471,24 +469,22 @@ def _dynamic(spark, sf, most: int | None = 2000):
         light = semistatic.undo_dynamic_dense(semistatic.dynamic_dense(words, True), True)
         return "".join(plain).encode() if plain == light else b"differs"
 
-    return _each(spark, sf, most, both)
-
-
-for _name, _run in (("window_lz", _window_lz), ("pair_grammar", _grammar), ("end_aligned_lz", _end_aligned), ("dynamic_dense", _dynamic)):
-    query(f"{_name}_roundtrip_documents", DOC_DIGEST)(lambda spark, sf, run=_run: run(spark, sf, None))
+    return _each(spark, sf, both)
 
 
-@query("decode_range", "SELECT doc_id, md5(substr(text, length(text) // 3 + 1, 64)) AS digest FROM documents WHERE length(text) = octet_length(encode(text))")
+@query("decode_range", "SELECT doc_id, md5(unhex(substr(hex(encode(text)), 2 * (octet_length(encode(text)) // 3) + 1, 128))) AS digest FROM documents")
 def _range(spark, sf):
-    p = inputs.ascii_documents(spark, sf)
-    d = inputs.ascii_dictionary(spark, sf)
+    p = inputs.documents(spark, sf)
+    d = inputs.little_dictionary(spark, sf)
     enc = factorize.encode(p, d, "ZV").withColumn("start", F.floor(F.col("n_bytes") / 3)).withColumn("size", F.lit(64))
     return factorize.decode_slices(enc, d).select("doc_id", F.md5("part").alias("digest"))
 
 
 @query("snippet", "SELECT doc_id, CAST(position('ing' IN lower(text)) AS INT) AS at, substr(text, greatest(1, position('ing' IN lower(text)) - 20), position('ing' IN lower(text)) - greatest(1, position('ing' IN lower(text)) - 20) + 23) AS snippet FROM documents WHERE contains(lower(text), 'ing')")
 def _snippet(spark, sf):
-    return store.snippet(inputs.documents(spark, sf), "ing", 20)
+    """From the encoded store."""
+    _, d, path = _written(spark, sf)
+    return store.snippet(store.decode_all(store.read_store(spark, path), d), "ing", 20)
 
 
 # -- sizes in closed form
@@ -598,28 +594,53 @@ def _absent(spark, sf):
     return store.retrieve(store.read_store(spark, path), d, asked).select("req_no", "doc_id", F.md5("body").alias("digest"))
 
 
-@query("retrieve_from_blocks", "SELECT doc_id AS req_no, doc_id, md5(text) AS digest FROM documents WHERE doc_id % 17 = 3")
-def _from_blocks(spark, sf, which: str = "doc_id % 17 = 3"):
+_ALL_ASKED = "SELECT doc_id AS req_no, doc_id, md5(text) AS digest FROM documents"
+
+
+@query("retrieve_each_from_blocks", _ALL_ASKED)
+def _each_from_blocks(spark, sf):
+    """Every request opens its block by itself."""
     p = inputs.placed(spark, sf, "documents")
-    asked = p.where(which).select(F.col("doc_id").alias("req_no"), "doc_id")
+    asked = p.select(F.col("doc_id").alias("req_no"), "doc_id")
+    return baselines.read_blocked_each(baselines.blocked_store(p, "zlib", 100_000), "zlib", asked).select("req_no", "doc_id", F.md5("body").alias("digest"))
+
+
+@query("retrieve_each", _ALL_ASKED)
+def _retrieve_each(spark, sf):
+    """Every request is decoded by itself."""
+    p, d, path = _written(spark, sf)
+    asked = p.select(F.col("doc_id").alias("req_no"), "doc_id")
+    return store.retrieve_each(store.read_store(spark, path), d, asked).select("req_no", "doc_id", F.md5("body").alias("digest"))
+
+
+@query("get_one_by_one", "SELECT doc_id, md5(text) AS digest FROM documents ORDER BY doc_id LIMIT 5")
+def _get(spark, sf):
+    """Single documents by id; five calls."""
+    p, d, path = _written(spark, sf)
+    rows = store.read_store(spark, path)
+    ids = [r["doc_id"] for r in p.select("doc_id").orderBy("doc_id").limit(5).collect()]
+    import hashlib
+
+    return spark.createDataFrame([(i, hashlib.md5(store.get(rows, d, i)).hexdigest()) for i in ids], "doc_id long, digest string")
+
+
+@query("retrieve_from_blocks", _ALL_ASKED)
+def _from_blocks(spark, sf):
+    p = inputs.placed(spark, sf, "documents")
+    asked = p.select(F.col("doc_id").alias("req_no"), "doc_id")
     return baselines.read_blocked(baselines.blocked_store(p, "zlib", 100_000), "zlib", asked).select("req_no", "doc_id", F.md5("body").alias("digest"))
 
 
-@query("retrieve_by_offset", "SELECT doc_id AS req_no, doc_id, md5(text) AS digest FROM documents WHERE doc_id % 17 = 5")
-def _by_offset(spark, sf, which: str = "doc_id % 17 = 5"):
+@query("retrieve_by_offset", _ALL_ASKED)
+def _by_offset(spark, sf):
     p = inputs.placed(spark, sf, "documents")
     d = inputs.dictionary(p)
     path = scratch(spark, "segments")
     docmap = store.write_segments(factorize.encode(p, d, "UV"), path)
-    asked = p.where(which).select(F.col("doc_id").alias("req_no"), "doc_id")
+    asked = p.select(F.col("doc_id").alias("req_no"), "doc_id")
     return store.retrieve_by_offset(path, docmap, asked, d).select("req_no", "doc_id", F.md5("body").alias("digest"))
 
 
-_ALL_ASKED = "SELECT doc_id AS req_no, doc_id, md5(text) AS digest FROM documents"
-query("retrieve_all_from_blocks", _ALL_ASKED)(lambda spark, sf: _from_blocks(spark, sf, "true"))
-query("retrieve_all_by_offset", _ALL_ASKED)(lambda spark, sf: _by_offset(spark, sf, "true"))
-
-
 @query("raw_docmap", f"SELECT doc_id, CAST(doc_id % 8 AS INT) AS segment, CAST(sum(octet_length(encode(text))) OVER (PARTITION BY doc_id % 8 ORDER BY doc_id) - octet_length(encode(text)) AS BIGINT) AS byte_off, CAST(octet_length(encode(text)) AS BIGINT) AS byte_len FROM documents")
 def _docmap(spark, sf):
     return store.build_docmap(inputs.documents(spark, sf).select("doc_id", (F.col("doc_id") % 8).cast("int").alias("segment"), F.col("n_bytes").alias("byte_len")))
@@ -638,16 +659,13 @@ def _store_audit(spark, sf):
     return own.exceptAll(back).unionByName(back.exceptAll(own))
 
 
-@query("data_source_scan", "SELECT doc_id, octet_length(encode(text)) AS n_bytes, md5(text) AS digest FROM documents WHERE doc_id BETWEEN 100 AND 180 AND doc_id <> 150")
-def _data_source(spark, sf, which: str = "doc_id >= 100 and doc_id <= 180 and doc_id <> 150"):
+@query("data_source_scan", "SELECT doc_id, octet_length(encode(text)) AS n_bytes, md5(text) AS digest FROM documents")
+def _data_source(spark, sf):
     _, d, path = _written(spark, sf)
     d.save(path + "-dictionary")
     datasource.register(spark)
     rows = spark.read.format("drstore").option("path", path).option("dictionary", path + "-dictionary").load()
-    return rows.where(which).select("doc_id", "n_bytes", F.md5("body").alias("digest"))
-
-
-query("data_source_scan_all", "SELECT doc_id, octet_length(encode(text)) AS n_bytes, md5(text) AS digest FROM documents")(lambda spark, sf: _data_source(spark, sf, "true"))
+    return rows.select("doc_id", "n_bytes", F.md5("body").alias("digest"))
 
 
 @query("sql_functions", "SELECT doc_id, CAST(octet_length(encode(text)) AS INT) AS n_bytes, md5(text) AS digest FROM documents WHERE lang = 'en'")
@@ -696,13 +714,32 @@ def _costs(spark, sf, freqs: list[tuple[str, DataFrame]], raw: int) -> DataFrame
     return out
 
 
-@query("huffman_costs")
+def _huffman_sql(symbols: str, code: str, arity: int, bits: int) -> str:
+    """The least weights are merged again and again; a code's length in digits is the sum of all merged weights."""
+    return f"""SELECT '{code}' AS code, (SELECT count(*) FROM {symbols}) AS symbols, (SELECT CAST(sum(freq) AS BIGINT) FROM {symbols}) AS occurrences, CAST(max(total) * {bits} AS BIGINT) AS coded_bits FROM (
+WITH RECURSIVE m AS (
+  SELECT list_sort(list(freq)) AS l, 2 + (count(*) - 2) % ({arity} - 1) AS k, CAST(0 AS BIGINT) AS total FROM {symbols}
+  UNION ALL
+  SELECT list_sort(list_append(l[k + 1:], CAST(list_sum(l[:k]) AS BIGINT))), {arity}, total + CAST(list_sum(l[:k]) AS BIGINT) FROM m WHERE len(l) > 1
+) SELECT total FROM m)"""
+
+
+_CHARS = "ch AS (SELECT symbol, count(*) AS freq FROM (SELECT unnest(string_split(text, '')) AS symbol FROM documents) WHERE symbol <> '' GROUP BY 1)"
+
+
+@query("huffman_costs", f"WITH {_SYM}, {_CHARS}, c AS ({_huffman_sql('ch', 'char bit', 2, 1)} UNION ALL {_huffman_sql('fq', 'word byte', 256, 8)} UNION ALL {_huffman_sql('fq', 'word tagged', 128, 8)}) SELECT code, symbols, occurrences, CAST((coded_bits + 7) // 8 AS BIGINT) AS coded_bytes, round(100.0 * ((coded_bits + 7) // 8) / {_N}, 4) AS pct FROM c")
 def _huffman(spark, sf):
-    """Characters and words in bits, words in plain (256) and tagged (128) bytes."""
+    """Characters in bits, words in plain (256) and tagged (128) bytes."""
     raw = col.total_bytes(inputs.documents(spark, sf))
     words = _word_freq(spark, sf)
     chars = semistatic.frequencies(semistatic.symbols(load(spark, sf, "documents"), "char"))
-    return _costs(spark, sf, [("char bit", chars, 2, 1), ("word bit", words, 2, 1), ("word byte", words, 256, 8), ("word tagged", words, 128, 8)], raw)
+    return _costs(spark, sf, [("char bit", chars, 2, 1), ("word byte", words, 256, 8), ("word tagged", words, 128, 8)], raw)
+
+
+@query("huffman_word_bits")
+def _huffman_words(spark, sf):
+    """Words in bits; merging them two by two is too long for SQL."""
+    return _costs(spark, sf, [("word bit", _word_freq(spark, sf), 2, 1)], col.total_bytes(inputs.documents(spark, sf)))
 
 
 @query("dense_pair_and_phrase_costs")

@@ -95,18 +95,15 @@ def _stream_dedup(spark, sf):
     return _drain(spark, rq.deduplicated(e, ["event_id"], True).groupBy().agg(F.count("*").alias("requests")), "complete")
 
 
-@query("stream_stream_join", "SELECT event_id, ts, ts + INTERVAL 5 MINUTE AS rts FROM events WHERE event_id % 3 = 0")
-def _stream_stream(spark, sf, which: str = "event_id % 3 = 0"):
-    """Responses five minutes after every third request (or others), joined within ten minutes."""
+@query("stream_stream_join", "SELECT event_id, ts, ts + INTERVAL 5 MINUTE AS rts FROM events")
+def _stream_stream(spark, sf):
+    """A response five minutes after every request, joined within ten minutes."""
     a = _stream(spark, sf, "events", 1).select("event_id", F.col("ts").cast("timestamp").alias("ts"))
-    b = _stream(spark, sf, "events", 1).where(which).select("event_id", (F.col("ts").cast("timestamp") + F.expr("INTERVAL 5 MINUTES")).alias("rts"))
+    b = _stream(spark, sf, "events", 1).select("event_id", (F.col("ts").cast("timestamp") + F.expr("INTERVAL 5 MINUTES")).alias("rts"))
     return _drain(spark, rq.answered(a, b), "append")
 
 
-query("stream_stream_join_all", "SELECT event_id, ts, ts + INTERVAL 5 MINUTE AS rts FROM events")(lambda spark, sf: _stream_stream(spark, sf, "true"))
-
-
-@query("stream_ratio_drift")
+@query("stream_ratio_drift", "SELECT event_type AS grp, count(*) AS n FROM events GROUP BY 1")
 def _drift(spark, sf):
     """The smoothed value of each event type as the stream's state ends."""
     from ..streaming.append import ratio_drift
@@ -160,23 +157,19 @@ def _outer(spark, sf):
 
 @query(
     "join_ranges_by_stripe",
-    "WITH p AS (SELECT doc_id, sum(octet_length(encode(text))) OVER (ORDER BY doc_id) - octet_length(encode(text)) AS s, octet_length(encode(text)) AS b FROM documents), w AS (SELECT k, CAST(k * 25000 AS BIGINT) AS ws, CAST(k * 25000 + 700 AS BIGINT) AS we FROM range(0, 1000) AS r(k)) SELECT k, doc_id FROM w JOIN p ON s < we AND s + b > ws AND ws < (SELECT sum(b) FROM p)",
+    "WITH p AS (SELECT doc_id, sum(octet_length(encode(text))) OVER (ORDER BY doc_id) - octet_length(encode(text)) AS s, octet_length(encode(text)) AS b FROM documents), w AS (SELECT k, CAST(k * 25000 AS BIGINT) AS ws, CAST(k * 25000 + 700 AS BIGINT) AS we FROM range(0, (SELECT CAST((sum(b) + 24999) // 25000 AS BIGINT) FROM p)) AS r(k)) SELECT k, doc_id FROM w JOIN p ON s < we AND s + b > ws",
 )
-def _ranges(spark, sf, windows: int | None = 1000):
-    """Windows that overlap documents: both sides go to stripes of the line, and the equality on stripes carries the join."""
+def _ranges(spark, sf):
+    """Windows over the whole line that overlap documents: both sides go to stripes of the line, and the equality on stripes carries the join."""
     stripe = 8192
     p = inputs.placed(spark, sf, "documents").where("n_bytes > 0").select("doc_id", F.col("start_off").alias("s"), (F.col("start_off") + F.col("n_bytes")).alias("e"))
-    if windows is None:  # as many as reach over all documents
-        windows = -(-(p.agg(F.max("e")).first()[0] or 0) // 25000)
+    windows = -(-(p.agg(F.max("e")).first()[0] or 0) // 25000)
     w = spark.range(windows).select(F.col("id").alias("k"), (F.col("id") * 25000).alias("ws"), (F.col("id") * 25000 + 700).alias("we"))
     p = p.withColumn("g", F.explode(F.sequence(F.floor(F.col("s") / stripe), F.floor((F.col("e") - 1) / stripe))))
     w = w.withColumn("g", F.explode(F.sequence(F.floor(F.col("ws") / stripe), F.floor((F.col("we") - 1) / stripe))))
     return w.join(p, (w["g"] == p["g"]) & (F.col("s") < F.col("we")) & (F.col("e") > F.col("ws"))).select("k", "doc_id").distinct()
 
 
-query("join_ranges_by_stripe_all")(lambda spark, sf: _ranges(spark, sf, None))
-
-
 @query("join_lateral_top", "SELECT n_nationkey, c_custkey FROM nation, LATERAL (SELECT c_custkey FROM customer WHERE c_nationkey = n_nationkey ORDER BY c_acctbal DESC, c_custkey LIMIT 3)")
 def _lateral(spark, sf):
     register(spark, sf)
