@@ -7,7 +7,7 @@ from collections.abc import Callable
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions import udfs
@@ -668,12 +668,12 @@ def _data_source(spark, sf):
     return rows.select("doc_id", "n_bytes", F.md5("body").alias("digest"))
 
 
-@query("sql_functions", "SELECT doc_id, CAST(octet_length(encode(text)) AS INT) AS n_bytes, md5(text) AS digest FROM documents WHERE lang = 'en'")
+@query("sql_functions", "SELECT doc_id, CAST(octet_length(encode(text)) AS INT) AS n_bytes, md5(text) AS digest FROM documents")
 def _sql(spark, sf):
     p = inputs.placed(spark, sf, "documents")
     udfs.register(spark, inputs.dictionary(p, 1.0))
     load(spark, sf, "documents").createOrReplaceTempView("drstore_documents")
-    return spark.sql("SELECT doc_id, octet_length(b) AS n_bytes, md5(b) AS digest FROM (SELECT doc_id, drf_decode(drf_factorize(encode(text, 'UTF-8'))) AS b FROM drstore_documents WHERE lang = 'en')")
+    return spark.sql("SELECT doc_id, octet_length(b) AS n_bytes, md5(b) AS digest FROM (SELECT doc_id, drf_decode(drf_factorize(encode(text, 'UTF-8'))) AS b FROM drstore_documents)")
 
 
 # -- semi-static codes
@@ -700,6 +700,25 @@ def _profile(spark, sf):
     return semistatic.vocabulary_profile(semistatic.symbols(load(spark, sf, "documents"), "word"))
 
 
+@query(
+    "w17_vocabulary_growth",
+    f"WITH p AS (SELECT text, start_off, CAST(10 * start_off // sum(n_bytes) OVER () AS BIGINT) AS tenth FROM (SELECT *, octet_length(encode(text)) AS n_bytes, sum(octet_length(encode(text))) OVER (ORDER BY doc_id) - octet_length(encode(text)) AS start_off FROM documents)), "
+    + r"sym AS (SELECT tenth, unnest(regexp_extract_all(text, '[\p{L}\p{N}]+|[^\p{L}\p{N}]+')) AS symbol FROM p), fst AS (SELECT symbol, min(tenth) AS tenth FROM sym GROUP BY 1), n AS (SELECT tenth, count(*) AS fresh FROM fst GROUP BY 1), o AS (SELECT tenth, count(*) AS seen FROM sym GROUP BY 1) "
+    + "SELECT tenth, CAST(sum(coalesce(fresh, 0)) OVER (ORDER BY tenth) AS BIGINT) AS symbols, CAST(sum(seen) OVER (ORDER BY tenth) AS BIGINT) AS occurrences FROM o LEFT JOIN n USING (tenth)",
+)
+def _growth(spark, sf):
+    """Distinct symbols of the first tenth of the collection, of the first two, and so on: a symbol counts from the tenth where it comes first."""
+    p = inputs.placed(spark, sf, "documents")
+    n = max(col.total_bytes(p), 1)
+    tenths = p.select("doc_id", F.floor(10 * F.col("start_off").cast("decimal(38,0)") / n).cast("long").alias("tenth"), F.decode("body", "UTF-8").alias("text"))
+    words = F.expr(r"regexp_extract_all(text, '[\\p{L}\\p{N}]+|[^\\p{L}\\p{N}]+', 0)")
+    by = tenths.select("tenth", F.explode(words).alias("symbol")).groupBy("symbol", "tenth").agg(F.count("*").alias("n"))
+    fresh = by.groupBy("symbol").agg(F.min("tenth").alias("tenth")).groupBy("tenth").agg(F.count("*").alias("fresh"))
+    rows = by.groupBy("tenth").agg(F.sum("n").alias("seen")).join(fresh, "tenth", "left")
+    w = Window.orderBy("tenth")  # ten rows
+    return rows.select("tenth", F.sum(F.coalesce("fresh", F.lit(0))).over(w).cast("long").alias("symbols"), F.sum("seen").over(w).cast("long").alias("occurrences"))
+
+
 @query("character_frequencies", "SELECT symbol, count(*) AS freq FROM (SELECT unnest(string_split(text, '')) AS symbol FROM documents) WHERE symbol <> '' GROUP BY 1")
 def _char_freq(spark, sf):
     return semistatic.frequencies(semistatic.symbols(load(spark, sf, "documents"), "char"))

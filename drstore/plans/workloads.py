@@ -1,4 +1,4 @@
-"""The paper's experiments on the given tables. Each returns rows (config columns ..., measures) and is registered as a query without SQL.
+"""The paper's experiments on the given tables. Each returns rows (config columns ..., measures) and is registered as a query without SQL. Speeds are seconds of whole runs on the machine at hand.
 
 pages stand in for the web crawl, documents for the encyclopedia. Dictionary sizes go by ratio: the published classes (S, M, L) and the wide set 1, 2, 4, 8 %, never
 mixed in one table. Grids leave out sizes that have no room for two samples.
@@ -143,16 +143,22 @@ def _w13(spark, sf, cap: int = 100_000):
 
 @query("w14_appends")
 def _w14(spark, sf):
-    """The last 30 % of documents arrive in three batches; ratio, action and version of each."""
-    from ..streaming.append import Appender
+    """A store of the most frequent language, to which the others are appended, one a batch: the ratio drifts, the dictionary is extended, and where it has no more room
+    the store is rebuilt."""
+    from ..streaming.append import Appender, Monitor
 
-    base = inputs.documents(spark, sf).where("doc_id % 10 < 7")
+    docs = load(spark, sf, "documents").select("doc_id", "text", F.coalesce("lang", F.lit("")).alias("lang"))
+    langs = [r["lang"] for r in docs.groupBy("lang").count().orderBy(F.desc("count"), "lang").collect()]  # a row a language
+    base = col.as_collection(docs.where(F.col("lang") == langs[0]), "doc_id", "text")
     d = dic.build(col.with_offsets(base), dic.DictSpec(pct=2.0, s=512))
-    a = Appender(spark, scratch(spark, "append"), d)
-    docs = load(spark, sf, "documents").select("doc_id", "text")
-    for k in range(3):
-        a.write_batch(docs.where(f"doc_id % 10 = {7 + k}"), k)
-    return spark.createDataFrame([(x["batch"], x["ratio"], x["action"], x["dict_version"]) for x in a.log], "batch int, ratio double, action string, dict_version int")
+    extra = max(4096, len(d.data) // 8)
+    a = Appender(spark, scratch(spark, "append"), d, m_extra=extra, m_limit=len(d.data) + extra, monitor=Monitor(tau=0.5, weight=1.0))
+    for k, lang in enumerate(langs):
+        a.write_batch(docs.where(F.col("lang") == lang).drop("lang"), k)
+        if a.log and a.log[-1]["action"] == "rebuild":
+            whole = col.as_collection(docs.where(F.col("lang").isin(langs[: k + 1])), "doc_id", "text")
+            a.rebuild(whole, dic.DictSpec(pct=2.0, s=512))
+    return spark.createDataFrame([(x["batch"], x["ratio"], x["action"], x["epoch"], x["dict_version"]) for x in a.log], "batch int, ratio double, action string, epoch int, dict_version int")
 
 
 @query("w15_stream_gain")
@@ -179,6 +185,32 @@ def _w16(spark, sf):
     return best.crossJoin(own).select("pct", "codec", "enc_pct_total", "b.block_codec", "b.block", "b.enc_pct", (F.col("b.decoded_per_request") / F.col("own_bytes")).alias("read_amplification"))
 
 
+@query("w16_equal_memory")
+def _w16_memory(spark, sf):
+    """A dictionary of some bytes against blocks of as many: what stays in memory to read is the same."""
+    p, parts = inputs.placed(spark, sf, "pages"), []
+    for pct in inputs.WIDE:
+        d = inputs.dictionary(p, pct)
+        m = len(d.data)
+        cost = measures.block_cost(p.withColumn("block_id", baselines.block_number(m))).agg(F.avg("decoded_bytes").alias("decoded_per_request"))
+        own = p.agg(F.avg("n_bytes").alias("decoded_per_request"))
+        parts.append(measures.ratio(factorize.encode(p, d, "ZZ"), m).crossJoin(own).select(F.lit(m).alias("memory"), F.lit("dictionary ZZ").alias("store"), F.col("enc_pct_total").alias("enc_pct"), "decoded_per_request"))
+        for c in ("zlib", "lzma"):
+            parts.append(baselines.blocked_ratio(baselines.blocked_store(p, c, m)).crossJoin(cost).select(F.lit(m).alias("memory"), F.lit(c).alias("store"), "enc_pct", "decoded_per_request"))
+    return _table(parts)
+
+
+@query("m15_url_sort_effect")
+def _url_effect(spark, sf):
+    """Size in natural order less size in URL order, in points, of each store of pages."""
+    rows = []
+    for order in ("natural", "url"):
+        mine = codec_grid(spark, sf, "pages", order).select(F.concat_ws(" ", F.lit("dictionary"), "codec", F.col("pct").cast("string")).alias("store"), F.col("enc_pct_total").alias(order))
+        theirs = block_grid(spark, sf, "pages", order).select(F.concat_ws(" ", "codec", F.col("block").cast("string")).alias("store"), F.col("enc_pct").alias(order))
+        rows.append(mine.unionByName(theirs))
+    return rows[0].join(rows[1], "store").select("store", "natural", "url", (F.col("natural") - F.col("url")).alias("gain"))
+
+
 @query("w19_two_pass")
 def _w19(spark, sf):
     s = baselines.two_pass_store(load(spark, sf, "pages"))
@@ -262,7 +294,77 @@ def _w26(spark, sf):
     return rows.groupBy("decile").agg(F.count("*").alias("n_docs"), F.avg("n_bytes").alias("decoded_bytes"), F.avg("n_factors").alias("factors"))
 
 
-def speeds(spark: SparkSession, sf: str, name: str, pct: float = 4.0, codecs=PAIR_CODECS, blocks=(("raw", 0), ("zlib", 0), ("zlib", 100_000), ("zlib", 1_000_000), ("lzma", 0), ("lzma", 1_000_000)), requests: int = 100_000, runs: int = 3) -> list[tuple[str, str, float]]:
+@query("w26_speed_by_dictionary_and_size")
+def _w26_speed(spark, sf, sizes=(1.0, 4.0, 8.0)):
+    """Documents and MB a second for fifths of the documents by size, and dictionary sizes; every document is asked for once."""
+    p, out = inputs.placed(spark, sf, "documents").cache(), []
+    edges = p.agg(F.percentile_approx("n_bytes", [0.2, 0.4, 0.6, 0.8]).alias("e")).first()["e"] or []
+    sized = p.withColumn("fifth", F.size(F.filter(F.lit(edges), lambda x: x < F.col("n_bytes"))) if edges else F.lit(0)).select("doc_id", "n_bytes", "fifth").cache()
+    totals = {r["fifth"]: (r["n"], r["b"]) for r in sized.groupBy("fifth").agg(F.count("*").alias("n"), F.sum("n_bytes").alias("b")).collect()}
+    for pct in sizes:
+        d, path = inputs.dictionary(p, pct), scratch(spark, "speed")
+        store.write_store(factorize.encode(p, d, "UV"), path)
+        rows = store.read_store(spark, path).join(F.broadcast(sized.select("doc_id", "fifth")) if sum(n for n, _ in totals.values()) <= store.BROADCAST_IDS else sized.select("doc_id", "fifth"), "doc_id").cache()
+        rows.count()
+        for k, (n, size) in sorted(totals.items()):
+            seconds = min(retrieval.timed(factorize.decode_encoded(rows.where(F.col("fifth") == k), d)) for _ in range(2))
+            out.append((pct, k, n, size / max(n, 1), n / seconds, size / 1e6 / seconds))
+        rows.unpersist()
+    return spark.createDataFrame(out, "pct double, fifth int, n_docs long, mean_bytes double, docs_per_second double, mb_per_second double")
+
+
+def _asked(spark: SparkSession, sf: str, name: str, cap: int) -> DataFrame:
+    """req_no, doc_id: ranked results of benchmark texts and user turns over documents or pages."""
+    if name == "documents":
+        return _w13(spark, sf, cap).select("req_no", "doc_id")
+    tf = retrieval.tokens(load(spark, sf, "pages"), "page_id", retrieval.strip_html(F.col("html")))
+    turns = load(spark, sf, "conversations").where("role = 'user'").select(((F.col("conv_id").cast("long") + 1) * (1 << 32) + F.col("turn")).alias("query_no"), "text")
+    asked = load(spark, sf, "benchmark").select(F.col("item_id").cast("long").alias("query_no"), "text").unionByName(turns)
+    q = retrieval.tokens(asked, "query_no", F.col("text")).select(F.col("doc_id").alias("query_no"), "term")
+    return retrieval.request_list(retrieval.top_k(retrieval.rank(q, tf)), cap).select("req_no", "doc_id")
+
+
+#: stores of the published tables: pair codecs, and blocks
+SPEED_BLOCKS = (("raw", 0), ("zlib", 0), ("zlib", 100_000), ("zlib", 1_000_000), ("lzma", 0), ("lzma", 1_000_000))
+
+
+def speed_table(spark: SparkSession, sf: str, name: str, order: str = "natural", pct: float = 4.0, requests: int = 20_000, alone: int = 1_000, runs: int = 1) -> DataFrame:
+    """Size and documents a second of each store for sequential and ranked requests: as a batch, where a document or block is opened once however often it is asked
+    for, and request by request, where each opens its own (``alone`` requests of the same lists)."""
+    p = inputs.placed(spark, sf, name, order).cache()
+    n = p.count()
+    lists = {"sequential": retrieval.sequential(p, requests, n).cache(), "query_log": _asked(spark, sf, name, requests).cache()}
+    few = {k: v.where(F.col("req_no") < alone).cache() for k, v in lists.items()}
+    counts = {k: (lists[k].count(), few[k].count()) for k in lists}
+    d, out = inputs.dictionary(p, pct), []
+    f = factorize.factorize(p, d).cache()
+
+    def measured(label: str, size: float, whole, single) -> None:
+        for access in lists:
+            speed = [retrieval.docs_per_second(run(rows[access]), c, runs)["dps"] if c else 0.0 for run, rows, c in ((whole, lists, counts[access][0]), (single, few, counts[access][1]))]
+            out.append((name, order, label, size, access, *speed))
+
+    for c in PAIR_CODECS:
+        path = scratch(spark, "speed")
+        store.write_store(factorize.recode(f, c).join(p.select("doc_id", "n_bytes"), "doc_id").withColumn("dict_version", F.lit(0)), path)
+        rows = store.read_store(spark, path)
+        size = measures.ratio(rows, len(d.data)).first()["enc_pct_total"]
+        measured(f"dictionary {c}", size, lambda q, rows=rows: store.retrieve(rows, d, q), lambda q, rows=rows: store.retrieve_each(rows, d, q))
+    for c, block in SPEED_BLOCKS:
+        path = scratch(spark, "speed")
+        baselines.blocked_store(p, c, block).write.parquet(path)
+        rows = spark.read.parquet(path)
+        size = baselines.blocked_ratio(rows).first()["enc_pct"]
+        measured(f"{c} {block}", size, lambda q, rows=rows, c=c: baselines.read_blocked(rows, c, q), lambda q, rows=rows, c=c: baselines.read_blocked_each(rows, c, q))
+    return spark.createDataFrame(out, "collection string, doc_order string, store string, enc_pct double, access string, batch_docs_per_second double, alone_docs_per_second double")
+
+
+query("w05_w07_speeds_pages")(lambda spark, sf: speed_table(spark, sf, "pages"))
+query("w06_w08_speeds_pages_url_order")(lambda spark, sf: speed_table(spark, sf, "pages", "url"))
+query("w09_w10_speeds_documents")(lambda spark, sf: speed_table(spark, sf, "documents"))
+
+
+def speeds(spark: SparkSession, sf: str, name: str, pct: float = 4.0, codecs=PAIR_CODECS, blocks=SPEED_BLOCKS, requests: int = 100_000, runs: int = 3) -> list[tuple[str, str, float]]:
     """(store, access, documents a second) of whole runs, scheduling included: sequential and ranked request lists of ``requests`` ids, as the paper has them."""
     p = inputs.placed(spark, sf, name).cache()
     n = p.count()
