@@ -199,16 +199,31 @@ def rows_of(docs: DataFrame, text: str = "text") -> DataFrame:
 
 
 def sets_of(docs: DataFrame, nodes: DataFrame) -> DataFrame:
-    """node, set, n: the packed sets of some nodes."""
-    texts = rows_of(docs).select("node", "text").join(nodes, "node", "left_semi")
-    return texts.mapInArrow(_sets, "node long, set binary, n int").groupBy("node").agg(F.first("set").alias("set"), F.first("n").alias("n"))
+    """node, set, n: the packed sets of some distinct nodes. Tasks send one of the copies of a text that they hold."""
+    texts = rows_of(docs).groupBy("node").agg(F.first("text").alias("text"))
+    return texts.join(nodes, "node").select("node", "text").mapInArrow(_sets, "node long, set binary, n int")
+
+
+def _salted(pairs: DataFrame, sets: DataFrame, hot: DataFrame, side: str, other: str) -> DataFrame:
+    """pairs with the set of one side. hot: node, parts; the set of such a node goes to that many tasks, its pairs are dealt to them."""
+    parts = F.coalesce("parts", F.lit(1).cast("long"))
+    left = pairs.join(F.broadcast(hot.withColumnRenamed("node", side)), side, "left").withColumn("part", F.pmod(F.xxhash64(other), parts)).drop("parts")
+    right = sets.join(F.broadcast(hot), "node", "left").withColumn("part", F.explode(F.sequence(F.lit(0).cast("long"), parts - 1)))
+    return left.join(right.select(F.col("node").alias(side), "part", F.col("set").alias(f"s{side}"), F.col("n").alias(f"n{side}")), [side, "part"]).drop("part")
+
+
+#: Pairs of one node from which on its set goes to several tasks, unless one in ``shared.HOT_SHARE`` of all pairs is more.
+HOT_PAIRS = 100
 
 
 def verified(sets: DataFrame, pairs: DataFrame, threshold: float) -> DataFrame:
     """The pairs (a, b) of nodes whose texts reach the threshold."""
-    a = sets.select(F.col("node").alias("a"), F.col("set").alias("sa"), F.col("n").alias("na"))
-    b = sets.select(F.col("node").alias("b"), F.col("set").alias("sb"), F.col("n").alias("nb"))
-    full = pairs.join(a, "a").join(b, "b").select("a", "b", "sa", "na", "sb", "nb")
+    pairs = shared.keep(pairs, "pairs")
+    limit = max(pairs.count() // shared.HOT_SHARE, HOT_PAIRS)
+    # fewer than 2 * HOT_SHARE nodes
+    hot = pairs.select(F.explode(F.array("a", "b")).alias("node")).groupBy("node").agg(F.count("*").alias("n")).where(F.col("n") > limit)
+    hot = shared.keep(hot.select("node", F.ceil(F.col("n") / limit).alias("parts")), "hubs")
+    full = _salted(_salted(pairs, sets, hot, "a", "b"), sets, hot, "b", "a").select("a", "b", "sa", "na", "sb", "nb")
     return full.mapInArrow(_check(threshold), "a long, b long")
 
 
@@ -251,23 +266,26 @@ def prefix_pairs(sets: DataFrame, nodes: DataFrame, threshold: float) -> DataFra
 def classes(docs: DataFrame, threshold: float = 0.8) -> DataFrame:
     """doc_id, node, class_node (least node of the class), class_id (least doc_id of the class), class_size (documents)."""
     signed = shared.keep(rows_of(docs).mapInArrow(_sign, "doc_id long, node long, bands array<long>"), "signatures")
-    nodes = signed.groupBy("node").agg(F.first("bands").alias("bands"))
+    nodes = shared.keep(signed.groupBy("node").agg(F.first("bands").alias("bands")), "nodes")
     member = nodes.select("node", F.explode("bands").alias("key"))
-    size = member.groupBy("key").agg(F.count("*").alias("size")).where("size > 1")
-    member = shared.keep(member.join(size, "key"), "members")
+    size = shared.keep(member.groupBy("key").agg(F.count("*").alias("size")).where("size > 1").withColumn("often", F.col("size")), "sizes")
+    member = shared.keep(shared.meet(member, size, "key", "often", BANDS * nodes.count()), "members")
     central = member.groupBy("node").agg(F.sum("size").alias("central"))
     sets = shared.keep(sets_of(docs, central.select("node")), "sets")
     member = shared.keep(member.join(central, "node"), "members")
     # every member of a band value against the most connected one
-    lead = member.groupBy("key").agg(F.max(F.struct("central", "node")).alias("m")).select("key", F.col("m.node").alias("leader"))
-    pairs = member.join(lead, "key").where("node <> leader").select(F.least("node", "leader").alias("a"), F.greatest("node", "leader").alias("b")).distinct()
+    total = member.count()
+    lead = member.groupBy("key").agg(F.max(F.struct("central", "node")).alias("m"), F.count("*").alias("often")).select("key", F.col("m.node").alias("leader"), "often")
+    pairs = shared.meet(member, shared.keep(lead, "leaders"), "key", "often", total).where("node <> leader").select(F.least("node", "leader").alias("a"), F.greatest("node", "leader").alias("b")).distinct()
     edges = shared.keep(verified(sets, pairs, threshold), "links")
     label = components.components(edges)
     # what is left: band values with members in different components
-    live = member.where("size > 2").join(label, "node", "left").withColumn("label", F.coalesce("label", "node"))
+    live = member.where("size > 2").select("key", "size", "node").join(label, "node", "left").withColumn("label", F.coalesce("label", "node"))
+    live = shared.keep(live, "live")
     share = live.groupBy("key", "label").agg(F.count("*").alias("c"))
-    top = share.groupBy("key").agg(F.max(F.struct("c", "label")).alias("m"), F.count("*").alias("labels")).where("labels > 1").select("key", F.col("m.label").alias("top"))
-    nodes = live.join(top, "key").groupBy("node", "label").agg(F.max(F.col("label") != F.col("top")).alias("fringe"))
+    top = share.groupBy("key").agg(F.max(F.struct("c", "label")).alias("m"), F.count("*").alias("labels"), F.sum("c").alias("often")).where("labels > 1")
+    top = shared.keep(top.select("key", F.col("m.label").alias("top"), "often"), "tops")
+    nodes = shared.meet(live, top, "key", "often", total).groupBy("node", "label").agg(F.max(F.col("label") != F.col("top")).alias("fringe"))
     nodes = shared.keep(nodes, "fringe")
     if nodes.limit(1).count():
         pairs = prefix_pairs(sets, nodes, threshold)

@@ -104,7 +104,7 @@ HOT_SHARE = 2000
 
 
 def meet(rows: DataFrame, table: DataFrame, key: str, weight: str, total: int, semi: bool = False) -> DataFrame:
-    """rows with the columns of table, whose keys are distinct and all matched; ``weight``: how many of the ``total`` rows have the key. ``semi``: rows alone."""
+    """rows that have their key in table, with its columns; its keys are distinct. ``weight``: how many of the ``total`` rows have the key. ``semi``: rows alone."""
     limit = total // HOT_SHARE
     often, seldom = (table.where(F.col(weight) > limit).drop(weight), table.where(F.col(weight) <= limit).drop(weight))
     if semi:
