@@ -266,10 +266,10 @@ def prefix_pairs(sets: DataFrame, nodes: DataFrame, threshold: float) -> DataFra
 def classes(docs: DataFrame, threshold: float = 0.8) -> DataFrame:
     """doc_id, node, class_node (least node of the class), class_id (least doc_id of the class), class_size (documents)."""
     signed = shared.keep(rows_of(docs).mapInArrow(_sign, "doc_id long, node long, bands array<long>"), "signatures")
-    nodes = shared.keep(signed.groupBy("node").agg(F.first("bands").alias("bands")), "nodes")
-    member = nodes.select("node", F.explode("bands").alias("key"))
+    alike = shared.keep(signed.groupBy("node").agg(F.first("bands").alias("bands"), F.min("doc_id").alias("least"), F.count("*").alias("copies")), "nodes")
+    member = alike.select("node", F.explode("bands").alias("key"))
     size = shared.keep(member.groupBy("key").agg(F.count("*").alias("size")).where("size > 1").withColumn("often", F.col("size")), "sizes")
-    member = shared.keep(shared.meet(member, size, "key", "often", BANDS * nodes.count()), "members")
+    member = shared.keep(shared.meet(member, size, "key", "often", BANDS * alike.count()), "members")
     central = member.groupBy("node").agg(F.sum("size").alias("central"))
     sets = shared.keep(sets_of(docs, central.select("node")), "sets")
     member = shared.keep(member.join(central, "node"), "members")
@@ -292,7 +292,7 @@ def classes(docs: DataFrame, threshold: float = 0.8) -> DataFrame:
         edges = edges.unionByName(shared.keep(verified(sets, pairs, threshold), "links"))
         label = components.components(edges)
     # texts first, then rows: what a large group has in common is sent to every task, not gathered in one
-    texts = signed.groupBy("node").agg(F.min("doc_id").alias("least"), F.count("*").alias("copies")).join(label, "node", "left")
+    texts = alike.select("node", "least", "copies").join(label, "node", "left")
     texts = shared.keep(texts.withColumn("label", F.coalesce("label", "node")), "texts")
     names = texts.groupBy("label").agg(F.min("least").alias("class_id"), F.sum("copies").alias("class_size"), F.count("*").alias("texts"))
     named = shared.meet(texts, shared.keep(names, "names"), "label", "texts", texts.count())
