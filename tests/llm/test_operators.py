@@ -10,10 +10,11 @@ import pyarrow as pa
 import pytest
 from hypothesis import given, settings
 from hypothesis import strategies as st
+from pyspark.sql import functions as F
 
 pytest.importorskip("drstore.llm")
 
-from drstore.llm import byte_bpe, components, dart_dedup, elias_fano, fingerprints, language_id, ngram_lm, quality_rules, run_length_dedup, run_length_index, secret_scan, source_mixing, weak_quality  # noqa: E402
+from drstore.llm import byte_bpe, components, dart_dedup, elias_fano, fingerprints, language_id, ngram_lm, quality_rules, run_length_dedup, run_length_index, secret_scan, shared, source_mixing, weak_quality  # noqa: E402
 from drstore.llm import textkit as tk  # noqa: E402
 
 WORD = re.compile(r"[^\x20\x09-\x0D]+")
@@ -634,3 +635,13 @@ def test_decoys_differ_in_nothing_but_their_symbols():
     decoys = list(secret_scan.decoys_of(token, text, np.frombuffer(b"2014", np.uint8)))
     kind = lambda t: [(chr(c).isdigit(), chr(c).isupper(), chr(c).islower()) for c in t]
     assert decoys and all(kind(d) == kind(token.tobytes()) for d in decoys) and all(set(d[2:3] + d[7:8]) <= set(b"1998204016352473") for d in decoys)
+
+
+def test_rows_with_hot_keys_meet_their_table_without_an_anti_join(spark):
+    rows = spark.createDataFrame([(1 if i % 2 else i, i) for i in range(5000)] + [(None, -1)], "key long, v long")
+    table = rows.where("key is not null").groupBy("key").agg(F.count("*").alias("n")).withColumn("w", F.col("key") * 10)
+    for semi in (False, True):
+        got = shared.meet(rows, table, "key", "n", 5001, semi=semi)
+        want = [(k, v) if semi else (k, v, k * 10) for k, v in ((1 if i % 2 else i, i) for i in range(5000))]
+        assert sorted(tuple(r) for r in got.collect()) == sorted(want)
+        assert "LeftAnti" not in got._jdf.queryExecution().optimizedPlan().toString()
