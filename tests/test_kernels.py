@@ -7,7 +7,7 @@ import pytest
 from hypothesis import given, settings
 from hypothesis import strategies as st
 
-from drstore.operators import baselines, bulk, codecs, lz, semistatic
+from drstore.operators import baselines, bulk, codecs, factorize, lz, semistatic, suffix
 from drstore.operators.dictionary import Dictionary
 from drstore.operators.factorize import decode_document, decode_range, factor_document
 from drstore.operators.suffix import GramIndex, Searcher, longest_match_naive, rank_array, suffix_array
@@ -178,3 +178,35 @@ def test_end_aligned_phrases_are_the_longest(text):
         i += k + (c >= 0)
         ends.append(i)
     assert i == len(x)
+
+
+def test_suffixes_are_sorted_part_by_part(monkeypatch):
+    monkeypatch.setattr(suffix, "SORTED", 16)
+    monkeypatch.setattr(suffix, "MAPPED", 64)
+    for d in (b"", b"a", bytes(100), b"ab" * 90, b"cabbaabba" * 30 + b"\0", bytes(range(256)) * 2, b"aaab" * 40 + b"\xff\0\0"):
+        assert suffix_array(d).tolist() == sorted(range(len(d)), key=lambda p: d[p:])
+
+
+def test_sorting_suffixes_takes_little_memory():
+    import tracemalloc
+
+    d = np.random.default_rng(0).integers(97, 105, 1 << 23, np.uint8).tobytes()
+    tracemalloc.start()
+    suffix_array(d)
+    most = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert most < 20 * len(d)
+
+
+@pytest.mark.parametrize("alphabet", [b"ab", b"\0\1", bytes(range(97, 105))])
+def test_leftmost_factors_of_many_documents(alphabet, monkeypatch):
+    r = random.Random(7)
+    text = lambda n: bytes(r.choice(alphabet) for _ in range(n))
+    d = text(3000)
+    docs = [text(r.randrange(80)) for _ in range(30)] + [d[5:70], d[7:400] + b"z", b""]
+    s = Searcher(d, suffix_array(d))
+    want = [factor_document(x, s, "leftmost") for x in docs]
+    monkeypatch.setattr(factorize, "factor_document", None)  # not one by one
+    pos, length, cuts = factorize.factor_batch(docs, s, "leftmost")
+    assert [(pos[i:j].tolist(), length[i:j].tolist()) for i, j in zip(cuts[:-1], cuts[1:], strict=True)] == want
+    assert all(d.find(x[:k]) == p for x, (ps, ks) in zip(docs, want, strict=True) for p, k in zip(ps[:1], ks[:1], strict=True) if k)
