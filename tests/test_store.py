@@ -225,3 +225,32 @@ def test_experiments_have_their_whole_grids(spark, sf):
     assert {tuple(r) for r in got} == room and {s for _, s in room} == set(inputs.SAMPLES)
     log = q["w13_query_log_with_user_turns"](spark, sf)
     assert log.where(f"query_no >= {1 << 32}").count() > 0 and log.where(f"query_no < {1 << 32}").count() > 0
+
+
+def test_of_events_with_the_least_value_the_least_id_counts(spark, tmp_path):
+    rows = spark.createDataFrame([(5, "a", 1.0), (3, "a", 1.0), (9, "a", 1.0), (1, "a", 2.0), (None, "a", 0.5), (2, "a", None), (4, "b", 60.0)], "event_id long, event_type string, value double")
+    rows.coalesce(1).write.parquet(str(tmp_path / "events.parquet"))
+    got = __spark_entry__.queries()["aggregate_statistics"](spark, str(tmp_path)).collect()
+    assert {r["event_type"]: r["least"] for r in got} == {"a": 3, "b": 4}
+
+
+@pytest.mark.parametrize("name", ["worked_example_suffixes", "worked_example_trace", "worked_example_factors"])
+def test_worked_examples_are_of_given_tables(spark, sf, name):
+    rows = __spark_entry__.queries()[name](spark, sf)
+    texts = {r["doc_id"]: bytes(r["body"]) for r in inputs.benchmark(spark, sf).where("n_bytes > 0").collect()}
+    if name == "worked_example_suffixes":
+        assert rows.count() == len(inputs.little_dictionary(spark, sf).data)
+    else:
+        assert {r["doc_id"] for r in rows.select("doc_id").collect()} == set(texts)
+    _same(spark, sf, name)
+
+
+def test_table_functions_give_the_worked_example(spark):
+    from drstore.functions import udfs
+
+    for name, f in udfs.for_dictionary(spark, dic.Dictionary(b"cabbaabba")).items():
+        if name in ("drf_factors", "refine_trace"):
+            spark.udtf.register(name, f)
+    x = b"bbaancabb".hex()
+    assert [tuple(r) for r in spark.sql(f"SELECT * FROM drf_factors(X'{x}') ORDER BY seq").collect()] == [(0, 2, 4), (1, 110, 0), (2, 0, 4)]
+    assert [tuple(r) for r in spark.sql(f"SELECT * FROM refine_trace(X'{x}') ORDER BY j").collect()] == [(0, 4, 7), (1, 6, 7), (2, 6, 7), (3, 7, 7), (4, None, None)]
