@@ -210,3 +210,29 @@ def test_leftmost_factors_of_many_documents(alphabet, monkeypatch):
     pos, length, cuts = factorize.factor_batch(docs, s, "leftmost")
     assert [(pos[i:j].tolist(), length[i:j].tolist()) for i, j in zip(cuts[:-1], cuts[1:], strict=True)] == want
     assert all(d.find(x[:k]) == p for x, (ps, ks) in zip(docs, want, strict=True) for p, k in zip(ps[:1], ks[:1], strict=True) if k)
+
+
+def test_opening_aligned_phrases_copies_runs():
+    x = bytes(random.Random(5).choice(b"abcd") for _ in range(2000)) * 20
+    parts = lz.end_aligned(x)
+
+    class Counted(list):
+        asked = 0
+
+        def __getitem__(self, i):
+            Counted.asked += 1
+            return super().__getitem__(i)
+
+    assert lz.open_end_aligned(Counted(parts), 0, len(x)) == x and lz.open_end_aligned(parts, 777, 9000) == x[777:9777]
+    assert Counted.asked < len(x) // 4
+
+
+def test_walks_that_step_together_meet_matches_of_any_length(monkeypatch):
+    monkeypatch.setattr(bulk, "WINDOW", 700)
+    r = random.Random(9)
+    d = bytes(r.choice(b"abc") for _ in range(5000))
+    docs = [d[100:900], b"", d[3000:3100] + d[10:400] + b"?", bytes(r.choice(b"abc") for _ in range(1500)), b"?"]
+    s = Searcher(d, suffix_array(d))
+    pos, length, cuts = factorize.factor_batch(docs, s)
+    assert [(pos[i:j].tolist(), length[i:j].tolist()) for i, j in zip(cuts[:-1], cuts[1:], strict=True)] == [factor_document(x, s) for x in docs]
+    assert length.max() > bulk.DEEP
