@@ -9,21 +9,26 @@ from __future__ import annotations
 
 import heapq
 from collections import Counter
+from collections.abc import Iterator
 from itertools import count as counter
 
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..session import cut
+from ..session import cut, small_batches
 
 #: words and what is between them, in turn
 WORDS = r"[\p{L}\p{N}]+|[^\p{L}\p{N}]+"
 
 
+def _parts(kind: str, text: str) -> Column:
+    return F.expr(f"regexp_extract_all(coalesce({text}, ''), '{WORDS if kind == 'word' else '(?s).'}', 0)".replace("\\", "\\\\"))
+
+
 def symbols(texts: DataFrame, kind: str, text: str = "text") -> DataFrame:
     """doc_id, seq, symbol: characters, or words and non-words."""
-    parts = F.expr(f"regexp_extract_all(coalesce({text}, ''), '{WORDS if kind == 'word' else '(?s).'}', 0)".replace("\\", "\\\\"))
-    return texts.select("doc_id", F.posexplode(parts).alias("seq", "symbol"))
+    return listed(symbol_lists(texts, kind, text))
 
 
 def frequencies(sym: DataFrame) -> DataFrame:
@@ -31,26 +36,91 @@ def frequencies(sym: DataFrame) -> DataFrame:
     return sym.groupBy("symbol").agg(F.count("*").alias("freq"))
 
 
-def pair_symbols(sym: DataFrame, top: int) -> DataFrame:
-    """Words and word pairs: the ``top`` most frequent pairs of neighbours become symbols, left to right without overlap."""
-    w = Window.partitionBy("doc_id").orderBy("seq")
-    near = sym.withColumn("next", F.lead("symbol").over(w)).withColumn("next_seq", F.lead("seq").over(w))
-    best = near.where("next is not null").groupBy("symbol", "next").agg(F.count("*").alias("c")).where("c > 1").orderBy(F.desc("c"), "symbol", "next").limit(top).select("symbol", "next", F.lit(True).alias("hit"))
-    marked = near.join(F.broadcast(best), ["symbol", "next"], "left")
-    # in a chain of hits every second one is taken
-    run = F.sum(F.when(F.col("hit").isNull(), 1).otherwise(0)).over(w.rowsBetween(Window.unboundedPreceding, -1))
-    marked = marked.withColumn("chain", F.coalesce(run, F.lit(0)))
-    inside = Window.partitionBy("doc_id", "chain").orderBy("seq")
-    marked = marked.withColumn("taken", F.col("hit").isNotNull() & (F.row_number().over(inside) % 2 == 1))
-    marked = marked.withColumn("eaten", F.coalesce(F.lag("taken").over(w), F.lit(False)))
-    return marked.where("not eaten").select("doc_id", "seq", F.when(F.col("taken"), F.concat("symbol", "next")).otherwise(F.col("symbol")).alias("symbol"))
-
-
-def phrase_symbols(sym: DataFrame, top: int, longest: int = 4) -> DataFrame:
-    """Phrases: pairs are joined again and again, so symbols grow to ``2^rounds`` words."""
-    out, size = sym, 1
+def symbol_lists(texts: DataFrame, kind: str, text: str = "text") -> DataFrame:
+    """doc_id, symbols: the same as one list for each row."""
+    return texts.select("doc_id", _parts(kind, text).alias("symbols"))
+
+
+def listed(lists: DataFrame) -> DataFrame:
+    """doc_id, seq, symbol of lists."""
+    return lists.select("doc_id", F.posexplode("symbols").alias("seq", "symbol"))
+
+
+#: Symbols among which the most frequent pairs are looked for first, for each pair that is wanted.
+FIRST = 4
+
+
+def best_pairs(lists: DataFrame, freq: DataFrame, top: int) -> list[tuple[str, str]]:
+    """The ``top`` most frequent pairs of neighbours that come twice or more (ties by their symbols).
+
+    A pair is no more frequent than either symbol. So pairs of the most frequent symbols are counted, and these are enough if the last pair wanted comes more often
+    than any symbol left out; else four times as many symbols are taken. Only symbols and few pairs are shuffled, not all pairs.
+    """
+    m = FIRST * top
+    while True:
+        rows = freq.where("freq > 1").orderBy(F.desc("freq"), "symbol").limit(m + 1).collect()
+        among, left_out = {r["symbol"] for r in rows[:m]}, rows[m]["freq"] if len(rows) > m else 1
+
+        def run(batches: Iterator[pa.RecordBatch], among=among) -> Iterator[pa.RecordBatch]:
+            seen: Counter = Counter()
+            for b in batches:
+                for at in range(0, b.num_rows, LISTS):
+                    for x in b.column(0).slice(at, LISTS).to_pylist():
+                        seen.update(p for p in zip(x or (), (x or ())[1:], strict=False) if p[0] in among and p[1] in among)
+                if len(seen) > 500_000:
+                    yield counted(seen)
+                    seen.clear()
+            yield counted(seen)
+
+        def counted(seen: Counter) -> pa.RecordBatch:
+            return pa.RecordBatch.from_arrays([pa.array([p[0] for p in seen], pa.string()), pa.array([p[1] for p in seen], pa.string()), pa.array(list(seen.values()), pa.int64())], names=["a", "b", "c"])
+
+        small_batches(lists.sparkSession)
+        near = lists.select("symbols").mapInArrow(run, "a string, b string, c long").groupBy("a", "b").agg(F.sum("c").alias("c")).where("c > 1")
+        best = near.orderBy(F.desc("c"), "a", "b").limit(top).collect()
+        if left_out <= 1 or (len(best) == top and best[-1]["c"] > left_out):
+            return [(r["a"], r["b"]) for r in best]
+        m *= 4
+
+
+def pair_lists(lists: DataFrame, top: int, freq: DataFrame | None = None) -> DataFrame:
+    """Words and word pairs: the ``top`` most frequent pairs of neighbours become symbols, left to right without overlap. doc_id, symbols.
+
+    freq: the lists' ``frequencies``, where they are there already.
+    """
+    hits = set(best_pairs(lists, cut(frequencies(listed(lists))) if freq is None else freq, top))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for at in range(0, b.num_rows, LISTS):
+                part = b.slice(at, LISTS)
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.array([_joined(x or [], hits) for x in part.column(1).to_pylist()], pa.list_(pa.string()))], names=["doc_id", "symbols"])
+
+    small_batches(lists.sparkSession)
+    return lists.mapInArrow(run, f"doc_id {lists.schema['doc_id'].dataType.simpleString()}, symbols array<string>")
+
+
+#: Lists that are taken apart at once.
+LISTS = 64
+
+
+def _joined(x: list[str], hits: set[tuple[str, str]]) -> list[str]:
+    out, i, last = [], 0, len(x) - 1
+    while i < last:
+        if (x[i], x[i + 1]) in hits:
+            out.append(x[i] + x[i + 1])
+            i += 2
+        else:
+            out.append(x[i])
+            i += 1
+    return out + x[i:]
+
+
+def phrase_lists(lists: DataFrame, top: int, longest: int = 4) -> DataFrame:
+    """Phrases: pairs are joined again and again, so symbols grow to ``2^rounds`` words. Texts are read again in each round, nothing is stored."""
+    out, size = lists, 1
     while size < longest:
-        out, size = cut(pair_symbols(out, top)), 2 * size
+        out, size = pair_lists(out, top), 2 * size
     return out
 
 

@@ -254,3 +254,13 @@ def test_table_functions_give_the_worked_example(spark):
     x = b"bbaancabb".hex()
     assert [tuple(r) for r in spark.sql(f"SELECT * FROM drf_factors(X'{x}') ORDER BY seq").collect()] == [(0, 2, 4), (1, 110, 0), (2, 0, 4)]
     assert [tuple(r) for r in spark.sql(f"SELECT * FROM refine_trace(X'{x}') ORDER BY j").collect()] == [(0, 4, 7), (1, 6, 7), (2, 6, 7), (3, 7, 7), (4, None, None)]
+
+
+def test_pairs_are_joined_left_to_right_inside_each_row(spark):
+    from drstore.operators import semistatic
+
+    lists = spark.createDataFrame([(1, ["a", "a", "a", "b"] * 3), (1, ["a", "b"] * 4), (2, []), (3, ["b"]), (None, None)], "doc_id long, symbols array<string>")
+    got = sorted(((r["doc_id"] or 0, r["symbols"] or []) for r in semistatic.pair_lists(lists, 1).collect()), key=str)
+    assert got == sorted([(1, ["a", "a", "ab"] * 3), (1, ["ab"] * 4), (2, []), (3, ["b"]), (0, [])], key=str)
+    plan = semistatic.phrase_lists(lists, 2)._jdf.queryExecution().optimizedPlan().toString()
+    assert "Window" not in plan and "Join" not in plan
