@@ -1,5 +1,6 @@
 """The operators on small fixtures, against brute force, and on nulls, empty and repeated rows, long texts and empty tables."""
 
+import glob
 import hashlib
 import re
 import zlib
@@ -434,6 +435,48 @@ def test_run_length_index(strings, reach):
             assert got[i, k] == (k + reach <= len(s) and any(s[k : k + reach] in t for t in strings[:i]))
 
 
+@pytest.mark.parametrize("hot", [1000, 2])
+def test_blocks_of_many_slabs_send_each_shard_one_row(spark, hot):
+    r = np.random.default_rng(11)
+    words = [f"{x:x}" for x in r.integers(0, 10**6, 3000)]
+    passage = "this passage of text is shared by many documents and it is long enough to be found in all of them"
+    texts = []
+    for _ in range(320):
+        w = " ".join(r.choice(words, int(r.integers(5, 160))))
+        k = int(r.integers(0, len(w)))
+        texts.append(w[:k] + passage[int(r.integers(0, 20)) :] + w[k:] if r.random() < 0.6 else w)
+    texts += [texts[5], texts[300][10:], "", "z" * 700, None]
+    size = sum(len(t or "") for t in texts)
+    was, folder = spark.conf.get("spark.sql.shuffle.partitions"), shared.folder(spark).removeprefix("file://")
+    there = set(glob.glob(f"{folder}/marks-*"))
+    spark.conf.set("spark.sql.shuffle.partitions", "128")
+    try:
+        got = {x["doc_id"]: x for x in run_length_dedup.deduplicate(frame(spark, texts).orderBy(F.hash("doc_id")).coalesce(1), hot_blocks=hot, block_bytes=size // 7).collect()}
+    finally:
+        spark.conf.set("spark.sql.shuffle.partitions", was)
+    for i, want in enumerate(brute_removal(texts)):
+        assert (got[i]["n_bytes"], got[i]["n_removed"], got[i]["n_spans"], got[i]["kept_sha256"]) == want, i
+    (marks,) = set(glob.glob(f"{folder}/marks-*")) - there
+    rows = spark.read.parquet(marks)
+    assert rows.count() == rows.select("shard").distinct().count()
+
+
+def test_places_of_anchors_as_steps():
+    for places in ([], [0], [254], [255], [0, 1, 300, 1065, 1066, 70000]):
+        x = np.array(places, np.int64)
+        assert run_length_dedup._places(run_length_dedup._steps(x)).tolist() == places
+    anchor = np.random.default_rng(1).integers(0, 900, 20000)
+    groups = list(run_length_dedup._groups(anchor))
+    assert sorted(np.concatenate(groups).tolist()) == list(range(len(anchor))) and len(groups) > 5
+    assert sum(len(np.unique(anchor[g])) for g in groups) == len(np.unique(anchor))
+
+
+def test_ranks_of_wide_and_of_narrow_keys():
+    key, flat = np.random.default_rng(2).integers(0, 50, 400).astype(np.uint64), np.arange(0, 400, 3)
+    for a, b in zip(run_length_index.RunLengthIndex._ranks(key, flat, 6), run_length_index.RunLengthIndex._ranks(key, flat, 64), strict=True):
+        assert (a == b).all()
+
+
 # -- 8: secrets
 
 
