@@ -15,10 +15,13 @@ def u_size(v: Column) -> Column:
     return F.lit(4)
 
 
-def ratio(enc: DataFrame, dictionary_bytes: int, map_bytes: int = 24) -> DataFrame:
-    """n_docs, raw_bytes, enc_bytes, enc_pct (payload), enc_pct_with_map, enc_pct_total (and the dictionary)."""
+def ratio(enc: DataFrame, dictionary_bytes: int, map_bytes: int = 24, codecs: tuple[str, ...] = ()) -> DataFrame:
+    """n_docs, raw_bytes, enc_bytes, enc_pct (payload), enc_pct_with_map, enc_pct_total (and the dictionary). ``codecs``: a row for each of them, also where it has no document."""
     size = F.octet_length("pos_stream") + F.octet_length("len_stream")
-    s = enc.agg(F.count("*").alias("n_docs"), F.sum("n_bytes").alias("raw_bytes"), F.sum(size).alias("enc_bytes"))
+    s = enc.groupBy(*(["codec"] if codecs else [])).agg(F.count("*").alias("n_docs"), F.sum("n_bytes").alias("raw_bytes"), F.sum(size).alias("enc_bytes"))
+    if codecs:
+        named = enc.sparkSession.createDataFrame([(c,) for c in codecs], "codec string")
+        s = named.join(s, "codec", "left").withColumn("n_docs", F.coalesce("n_docs", F.lit(0).cast("long")))
     pct = lambda x: 100.0 * x / F.col("raw_bytes")
     with_map = F.col("enc_bytes") + map_bytes * F.col("n_docs")
     return s.select("*", pct(F.col("enc_bytes")).alias("enc_pct"), pct(with_map).alias("enc_pct_with_map"), pct(with_map + dictionary_bytes).alias("enc_pct_total"))

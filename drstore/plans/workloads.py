@@ -6,6 +6,10 @@ mixed in one table. Grids leave out sizes that have no room for two samples.
 
 from __future__ import annotations
 
+from collections.abc import Callable
+from concurrent.futures import ThreadPoolExecutor
+
+from pyspark import inheritable_thread_target
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -29,6 +33,21 @@ def _table(parts: list[DataFrame]) -> DataFrame:
     return out
 
 
+#: Grids that are made at once, each with a dictionary on the driver at most.
+AT_ONCE = 4
+
+
+def _side_by_side(spark: SparkSession, makers: list[Callable[[], DataFrame]]) -> list[DataFrame]:
+    """Small tables - a row a store - that are planned and run ``AT_ONCE`` at a time."""
+
+    def rows(make: Callable[[], DataFrame]) -> DataFrame:
+        t = make()
+        return spark.createDataFrame(t.collect(), t.schema)
+
+    with ThreadPoolExecutor(AT_ONCE) as pool:
+        return [x.result() for x in [pool.submit(inheritable_thread_target(spark)(rows), m) for m in makers]]
+
+
 def factor_grid(spark: SparkSession, sf: str, name: str, sizes=inputs.WIDE, samples=inputs.SAMPLES) -> DataFrame:
     """Mean factor length and unused share for dictionary sizes x sample sizes."""
     p = inputs.placed(spark, sf, name).cache()
@@ -66,16 +85,18 @@ def _w04(spark, sf):
     return _table(parts)
 
 
+def codec_rows(p: DataFrame, name: str, order: str, pct: float, codecs=PAIR_CODECS) -> DataFrame:
+    """Encoded size for a dictionary size x pair codecs: factors are found once, streams that codecs share are coded once."""
+    d = dic.build(p, dic.DictSpec(pct=pct, s=512))
+    f = factorize.factorize(p, d, carry=("n_bytes",))
+    size = measures.ratio(factorize.recode(f, codecs, carry=("n_bytes",)), len(d.data), codecs=codecs)
+    return size.select(F.lit(name).alias("collection"), F.lit(order).alias("doc_order"), F.lit(pct).alias("pct"), "codec", "n_docs", "raw_bytes", "enc_bytes", "enc_pct", "enc_pct_with_map", "enc_pct_total")
+
+
 def codec_grid(spark: SparkSession, sf: str, name: str, order: str = "natural", sizes=inputs.WIDE, codecs=PAIR_CODECS) -> DataFrame:
-    """Encoded size for dictionary sizes x pair codecs; factors are found once for each dictionary."""
-    p, parts = inputs.placed(spark, sf, name, order), []
-    for pct in sizes:
-        d = dic.build(p, dic.DictSpec(pct=pct, s=512))
-        f = factorize.factorize(p, d).cache()
-        for c in codecs:
-            enc = factorize.recode(f, c).join(p.select("doc_id", "n_bytes"), "doc_id")
-            parts.append(measures.ratio(enc, len(d.data)).select(F.lit(name).alias("collection"), F.lit(order).alias("doc_order"), F.lit(pct).alias("pct"), F.lit(c).alias("codec"), "n_docs", "raw_bytes", "enc_bytes", "enc_pct", "enc_pct_with_map", "enc_pct_total"))
-    return _table(parts)
+    """Encoded size for dictionary sizes x pair codecs."""
+    p = inputs.placed(spark, sf, name, order).cache()
+    return _table([codec_rows(p, name, order, pct, codecs) for pct in sizes])
 
 
 query("w05_codecs_pages")(lambda spark, sf: codec_grid(spark, sf, "pages"))
@@ -102,9 +123,8 @@ query("w06_codecs_pages_url_order_published_classes")(lambda spark, sf: _classes
 query("w09_codecs_documents_published_classes")(lambda spark, sf: _classes(spark, sf, "documents"))
 
 
-def block_grid(spark: SparkSession, sf: str, name: str, order: str = "natural", codecs=("zlib", "lzma"), sizes=baselines.BLOCK_SIZES) -> DataFrame:
-    """Size of blocked stores, and the mean bytes that one request decodes."""
-    p = inputs.placed(spark, sf, name, order)
+def block_rows(p: DataFrame, codecs=("zlib", "lzma"), sizes=baselines.BLOCK_SIZES) -> DataFrame:
+    """Size of blocked stores of a placed collection, and the mean bytes that one request decodes."""
     parts = [p.agg(F.sum("n_bytes").alias("raw_bytes")).select(F.lit("raw").alias("codec"), F.lit(0).alias("block"), F.lit(100.0).alias("enc_pct"), F.lit(0.0).alias("decoded_per_request"))]
     for size in sizes:
         cost = measures.block_cost(p.withColumn("block_id", baselines.block_number(size))).agg(F.avg("decoded_bytes").alias("decoded_per_request"))
@@ -113,6 +133,11 @@ def block_grid(spark: SparkSession, sf: str, name: str, order: str = "natural",
     return _table(parts)
 
 
+def block_grid(spark: SparkSession, sf: str, name: str, order: str = "natural", codecs=("zlib", "lzma"), sizes=baselines.BLOCK_SIZES) -> DataFrame:
+    """The same of a table in an order."""
+    return block_rows(inputs.placed(spark, sf, name, order).cache(), codecs, sizes)
+
+
 query("w07_blocks_pages")(lambda spark, sf: block_grid(spark, sf, "pages"))
 query("w08_blocks_pages_url_order")(lambda spark, sf: block_grid(spark, sf, "pages", "url"))
 query("w10_blocks_documents")(lambda spark, sf: block_grid(spark, sf, "documents"))
@@ -202,12 +227,22 @@ def _w16_memory(spark, sf):
 
 @query("m15_url_sort_effect")
 def _url_effect(spark, sf):
-    """Size in natural order less size in URL order, in points, of each store of pages."""
-    rows = []
+    """Size in natural order less size in URL order, in points, of each store of pages.
+
+    Pages get their places once an order. The grids are made side by side: while the driver sorts a dictionary, tasks squeeze blocks or factor by another one.
+    """
+    placed, makers = {}, []
     for order in ("natural", "url"):
-        mine = codec_grid(spark, sf, "pages", order).select(F.concat_ws(" ", F.lit("dictionary"), "codec", F.col("pct").cast("string")).alias("store"), F.col("enc_pct_total").alias(order))
-        theirs = block_grid(spark, sf, "pages", order).select(F.concat_ws(" ", "codec", F.col("block").cast("string")).alias("store"), F.col("enc_pct").alias(order))
-        rows.append(mine.unionByName(theirs))
+        placed[order] = p = inputs.placed(spark, sf, "pages", order).cache()
+        p.count()
+        makers.append(lambda p=p, o=order: block_rows(p).select(F.concat_ws(" ", "codec", F.col("block").cast("string")).alias("store"), F.col("enc_pct").alias(o)))
+    for pct in sorted(inputs.WIDE, reverse=True):  # the long ones first
+        for order, p in placed.items():
+            makers.append(lambda p=p, o=order, pct=pct: codec_rows(p, "pages", o, pct).select(F.concat_ws(" ", F.lit("dictionary"), "codec", F.col("pct").cast("string")).alias("store"), F.col("enc_pct_total").alias(o)))
+    made = _side_by_side(spark, makers)
+    for p in placed.values():
+        p.unpersist()
+    rows = [_table([t for t in made if order in t.columns]) for order in placed]
     return rows[0].join(rows[1], "store").select("store", "natural", "url", (F.col("natural") - F.col("url")).alias("gain"))
 
 

@@ -1,5 +1,8 @@
 """The store on Spark: places, samples, partition invariance, plans, retrieval and streams."""
 
+import lzma
+import zlib
+
 import duckdb
 import numpy as np
 import pandas as pd
@@ -8,12 +11,14 @@ from pyspark.sql import functions as F
 
 import __spark_entry__
 from drstore import schemas
+from drstore.operators import baselines, codecs
 from drstore.operators import collection as col
 from drstore.operators import dictionary as dic
 from drstore.operators import factorize, measures
-from drstore.plans import inputs
+from drstore.operators.suffix import Searcher
+from drstore.plans import inputs, workloads
 from drstore.sources import store
-from drstore.sources.tables import TABLES
+from drstore.sources.tables import TABLES, load
 
 QUICK = ("collection_offsets", "prefix_cut", "even_sample_positions", "even_sample_bytes", "worked_example_factors", "worked_example_trace", "suffix_array_distributed", "factor_positions_benchmark", "unused_pct_benchmark", "avg_factor_len_benchmark", "position_skew_benchmark", "host_order_documents", "huffman_costs", "retrieve_each", "retrieve_each_from_blocks", "get_one_by_one", "roundtrip_ZZ_pages", "roundtrip_zlib_100k", "requests_query_log", "retrieve_by_offset", "data_source_scan", "dense_code_cost", "request_sessions", "version_in_force", "stream_request_windows", "join_ranges_by_stripe", "set_operations")
 
@@ -264,3 +269,62 @@ def test_pairs_are_joined_left_to_right_inside_each_row(spark):
     assert got == sorted([(1, ["a", "a", "ab"] * 3), (1, ["ab"] * 4), (2, []), (3, ["b"]), (0, [])], key=str)
     plan = semistatic.phrase_lists(lists, 2)._jdf.queryExecution().optimizedPlan().toString()
     assert "Window" not in plan and "Join" not in plan
+
+
+def _squeezed(bodies: list[bytes], d: dic.Dictionary, codec: str) -> float:
+    """Size in % with map and dictionary, a document and a stream at a time."""
+    size = 0
+    for x in bodies:
+        pos, length = factorize.factor_document(x, Searcher(d.data, d.sa))
+        size += sum(map(len, codecs.encode_pairs(np.array(pos, np.int64), np.array(length, np.int64), codec)))
+    return 100.0 * (size + 24 * len(bodies) + len(d.data)) / sum(map(len, bodies))
+
+
+def test_url_effect_places_pages_once_an_order(spark, sf, monkeypatch):
+    calls, with_offsets = [], col.with_offsets
+    monkeypatch.setattr(col, "with_offsets", lambda *a, **b: calls.append(1) or with_offsets(*a, **b))
+    got = {r["store"]: r for r in workloads._url_effect(spark, sf).collect()}
+    assert len(calls) == 2
+    rows = load(spark, sf, "pages").orderBy("page_id").collect()
+    for order, by in (("natural", lambda r: r["page_id"]), ("url", lambda r: (r["url"], r["page_id"]))):
+        bodies = [r["html"].encode() for r in sorted(rows, key=by)]
+        whole, off = b"".join(bodies), np.cumsum([0, *map(len, bodies)])
+        for pct in inputs.WIDE:
+            c = int(len(whole) * pct / 100) // 512
+            d = dic.Dictionary(b"".join(whole[k * len(whole) // c : k * len(whole) // c + 512] for k in range(c)))
+            for codec in codecs.PAIR_CODECS:
+                assert got[f"dictionary {codec} {pct}"][order] == pytest.approx(_squeezed(bodies, d, codec))
+        for size in baselines.BLOCK_SIZES:
+            blocks = {}
+            for i, (x, o) in enumerate(zip(bodies, off, strict=False)):
+                blocks.setdefault(o // size if size else i, []).append(x)
+            for name, squeeze in (("zlib", lambda b: zlib.compress(b, 9)), ("lzma", lzma.compress)):
+                want = 100.0 * sum(len(squeeze(b"".join(b))) for b in blocks.values()) / len(whole)
+                assert got[f"{name} {size}"][order] == pytest.approx(want)
+    assert len(got) == 4 * 4 + 2 * 5 + 1 and got["raw 0"]["gain"] == 0
+
+
+def test_codec_grid_counts_each_row_once(spark, sf, monkeypatch):
+    pages = load(spark, sf, "pages")
+    odd = pages.unionByName(pages.limit(3)).unionByName(pages.limit(2).withColumn("page_id", F.lit(None).cast("long")))
+    monkeypatch.setattr(inputs, "pages", lambda s, d, *keep: col.as_collection(odd, "page_id", "html", keep))
+    n = odd.agg(F.sum(F.octet_length(F.encode("html", "UTF-8")))).first()[0]
+    rows = workloads.codec_grid(spark, sf, "pages", sizes=(4.0,)).collect()
+    assert [(r["n_docs"], r["raw_bytes"]) for r in rows] == [(odd.count(), n)] * 4
+
+
+def test_codecs_of_no_documents_have_rows(spark, sf, monkeypatch):
+    none = load(spark, sf, "pages").limit(0)
+    monkeypatch.setattr(inputs, "pages", lambda s, d, *keep: col.as_collection(none, "page_id", "html", keep))
+    rows = workloads.codec_grid(spark, sf, "pages", sizes=(4.0,)).collect()
+    assert sorted((r["codec"], r["n_docs"], r["enc_pct"]) for r in rows) == [(c, 0, None) for c in sorted(codecs.PAIR_CODECS)]
+
+
+@pytest.mark.parametrize("names", [("ZZ", "ZV", "UZ", "UV"), ("Zi", "SP", "ZZ")])
+def test_streams_that_codecs_share_are_the_same(spark, sf, names):
+    p = inputs.placed(spark, sf, "pages")
+    f = factorize.factorize(p, inputs.dictionary(p), carry=("n_bytes",)).cache()
+    key = lambda r: (r["codec"], r["doc_id"])
+    together = sorted(factorize.recode(f, names, carry=("n_bytes",)).collect(), key=key)
+    alone = sorted((r for c in names for r in factorize.recode(f, c, carry=("n_bytes",)).collect()), key=key)
+    assert together == alone and len(together) == len(names) * p.count()
