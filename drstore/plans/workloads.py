@@ -34,7 +34,7 @@ def _table(parts: list[DataFrame]) -> DataFrame:
 
 
 #: Grids that are made at once, each with a dictionary on the driver at most.
-AT_ONCE = 4
+AT_ONCE = 3
 
 
 def _side_by_side(spark: SparkSession, makers: list[Callable[[], DataFrame]]) -> list[DataFrame]:
@@ -231,14 +231,14 @@ def _url_effect(spark, sf):
 
     Pages get their places once an order. The grids are made side by side: while the driver sorts a dictionary, tasks squeeze blocks or factor by another one.
     """
-    placed, makers = {}, []
-    for order in ("natural", "url"):
-        placed[order] = p = inputs.placed(spark, sf, "pages", order).cache()
-        p.count()
-        makers.append(lambda p=p, o=order: block_rows(p).select(F.concat_ws(" ", "codec", F.col("block").cast("string")).alias("store"), F.col("enc_pct").alias(o)))
-    for pct in sorted(inputs.WIDE, reverse=True):  # the long ones first
-        for order, p in placed.items():
-            makers.append(lambda p=p, o=order, pct=pct: codec_rows(p, "pages", o, pct).select(F.concat_ws(" ", F.lit("dictionary"), "codec", F.col("pct").cast("string")).alias("store"), F.col("enc_pct_total").alias(o)))
+    placed = {order: inputs.placed(spark, sf, "pages", order).cache() for order in ("natural", "url")}
+    blocks = {o: lambda p=p, o=o: block_rows(p).select(F.concat_ws(" ", "codec", F.col("block").cast("string")).alias("store"), F.col("enc_pct").alias(o)) for o, p in placed.items()}
+    coded = {(pct, o): lambda p=p, o=o, pct=pct: codec_rows(p, "pages", o, pct).select(F.concat_ws(" ", F.lit("dictionary"), "codec", F.col("pct").cast("string")).alias("store"), F.col("enc_pct_total").alias(o)) for pct in inputs.WIDE for o, p in placed.items()}
+    for p in placed.values():
+        p.count()  # kept before they are shared
+    # the largest dictionaries first, the second order's blocks after them
+    first, *rest = sorted(inputs.WIDE, reverse=True)
+    makers = [blocks["natural"], *(coded[first, o] for o in placed), blocks["url"], *(coded[pct, o] for pct in rest for o in placed)]
     made = _side_by_side(spark, makers)
     for p in placed.values():
         p.unpersist()
