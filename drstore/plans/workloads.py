@@ -128,8 +128,7 @@ def block_rows(p: DataFrame, codecs=("zlib", "lzma"), sizes=baselines.BLOCK_SIZE
     parts = [p.agg(F.sum("n_bytes").alias("raw_bytes")).select(F.lit("raw").alias("codec"), F.lit(0).alias("block"), F.lit(100.0).alias("enc_pct"), F.lit(0.0).alias("decoded_per_request"))]
     for size in sizes:
         cost = measures.block_cost(p.withColumn("block_id", baselines.block_number(size))).agg(F.avg("decoded_bytes").alias("decoded_per_request"))
-        for c in codecs:
-            parts.append(baselines.blocked_ratio(baselines.blocked_store(p, c, size)).crossJoin(cost).select(F.lit(c).alias("codec"), F.lit(size).alias("block"), "enc_pct", "decoded_per_request"))
+        parts.append(baselines.blocked_ratio(baselines.blocked_store(p, codecs, size), codecs).crossJoin(cost).select("codec", F.lit(size).alias("block"), "enc_pct", "decoded_per_request"))
     return _table(parts)
 
 
